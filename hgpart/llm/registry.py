@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hgpart.llm import quality, sharding
+from hgpart.llm import quality, sharding, simhash, token_counts
 from hgpart.llm.tables import table
 
 
@@ -10,6 +10,14 @@ def op3_jump_sharding(spark, sf_dir):
     return sharding.shard_documents(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op4_length_histogram(spark, sf_dir):
+    return token_counts.suffix_sums(token_counts.length_histogram(table(spark, sf_dir, "documents")))
+
+
+def op9_anchor_covering(spark, sf_dir):
+    return simhash.near_duplicate_groups(table(spark, sf_dir, "documents"))
+
+
 def op10_distribution_divergence(spark, sf_dir):
     return quality.quality_report(table(spark, sf_dir, "documents"))
 
@@ -17,6 +25,8 @@ def op10_distribution_divergence(spark, sf_dir):
 def queries() -> dict:
     return {
         "op3_jump_sharding": op3_jump_sharding,
+        "op4_length_histogram": op4_length_histogram,
+        "op9_anchor_covering": op9_anchor_covering,
         "op10_distribution_divergence": op10_distribution_divergence,
     }
 
