@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from hgpart.llm import quality, sharding, simhash, token_counts
+from hgpart.llm import decontamination, quality, sharding, simhash, token_counts
 from hgpart.llm.tables import table
 
 
+def op2_cgk_decontamination(spark, sf_dir):
+    return decontamination.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
+
+
 def op3_jump_sharding(spark, sf_dir):
     return sharding.shard_documents(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -24,6 +28,7 @@ def op10_distribution_divergence(spark, sf_dir):
 
 def queries() -> dict:
     return {
+        "op2_cgk_decontamination": op2_cgk_decontamination,
         "op3_jump_sharding": op3_jump_sharding,
         "op4_length_histogram": op4_length_histogram,
         "op9_anchor_covering": op9_anchor_covering,
