@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hgpart.llm import decontamination, quality, sharding, simhash, token_counts
+from hgpart.llm import decontamination, pii, quality, sharding, simhash, token_counts
 from hgpart.llm.tables import table
 
 
@@ -18,6 +18,10 @@ def op4_length_histogram(spark, sf_dir):
     return token_counts.suffix_sums(token_counts.length_histogram(table(spark, sf_dir, "documents")))
 
 
+def op6_surrogates(spark, sf_dir):
+    return pii.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op9_anchor_covering(spark, sf_dir):
     return simhash.near_duplicate_groups(table(spark, sf_dir, "documents"))
 
@@ -31,6 +35,7 @@ def queries() -> dict:
         "op2_cgk_decontamination": op2_cgk_decontamination,
         "op3_jump_sharding": op3_jump_sharding,
         "op4_length_histogram": op4_length_histogram,
+        "op6_surrogates": op6_surrogates,
         "op9_anchor_covering": op9_anchor_covering,
         "op10_distribution_divergence": op10_distribution_divergence,
     }
