@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
-from hgpart.llm import decontamination, pii, quality, sharding, simhash, token_counts
+from hgpart.llm import decontamination, html_text, licenses, pii, quality, sharding, simhash, token_counts
 from hgpart.llm.tables import table
 
 
+def op1_template_extraction(spark, sf_dir):
+    return html_text.extract(table(spark, sf_dir, "pages"))
+
+
 def op2_cgk_decontamination(spark, sf_dir):
     return decontamination.contaminated(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
 
@@ -22,6 +26,10 @@ def op6_surrogates(spark, sf_dir):
     return pii.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op8_license_scan(spark, sf_dir):
+    return licenses.scan(table(spark, sf_dir, "documents"))
+
+
 def op9_anchor_covering(spark, sf_dir):
     return simhash.near_duplicate_groups(table(spark, sf_dir, "documents"))
 
@@ -32,10 +40,12 @@ def op10_distribution_divergence(spark, sf_dir):
 
 def queries() -> dict:
     return {
+        "op1_template_extraction": op1_template_extraction,
         "op2_cgk_decontamination": op2_cgk_decontamination,
         "op3_jump_sharding": op3_jump_sharding,
         "op4_length_histogram": op4_length_histogram,
         "op6_surrogates": op6_surrogates,
+        "op8_license_scan": op8_license_scan,
         "op9_anchor_covering": op9_anchor_covering,
         "op10_distribution_divergence": op10_distribution_divergence,
     }
