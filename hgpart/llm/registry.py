@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from hgpart.llm import decontamination, html_text, licenses, pii, quality, sharding, simhash, token_counts
+from hgpart.llm import decontamination, html_text, licenses, pieces, pii, quality, sharding, simhash, token_counts
 from hgpart.llm.tables import table
 
 
@@ -26,6 +26,10 @@ def op6_surrogates(spark, sf_dir):
     return pii.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
 
+def op7_suffix_array_pieces(spark, sf_dir):
+    return pieces.token_digests(table(spark, sf_dir, "documents"))
+
+
 def op8_license_scan(spark, sf_dir):
     return licenses.scan(table(spark, sf_dir, "documents"))
 
@@ -45,6 +49,7 @@ def queries() -> dict:
         "op3_jump_sharding": op3_jump_sharding,
         "op4_length_histogram": op4_length_histogram,
         "op6_surrogates": op6_surrogates,
+        "op7_suffix_array_pieces": op7_suffix_array_pieces,
         "op8_license_scan": op8_license_scan,
         "op9_anchor_covering": op9_anchor_covering,
         "op10_distribution_divergence": op10_distribution_divergence,
