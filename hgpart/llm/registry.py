@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from hgpart.llm import decontamination, html_text, licenses, pieces, pii, quality, sharding, simhash, token_counts
+import corpus_pipeline
+from hgpart.llm import decontamination, html_text, licenses, pieces, pii, quality, sharding, simhash, suffix_dedup, token_counts
 from hgpart.llm.tables import table
 
 
@@ -22,6 +23,10 @@ def op4_length_histogram(spark, sf_dir):
     return token_counts.suffix_sums(token_counts.length_histogram(table(spark, sf_dir, "documents")))
 
 
+def op5_suffix_dedup(spark, sf_dir):
+    return suffix_dedup.repeat_report(table(spark, sf_dir, "documents"))
+
+
 def op6_surrogates(spark, sf_dir):
     return pii.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"))
 
@@ -44,10 +49,12 @@ def op10_distribution_divergence(spark, sf_dir):
 
 def queries() -> dict:
     return {
+        "pipeline": corpus_pipeline.run,
         "op1_template_extraction": op1_template_extraction,
         "op2_cgk_decontamination": op2_cgk_decontamination,
         "op3_jump_sharding": op3_jump_sharding,
         "op4_length_histogram": op4_length_histogram,
+        "op5_suffix_dedup": op5_suffix_dedup,
         "op6_surrogates": op6_surrogates,
         "op7_suffix_array_pieces": op7_suffix_array_pieces,
         "op8_license_scan": op8_license_scan,
@@ -57,4 +64,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {}
+    return {"pipeline": corpus_pipeline.ORACLE_SQL} if corpus_pipeline.ORACLE_SQL else {}
