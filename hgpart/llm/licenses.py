@@ -110,17 +110,17 @@ def scan(docs: DataFrame, templates=TEMPLATES) -> DataFrame:
         .filter(F.col("t").rlike("|".join(GATE_WORDS)))
         .select("doc_id", "text_hash", F.regexp_extract_all("t", F.lit(f"({_WORD})"), F.lit(1)).alias("w"))
         .withColumn("at", F.expr(f"transform(filter(transform(w, (x, i) -> struct(x in ({gate}) as g, i as i)), s -> s.g), s -> s.i)"))
-        .filter("size(at) > 0")
     )
     starts = "array_distinct(flatten(transform(at, p -> array(p div {m} * {m}, greatest(p div {m} - 1, 0L) * {m}))))"
     windows = words.select(
         "doc_id",
         "text_hash",
         "w",
-        F.explode(F.expr("concat(" + ", ".join(f"transform({starts.format(m=m)}, s -> struct({m} as m, cast(s as int) as s))" for m in GROUPS) + ")")).alias("x"),
-    ).select("doc_id", "text_hash", "x.m", "x.s", F.expr("slice(w, x.s + 1, 2 * x.m)").alias("v"))
+        F.explode_outer(F.expr("concat(" + ", ".join(f"transform({starts.format(m=m)}, s -> struct({m} as m, cast(s as int) as s))" for m in GROUPS) + ")")).alias("x"),
+    ).filter("x is not null").select("doc_id", "text_hash", "x.m", "x.s", F.expr("slice(w, x.s + 1, 2 * x.m)").alias("v"))
     signed = windows.select("doc_id", "text_hash", "m", "s", "v", F.expr(_shingles_sql("v")).alias("w_shingles")).withColumn("bands", F.expr(_bands_sql("w_shingles")))
-    met = signed.select("*", F.explode("bands").alias("band")).drop("bands").join(keyed, ["m", "band"])
+    # explode_outer, as for explode the optimiser would compute all bands once more to drop empty lists
+    met = signed.select("*", F.explode_outer("bands").alias("band")).drop("bands").join(keyed, ["m", "band"])
     verified = met.withColumn("containment", F.size(F.array_intersect("t_shingles", "w_shingles")) / F.size("t_shingles")).filter(F.col("containment") >= SHARE)
     place = F.col("s") + F.expr("array_min(transform(array_intersect(t_shingles, w_shingles), x -> array_position(transform(sequence(0, greatest(size(v) - 5, 0)), i -> concat_ws(' ', slice(v, i + 1, 5))), x))) - 1")
     return (
