@@ -55,8 +55,9 @@ PATTERNS = {
     "name": rf"\b(?:{_TITLE})\.? \p{{Lu}}\p{{L}}+(?: \p{{Lu}}\p{{L}}+)?",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
-#: Every entity has one of these; texts without them are not searched.
-GATE = rf"[0-9@]|(?i:password|passwd|pwd|secret|token|key)|(?:{_TITLE})\.? \p{{Lu}}"
+#: Every entity but a name has one of these characters; every name starts like this. Texts with neither are not searched.
+GATE = "[0-9@=:]"
+NAME_GATE = r"[MHFSгκ](?:r|rs|s|iss|onsieur|adame|me|err|rau|eñor|eñora|ra|-н|-жа|\.|α\.)\.? \p{Lu}"
 
 
 def _q(text: str) -> str:
@@ -173,7 +174,7 @@ def surrogate_sql(e: str, kind: str, normal: str, attempt: str, key: str) -> str
 
 def _found(docs: DataFrame) -> DataFrame:
     """docs with pii__parts and pii__all: the text cut at its entities, and these in order."""
-    hit = f"text rlike {_q(GATE)}"
+    hit = f"text rlike {_q(GATE)} OR text rlike {_q(NAME_GATE)}"
     kind = _kind("e")
     return docs.withColumn("pii__e", F.expr(f"CASE WHEN {hit} THEN regexp_extract_all(text, {_q(ANY)}, 0) ELSE cast(array() as array<string>) END")).withColumn(
         "pii__all", F.expr(f"transform(pii__e, e -> struct(e as e, {kind} as kind))")
@@ -184,7 +185,8 @@ def _found(docs: DataFrame) -> DataFrame:
 
 def entity_table(docs: DataFrame) -> DataFrame:
     """kind, normal, e (one way of writing it): the distinct entities of all texts."""
-    return _found(docs.select("text")).select(F.explode("pii__all").alias("x")).groupBy("x.kind", "x.normal").agg(F.min("x.e").alias("e"))
+    # explode_outer: for explode the optimiser would search every text once more, to drop empty lists early
+    return _found(docs.select("text")).select(F.explode_outer("pii__all").alias("x")).filter("x is not null").groupBy("x.kind", "x.normal").agg(F.min("x.e").alias("e"))
 
 
 def redrawn(entities: DataFrame, key: str) -> DataFrame:
@@ -216,7 +218,7 @@ def replace_entities(docs: DataFrame, key: str = DEFAULT_KEY) -> DataFrame:
     if not moved.isEmpty():
         # rows that hold a redrawn entity, each with its entities' attempts
         at_row = F.xxhash64(F.col("text"))
-        held = rows.filter("size(pii__all) > 0").select(at_row.alias("pii__k"), F.explode("pii__all").alias("x")).select("pii__k", "x.kind", "x.normal").distinct()
+        held = rows.select(at_row.alias("pii__k"), F.explode_outer("pii__all").alias("x")).filter("x is not null").select("pii__k", "x.kind", "x.normal").distinct()
         lists = held.join(moved, ["kind", "normal"]).groupBy("pii__k").agg(F.map_from_entries(F.collect_list(F.struct(F.concat_ws("|", "kind", "normal"), "attempt"))).alias("pii__m"))
         lists = written(lists, "redrawn")
         if lists.count() <= BROADCAST_ROWS:
