@@ -247,7 +247,8 @@ def _anchors(batches):
 
 
 def _edge_blocks(batches):
-    """Bytes of the blocks asked for, and the bare hashes of the windows of crowded ones."""
+    """Bytes of the blocks asked for, and the bare hashes of the windows of crowded ones: rows of weight 1 are
+    one window of one row, of weight 2 known to repeat, of weight -1 results."""
     for batch in batches:
         rk, did, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _bytes(batch.column(2))
         asked = [{b: (w, c) for b, w, c in zip(*x)} for x in zip(*(batch.column(k).to_pylist() for k in (3, 4, 5)))]
@@ -275,11 +276,33 @@ def _edge_blocks(batches):
                     total, down = _prefix(raw, SECOND_BASE), _second(len(raw) + 1)[1]
                     second = mixed((total[starts + SPAN] - total[starts]) * down[starts]).view(np.int64)
                     h = blocks.hash(starts, SPAN).view(np.int64)
-                    rows_of = np.array([x[1] for x in crowd])[mine]
                     weight = np.array([x[2] for x in crowd])[mine]
-                    for k in range(0, len(starts), 65536):
-                        s = slice(k, k + 65536)
-                        yield _edge_batch(h[s], [None] * len(h[s]), np.zeros(len(h[s]), np.int64), second[s], weight[s], rk[rows_of[s]], did[rows_of[s]])
+                    owner = np.array([x[1] for x in crowd])
+                    order = np.lexsort((second, h))
+                    new = np.concatenate([[True], (np.diff(h[order]) != 0) | (np.diff(second[order]) != 0)])
+                    group = np.empty(len(h), np.int64)
+                    group[order] = np.cumsum(new) - 1
+                    times = np.bincount(group, weight).astype(np.int64)
+                    # what repeats here is known already: the outermost such windows of a block cover the others
+                    known = np.nonzero((times[group] > 1) & (weight == 1))[0]
+                    ends = _outermost(mine[known])
+                    yield from _bare(h[known[ends]], second[known[ends]], np.full(len(ends), -1), rk[owner[mine[known[ends]]]], did[owner[mine[known[ends]]]])
+                    lead = order[new]
+                    yield from _bare(h[lead], second[lead], np.minimum(times[group[lead]], 2), rk[owner[mine[lead]]], did[owner[mine[lead]]])
+
+
+def _outermost(sorted_keys: np.ndarray) -> np.ndarray:
+    """Positions of the first and the last of each run of equal keys."""
+    if not len(sorted_keys):
+        return np.zeros(0, np.int64)
+    cut = np.nonzero(np.diff(sorted_keys))[0]
+    return np.unique(np.concatenate([[0], cut, cut + 1, [len(sorted_keys) - 1]]))
+
+
+def _bare(h, second, weight, rk, did):
+    for k in range(0, len(h), 65536):
+        s = slice(k, k + 65536)
+        yield _edge_batch(h[s], [None] * len(h[s]), np.zeros(len(h[s]), np.int64), second[s], weight[s], rk[s], did[s])
 
 
 def _edge_batch(g, raw, shift, second, weight, rk, did):
@@ -307,7 +330,8 @@ def _sorted_windows(batches):
         _, group = np.unique(g, return_inverse=True)
         classes = group[block] * 512 + (shift[block] - inside)
         starts = begin[block] + inside
-        hit = equal_neighbours(raw, starts, classes) & (weight[block] == 1)
+        hit = np.nonzero(equal_neighbours(raw, starts, classes) & (weight[block] == 1))[0]
+        hit = hit[_outermost(block[hit])]  # these cover what lies between
         total, down = _prefix(raw), powers(len(raw) + 1)[1]
         s = starts[hit]
         h = mixed((total[s + SPAN] - total[s]) * down[s]).view(np.int64)
@@ -329,50 +353,66 @@ def _sorted_windows(batches):
             yield solve(table)
 
 
-def _cut(batches):
-    for batch in batches:
-        ids, texts = batch.column(0), _bytes(batch.column(1))
-        full, single = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-        out: list[tuple] = [None] * len(texts)
-        spans: list[list] = [[] for _ in texts]
-        for start, some in _some(texts):
-            for rows, bases, raw, begins, ends in _segments([t if full[start + k] or single[start + k] else b"" for k, t in enumerate(some)]):
-                blocks = Blocks(raw, begins, ends)
-                part = np.searchsorted(begins, blocks.first, "right") - 1
-                for p in np.unique(part).tolist():
-                    row = start + rows[p]
-                    mine = np.nonzero(part == p)[0]
-                    whole = np.isin(blocks.b[mine], np.array(full[row] or [], np.int64))
-                    shift = bases[p] - int(begins[p])
-                    spans[row] += [(a + shift, b + shift) for a, b in zip(blocks.first[mine[whole]].tolist(), (blocks.last[mine[whole]] + SPAN).tolist())]
-                    if single[row]:
-                        starts, _ = blocks.windows(mine[~whole])
-                        hit = starts[np.isin(blocks.hash(starts, SPAN).view(np.int64), np.array(single[row], np.int64))]
-                        if len(hit):
-                            brk = np.nonzero(np.diff(hit) > 1)[0]
-                            a, b = hit[np.concatenate([[0], brk + 1])], hit[np.concatenate([brk, [len(hit) - 1]])]
-                            spans[row] += [(x + shift, y + SPAN + shift) for x, y in zip(a.tolist(), b.tolist())]
-        for k, t in enumerate(texts):
-            merged: list[list[int]] = []
-            for a, b in sorted(spans[k]):
-                if merged and a <= merged[-1][1]:
-                    merged[-1][1] = max(merged[-1][1], b)
-                else:
-                    merged.append([a, b])
-            kept, at = [], 0
-            for a, b in merged:
-                kept.append(t[at:a])
-                at = b
-            kept.append(t[at:])
-            left = b"".join(kept)
-            out[k] = (len(t), len(t) - len(left), len(merged), hashlib.sha256(left).hexdigest(), left)
-        cols = list(zip(*out)) if out else [[]] * 5
-        kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.binary()]
-        yield pa.RecordBatch.from_arrays([ids, *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256", "kept"])
-
-
-def remove_repeats(docs: DataFrame) -> DataFrame:
-    """doc_id, n_bytes, n_removed, n_spans, kept_sha256, kept (the bytes left) for every row of docs."""
+def _cutter(with_kept: bool):
+    def run(batches):
+        for batch in batches:
+            ids, texts = batch.column(0), _bytes(batch.column(1))
+            full, single = batch.column(2).to_pylist(), batch.column(3).to_pylist()
+            for start, some in _some(texts):
+                n = len(some)
+                out = [_without(t, s) for t, s in zip(some, _spans(some, full[start : start + n], single[start : start + n]))]
+                cols = list(zip(*[(len(t), len(t) - len(left), spans, hashlib.sha256(left).hexdigest()) for t, (left, spans) in zip(some, out)]))
+                kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string()]
+                arrays, names = [ids.slice(start, n), *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
+                if with_kept:
+                    arrays.append(pa.array([left for left, _ in out], pa.binary()))
+                    names.append("kept")
+                yield pa.RecordBatch.from_arrays(arrays, names)
+
+    return run
+
+
+def _without(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
+    """text without the spans, and how many there are once merged."""
+    merged: list[list[int]] = []
+    for a, b in sorted(spans):
+        if merged and a <= merged[-1][1]:
+            merged[-1][1] = max(merged[-1][1], b)
+        else:
+            merged.append([a, b])
+    kept, at = [], 0
+    for a, b in merged:
+        kept.append(text[at:a])
+        at = b
+    return b"".join([*kept, text[at:]]), len(merged)
+
+
+def _spans(texts: list[bytes], full: list, single: list) -> list[list[tuple[int, int]]]:
+    """Repeated spans of each text, from its repeated blocks and windows."""
+    spans: list[list] = [[] for _ in texts]
+    for rows, bases, raw, begins, ends in _segments([t if full[k] or single[k] else b"" for k, t in enumerate(texts)]):
+        blocks = Blocks(raw, begins, ends)
+        part = np.searchsorted(begins, blocks.first, "right") - 1
+        bounds = np.searchsorted(part, np.arange(len(rows) + 1))
+        for p, row in enumerate(rows):
+            mine = np.arange(bounds[p], bounds[p + 1])
+            whole = np.isin(blocks.b[mine], np.array(full[row] or [], np.int64))
+            shift = bases[p] - int(begins[p])
+            spans[row] += [(a + shift, b + shift) for a, b in zip(blocks.first[mine[whole]].tolist(), (blocks.last[mine[whole]] + SPAN).tolist())]
+            if single[row]:
+                starts, block = blocks.windows(mine[~whole])
+                hit = np.nonzero(np.isin(blocks.hash(starts, SPAN).view(np.int64), np.array(single[row], np.int64)))[0]
+                if len(hit):
+                    # the windows of a block overlap, so its outermost hits bound what it loses
+                    of = block[hit]
+                    first = np.nonzero(np.concatenate([[True], of[1:] != of[:-1]]))[0]
+                    last = np.concatenate([first[1:] - 1, [len(hit) - 1]])
+                    spans[row] += [(x + shift, y + SPAN + shift) for x, y in zip(starts[hit[first]].tolist(), starts[hit[last]].tolist())]
+    return spans
+
+
+def remove_repeats(docs: DataFrame, with_kept: bool = True) -> DataFrame:
+    """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, kept (the bytes left) for every row of docs."""
     keyed = _keyed(docs)
     anchors = written(keyed.select("rk", "did", "raw").mapInArrow(_anchors, "g long, b long, n long, rk long, did long"), "anchors")
     kinds = anchors.groupBy("g", "b").agg(F.sum("n").alias("n"), F.min(F.struct("did", "rk")).alias("one"))
@@ -394,17 +434,18 @@ def remove_repeats(docs: DataFrame) -> DataFrame:
     edges = written(edges, "edges")
     parts = edges.filter(F.col("raw").isNotNull())
     from_sort = parts.repartition("g").sortWithinPartitions("g").mapInArrow(_sorted_windows, "h long, rk long, did long")
-    bare = edges.filter(F.col("raw").isNull())
+    bare = edges.filter(F.col("raw").isNull() & (F.col("weight") > 0))
+    known = edges.filter(F.col("raw").isNull() & (F.col("weight") < 0)).select(F.col("g").alias("h"), "rk", "did")
     counted = bare.groupBy(F.col("g").alias("h"), "second").agg(F.sum("weight").alias("times")).filter("times > 1").select("h", "second")
     from_count = bare.filter("weight = 1").select(F.col("g").alias("h"), "second", "rk", "did").join(counted, ["h", "second"]).select("h", "rk", "did")
-    singles = from_sort.unionByName(from_count).groupBy("rk", "did").agg(F.collect_set("h").alias("single"))
+    singles = from_sort.unionByName(from_count).unionByName(known).groupBy("rk", "did").agg(F.collect_set("h").alias("single"))
     marks = flags.filter(F.size("full") > 0).select("rk", "did", "full").join(singles, ["rk", "did"], "full_outer")
     return (
         keyed.join(marks, ["rk", "did"], "left")
         .select("doc_id", "raw", "full", "single")
-        .mapInArrow(_cut, "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string, kept binary")
+        .mapInArrow(_cutter(with_kept), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_kept)
     )
 
 
 def repeat_report(docs: DataFrame) -> DataFrame:
-    return remove_repeats(docs).select("doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256")
+    return remove_repeats(docs, with_kept=False)
