@@ -17,6 +17,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from hgpart.llm.tables import written
+
 DEFAULT_VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 #: Fixed value: the pattern that splits text before merging.
 SPLIT_PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
@@ -51,7 +53,10 @@ def length_histogram(docs: DataFrame, vocabulary: str = DEFAULT_VOCABULARY, colu
 
 def suffix_sums(histogram: DataFrame, block: int = BLOCK) -> DataFrame:
     """The histogram with docs_at_least, tokens_at_least, truncated_total (all documents cut at
-    n_tokens), docs_cut (longer than n_tokens) and docs_below: two-level sums over blocks of lengths."""
+    n_tokens), docs_cut (longer than n_tokens) and docs_below: two-level sums over blocks of lengths.
+
+    The histogram is written first: it is read several times and costly to make."""
+    histogram = written(histogram, "histogram")
     h = histogram.withColumn("block", F.floor(F.col("n_tokens") / F.lit(block)).cast("long")).withColumn("tokens", F.col("n_tokens") * F.col("n_docs"))
     blocks = h.groupBy("block").agg(F.sum("n_docs").alias("d"), F.sum("tokens").alias("t"))
     groups = blocks.withColumn("group", F.floor(F.col("block") / F.lit(block)).cast("long"))
