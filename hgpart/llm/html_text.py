@@ -23,10 +23,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from hgpart.llm.tables import written
+
 MIN_PAGES = 5
 SUPPORT = 0.9
 #: Copies of each host's template, so that the pages of a large host are joined in many tasks.
 SALT = 32
+#: Templates of this many characters in all are sent to every task; more are joined by salted host.
+BROADCAST_CHARS = 16 << 20
 SHORT_TEXT = 200
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
@@ -230,9 +234,14 @@ def main_text(page: str, content: str | None = None, boilerplate: frozenset[str]
 def extract(pages: DataFrame) -> DataFrame:
     """page_id, url, text, n_chars, template (whether its host's template was deduced), for every row."""
     given = with_host(pages)
-    frames = templates(given).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1))))
-    salted = given.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALT)).cast("int"))
-    joined = salted.join(frames, ["host", "salt"], "left").select("page_id", "url", "html", "content", "boilerplate")
+    frames = written(templates(given), "templates")
+    size = frames.agg(F.sum(F.length("host") + F.length(F.coalesce("content", F.lit(""))) + F.length(F.array_join("boilerplate", " ")) + 64)).first()[0] or 0
+    if size <= BROADCAST_CHARS:
+        joined = given.join(F.broadcast(frames), "host", "left")
+    else:
+        salted = given.withColumn("salt", F.pmod(F.xxhash64("page_id", "url"), F.lit(SALT)).cast("int"))
+        joined = salted.join(frames.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALT - 1)))), ["host", "salt"], "left")
+    joined = joined.select("page_id", "url", "html", "content", "boilerplate")
 
     def run(batches):
         for batch in batches:
