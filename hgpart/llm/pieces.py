@@ -15,6 +15,7 @@ rows are encoded each; an empty table gives an empty result; further columns are
 
 from __future__ import annotations
 
+import re
 import zlib
 from functools import lru_cache
 
@@ -25,11 +26,10 @@ from pyspark.sql import functions as F
 
 DEFAULT_MODEL = "/opt/tokenizers/piece_bpe_32k.model"
 BLANK = "▁"
-#: Chunks a task remembers, and characters it indexes at once.
-REMEMBERED = 400_000
-INDEXED = 200_000
-#: Longer chunks are relaxed one by one.
-_LONG = 256
+#: Chunks of each of the two generations that a task remembers, and characters it indexes at once.
+REMEMBERED = 250_000
+INDEXED = 500_000
+_LETTERS = re.compile(rf"{BLANK}?[^\W\d_]+|[\W\d_]+")
 
 
 class Codec:
@@ -69,6 +69,9 @@ class Codec:
         self.pair_keys = np.array([*order, 1 << 62], np.int64)
         self.pair_merge = np.array([*(pairs[k] for k in order), 0], np.int64)
         self.n = n
+        # most pairs never merge: a bit table spares them the search
+        self.may_merge = np.zeros(1 << 20, bool)
+        self.may_merge[self._slot(self.pair_keys)] = True
         # two bytes a character, so that byte order is the order of suffixes
         self.code = {c: k + 2 for k, c in enumerate(sorted({c for s in self.number for c in s}))}
         self.width = max(map(len, self.number))
@@ -78,7 +81,12 @@ class Codec:
         spell = lambda s: b"".join(self.code[c].to_bytes(2, "big") for c in s)
         self.piece_from = np.array([spell(s) for s in words], f"S{2 * self.width}")
         self.piece_to = np.array([spell(s).ljust(2 * self.width, b"\xff") for s in words], f"S{2 * self.width}")
+        # where no piece mixes letters with other characters, no merge crosses their seams
+        self.seams = all(len(_LETTERS.findall(s)) == 1 for s in self.number)
+        self.piece_head = self._slot(np.array([self.code[s[0]] << 16 | self.code[s[1]] if len(s) > 1 else 0 for s in words], np.int64))
+        # two generations: what is met again moves to the young one, the old one is dropped when that is full
         self.memo: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
 
     def _last_merge(self, s: str):
         parts = list(s)
@@ -91,6 +99,10 @@ class Codec:
             parts[k : k + 2] = [parts[k] + parts[k + 1]]
         return tuple(parts) if len(parts) == 2 and all(p in self.number for p in parts) else None
 
+    @staticmethod
+    def _slot(key: np.ndarray) -> np.ndarray:
+        return ((key.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(44)).astype(np.int64)
+
     def stays(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
         """Whether merging leaves pieces a, b side by side: undoes merges at the seam, latest first,
         and looks for a merge across it that would have come before."""
@@ -100,8 +112,10 @@ class Codec:
         while len(alive):
             x, y = a[alive], b[alive]
             key = x * self.n + y
-            at = np.searchsorted(self.pair_keys, key)
-            crosses = (self.pair_keys[at] == key) & (self.pair_merge[at] < limit[alive])
+            crosses = np.zeros(len(key), bool)
+            some = np.nonzero(self.may_merge[self._slot(key)])[0]
+            at = np.searchsorted(self.pair_keys, key[some])
+            crosses[some] = (self.pair_keys[at] == key[some]) & (self.pair_merge[at] < limit[alive[some]])
             good[alive[crosses]] = False
             alive, x, y = alive[~crosses], x[~crosses], y[~crosses]
             # the later of the two was merged last
@@ -124,13 +138,18 @@ class Codec:
         codes = table[text]
         padded = np.concatenate([codes, np.zeros(self.width, np.uint16)]).astype(">u2")
         suffixes = np.ascontiguousarray(np.lib.stride_tricks.sliding_window_view(padded, self.width)[: len(codes)]).view(f"S{2 * self.width}").ravel()
-        order = np.argsort(suffixes, kind="stable")
+        order = self._suffix_order(padded[: len(codes) + self.width].astype(np.uint64), len(codes))
         ranked = suffixes[order]
-        lo, hi = np.searchsorted(ranked, self.piece_from, "left"), np.searchsorted(ranked, self.piece_to, "right")
+        # only pieces whose first two characters occur are searched
+        seen = np.zeros(1 << 20, bool)
+        seen[self._slot(codes[:-1].astype(np.int64) << 16 | codes[1:])] = True
+        tried = np.nonzero((self.piece_length == 1) | seen[self.piece_head])[0]
+        lo, hi = np.searchsorted(ranked, self.piece_from[tried], "left"), np.searchsorted(ranked, self.piece_to[tried], "right")
         count = hi - lo
         which = np.repeat(np.arange(len(count)), count)
+        number = tried[which]
         start = order[np.arange(len(which)) - np.repeat(np.cumsum(count) - count, count) + lo[which]]
-        piece, end = self.piece_number[which], start + self.piece_length[which]
+        piece, end = self.piece_number[number], start + self.piece_length[number]
         chunk_start = np.cumsum(np.concatenate([[0], lengths[:-1] + 1]))
         chunk_of = np.searchsorted(chunk_start, start, "right") - 1
         depth = end - chunk_start[chunk_of]
@@ -161,10 +180,26 @@ class Codec:
             here, owner = here[more], owner[more]
         owner, found = np.concatenate(got_owner[::-1]), np.concatenate(got_piece[::-1])
         by = np.argsort(owner, kind="stable")
-        ids = self.id_of[found[by]]
-        ends = np.cumsum(np.bincount(owner, minlength=len(chunks)))
-        for k, (c, b) in enumerate(zip(chunks, ends.tolist())):
-            self.memo[c] = ids[(int(ends[k - 1]) if k else 0) : b].tobytes()
+        ids = self.id_of[found[by]].tobytes()
+        ends = (4 * np.cumsum(np.bincount(owner, minlength=len(chunks)))).tolist()
+        self.memo.update(zip(chunks, [ids[a:b] for a, b in zip([0, *ends], ends)]))
+
+    def _suffix_order(self, codes: np.ndarray, n: int) -> np.ndarray:
+        """Order of the n suffixes cut at the longest piece: four characters packed, then ranks doubled."""
+        m = len(codes) - 3
+        key = (codes[:m] << np.uint64(48)) | (codes[1 : m + 1] << np.uint64(32)) | (codes[2 : m + 2] << np.uint64(16)) | codes[3 : m + 3]
+        size = 4
+        while True:
+            order = np.argsort(key)
+            ranked = key[order]
+            rank = np.empty(len(key), np.uint64)
+            rank[order] = np.cumsum(np.concatenate([[False], ranked[1:] != ranked[:-1]])).astype(np.uint64)
+            if size >= self.width:
+                return order[order < n]
+            later = np.zeros(len(rank), np.uint64)
+            later[:-size] = rank[size:] + np.uint64(1)
+            key = (rank << np.uint64(32)) | later
+            size *= 2
 
     def _codes(self, n: int) -> np.ndarray:
         kept = getattr(self, "_code_table", None)
@@ -197,16 +232,22 @@ class Codec:
         return np.array([self.byte_ids[b] for b in c.encode("utf-8", "surrogatepass")], np.int32).tobytes()
 
     def _remember(self, chunks) -> None:
-        if len(self.memo) + len(chunks) > REMEMBERED:
-            self.memo.clear()
-        plain, odd = [], []
+        memo, known = self.memo, self.code.keys()
+        strange = set().union(*chunks) - known
+        cuts, plain = {}, set()
         for c in chunks:
-            (plain if self.code.keys() >= set(c) else odd).append(c)
-        cuts = {c: self._cut(c) for c in odd}
-        plain = list(dict.fromkeys([*plain, *(x for xs in cuts.values() for x in xs if x[0] in self.code)]))
-        plain = [c for c in plain if c not in self.memo]
+            parts = _LETTERS.findall(c) if self.seams else [c]
+            if strange and not strange.isdisjoint(c):
+                parts = [x for part in parts for x in self._cut(part)]
+                plain.update(x for x in parts if x[0] in known)
+                cuts[c] = parts
+            elif len(parts) > 1:
+                plain.update(parts)
+                cuts[c] = parts
+            else:
+                plain.add(c)
         group, room = [], 0
-        for c in sorted(plain, key=len):
+        for c in sorted(self._renewed(plain), key=len):
             if group and room + len(c) > INDEXED:
                 self.encode_chunks(group)
                 group, room = [], 0
@@ -214,8 +255,17 @@ class Codec:
             room += len(c) + 1
         if group:
             self.encode_chunks(group)
-        for c, xs in cuts.items():
-            self.memo[c] = b"".join(self.memo[x] if x[0] in self.code else self._fallback(x) for x in xs)
+        for c, parts in cuts.items():
+            memo[c] = b"".join([memo[x] if x[0] in known else self._fallback(x) for x in parts])
+
+    def _renewed(self, chunks: set[str]) -> set[str]:
+        """Those of chunks that are not remembered; the others are in the young generation afterwards."""
+        new = chunks - self.memo.keys()
+        if self.old:
+            for c in new & self.old.keys():
+                self.memo[c] = self.old[c]
+            new -= self.memo.keys()
+        return new
 
     def encode(self, texts: list[str | None]) -> list[bytes]:
         """The ids of each text, as little-endian 32-bit integers."""
@@ -225,13 +275,10 @@ class Codec:
             words = (t or "").replace(BLANK, " ").split(" ") if t else []
             split.append([BLANK + w if w else "" for w in words] if self.dummy or not words else [words[0], *(BLANK + w if w else "" for w in words[1:])])
         if len(self.memo) > REMEMBERED:
-            self.memo.clear()
-        new = set().union(*split) - self.memo.keys() - {""}
+            self.old, self.memo = self.memo, {}
+        new = self._renewed(set().union(*split) - {""})
         if new:
             self._remember(new)
-            missing = set().union(*split) - self.memo.keys() - {""}
-            if missing:  # cleared meanwhile
-                self._remember(missing)
         memo, out = self.memo, []
         single = np.int32(self.runs[1]).tobytes()
         for words in split:
@@ -266,7 +313,7 @@ class Codec:
 
     def decode(self, ids: bytes) -> str:
         raw = self.raw
-        text = b"".join([raw[i] for i in np.frombuffer(ids, np.int32).tolist()])
+        text = b"".join(map(raw.__getitem__, np.frombuffer(ids, np.int32).tolist()))
         if self.dummy and text[:1] == b" ":
             text = text[1:]
         return text.decode("utf-8", "replace")
@@ -277,7 +324,7 @@ def codec(path: str = DEFAULT_MODEL) -> Codec:
     return Codec(path)
 
 
-def _slices(batch: pa.RecordBatch, column: int, most: int = 1 << 20):
+def _slices(batch: pa.RecordBatch, column: int, most: int = 2 << 20):
     texts, start, room = [], 0, 0
     for row, text in enumerate(batch.column(column)):
         t = text.as_py()
