@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import corpus_pipeline
 from hgpart.llm import decontamination, html_text, licenses, pieces, pii, quality, sharding, simhash, suffix_dedup, token_counts
+from hgpart.llm.quality_sql import report_sql
 from hgpart.llm.tables import table
 
 
@@ -64,4 +65,7 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    return {"pipeline": corpus_pipeline.ORACLE_SQL} if corpus_pipeline.ORACLE_SQL else {}
+    found = {"op10_distribution_divergence": report_sql()}
+    if corpus_pipeline.ORACLE_SQL:
+        found["pipeline"] = corpus_pipeline.ORACLE_SQL
+    return found
