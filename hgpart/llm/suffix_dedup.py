@@ -30,7 +30,7 @@ from hgpart.llm.words import BASE, mixed, powers
 SPAN = 200
 GRAM = 40
 CROWD = 256
-SEGMENT = 1 << 20
+SEGMENT = 1 << 19
 _WIDTH = SPAN - GRAM + 1
 _LOW = np.uint64((1 << 24) - 1)
 SECOND_BASE = 0xD6E8FEB86659FD93
@@ -130,7 +130,7 @@ def _bytes(column) -> list[bytes]:
     return out
 
 
-def _some(texts: list[bytes], most: int = 8 << 20):
+def _some(texts: list[bytes], most: int = 4 << 20):
     start, room = 0, 0
     for k, t in enumerate(texts):
         if room and room + len(t) > most:
