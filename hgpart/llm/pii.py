@@ -55,8 +55,9 @@ PATTERNS = {
     "name": rf"\b(?:{_TITLE})\.? \p{{Lu}}\p{{L}}+(?: \p{{Lu}}\p{{L}}+)?",
 }
 ANY = "|".join(f"(?:{p})" for p in PATTERNS.values())
-#: Every entity but a name has one of these characters; every name starts like this. Texts with neither are not searched.
-GATE = "[0-9@=:]"
+#: A key holds AKIA and may be all letters; every other entity but a name has one of these characters; every name
+#: starts like this. Texts with none of these are not searched.
+GATE = "[0-9@=:]|AKIA"
 NAME_GATE = r"[MHFSгκ](?:r|rs|s|iss|onsieur|adame|me|err|rau|eñor|eñora|ra|-н|-жа|\.|α\.)\.? \p{Lu}"
 
 
