@@ -27,6 +27,13 @@ def test_html_blocks():
     assert html_text.main_text("<article><p>open") == "open"
 
 
+def test_html_attributes_are_told_apart():
+    for attrs in ('style="overflow:hidden"', 'title="hidden places"', 'data-id="comment"', "data-class='ad'", "title='a role=menu'", 'aria-hidden="false"', 'lang = "en" data-x=hidden'):
+        assert html_text.main_text(f"<article {attrs}><div {attrs}>Kept</div></article>") == "Kept", attrs
+    for attrs in ("hidden", 'style="a" hidden', 'aria-hidden="true"', "class=ad", "x='1'id='comment'", 'ROLE = "menu"', 'data-n="1" class="big ad"'):
+        assert html_text.main_text(f"<article>Kept<div {attrs}>Gone</div></article>") == "Kept", attrs
+
+
 def test_html_templates(spark):
     """Pages without an article tag: the slot and the fixed texts come from the host's template."""
     rows = [
