@@ -6,8 +6,9 @@ equivalence class; the vectors are compared by an order-free hash, so no task ho
 valid if it occurs in (nearly) all pages of a host with enough of them. The class in which each
 token occurs once a page is the outermost template; the other valid classes nest in it (repeated items).
 Text tokens of the outer class are template text; the tag tokens are the frame, and what
-lies between them are slots. The slot with most unlinked text, outside menus and the like, is the host's content,
-for pages that mark no article of their own; the remaining slots of the content are the main text.
+lies between them are slots. The content is the deepest element of the frame that holds (nearly) all unlinked text in
+its inner elements, menus and the like and template texts apart; its slots are the main text. Hosts without a
+template, and pages without their host's content element, are read by their article tags.
 
 Edge cases: null html gives an empty text, a null or odd url makes a host of its own, hosts with few pages are read by
 their tags alone, repeated rows are returned each, an empty table gives an empty result, further columns are ignored.
@@ -15,6 +16,7 @@ their tags alone, repeated rows are returned each, an empty table gives an empty
 
 from __future__ import annotations
 
+import hashlib
 import html as entities
 import re
 from collections import Counter
@@ -32,6 +34,8 @@ SALT = 32
 #: Templates of this many characters in all are sent to every task; more are joined by salted host.
 BROADCAST_CHARS = 16 << 20
 SHORT_TEXT = 200
+#: Kinds of tokens.
+TAG, SHORT, LONG = 0, 1, 2
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _RAW_END = {t: re.compile(rf"</{t}\s*>", re.I) for t in ("script", "style", "textarea", "title", "noscript", "template", "iframe", "svg", "select", "option")}
@@ -153,36 +157,39 @@ def blocks(page: str):
 
 
 def _text_token(path: str, text: str) -> str:
-    return f"{path}#{text}"
+    """Path and a 128-bit hash of the text."""
+    return f"{path}#{hashlib.blake2b(text.encode('utf-8', 'surrogatepass'), digest_size=16).hexdigest()}"
 
 
 def page_tokens(pages: DataFrame) -> DataFrame:
-    """host, page_id, token, is_text, times, chars, linked, dropped: what each page counts."""
+    """host, page_id, token, kind (TAG, SHORT or LONG text), times, mass: what each page counts.
+
+    The mass of a tag is the unlinked text kept in the elements inside it; the tag '' stands for the whole page."""
 
     def run(batches):
         for batch in batches:
-            cols: list[list] = [[] for _ in range(8)]
+            cols: list[list] = [[] for _ in range(6)]
             for page_id, host, page in zip(*(c.to_pylist() for c in batch.columns)):
                 found, tags = blocks(page or "")
-                texts, sums = Counter(), {}
+                texts, own, inner = {}, Counter(), Counter()
                 for path, text, linked, _, dropped in found:
-                    if len(text) <= SHORT_TEXT:
-                        texts[_text_token(path, text)] += 1
-                    s = sums.setdefault(path.rpartition("/")[0], [0, 0, False])
-                    s[0] += len(text)
-                    s[1] += linked
-                    s[2] |= dropped
-                for token, times in tags.items():
-                    chars, linked, dropped = sums.get(token, (0, 0, False))
-                    for c, v in zip(cols, (host, page_id, token, False, times, chars, linked, dropped)):
-                        c.append(v)
-                for token, times in texts.items():
-                    for c, v in zip(cols, (host, page_id, token, True, times, 0, 0, False)):
+                    mass = 0 if dropped else max(0, len(text) - 2 * linked)
+                    own[path] += mass
+                    t = texts.setdefault(_text_token(path, text), [SHORT if len(text) <= SHORT_TEXT else LONG, 0, 0])
+                    t[1] += 1
+                    t[2] += mass
+                for path, mass in own.items():
+                    inner[""] += mass
+                    while path := path.rpartition("/")[0]:
+                        inner[path] += mass
+                rows = [("", TAG, 1, inner[""]), *((t, TAG, times, inner[t]) for t, times in tags.items()), *((t, *x) for t, x in texts.items())]
+                for row in rows:
+                    for c, v in zip(cols, (host, page_id, *row)):
                         c.append(v)
-            kinds = [pa.string(), pa.int64(), pa.string(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.bool_()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "page_id", "token", "is_text", "times", "chars", "linked", "dropped"])
+            kinds = [pa.string(), pa.int64(), pa.string(), pa.int32(), pa.int64(), pa.int64()]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "page_id", "token", "kind", "times", "mass"])
 
-    return pages.mapInArrow(run, "host string, page_id long, token string, is_text boolean, times long, chars long, linked long, dropped boolean")
+    return pages.mapInArrow(run, "host string, page_id long, token string, kind int, times long, mass long")
 
 
 def with_host(pages: DataFrame) -> DataFrame:
@@ -190,45 +197,50 @@ def with_host(pages: DataFrame) -> DataFrame:
     return pages.select(F.col("page_id").cast("long"), host.alias("host"), F.col("html").cast("string").alias("html"), F.col("url").cast("string").alias("url"))
 
 
+def _fixed(start: str) -> str:
+    """SQL: mass of the template texts whose tokens begin like that."""
+    return f"aggregate(filter(texts, t -> startswith(t.token, {start})), 0L, (a, t) -> a + t.mass)"
+
+
 def templates(pages: DataFrame, min_pages: int = MIN_PAGES, support: float = SUPPORT) -> DataFrame:
-    """host, content (path of the content slot), boilerplate (template texts): one row for each host with enough pages."""
+    """host, content (path of the content element), boilerplate (template texts): one row for each host with enough pages."""
     tokens = page_tokens(pages.select("page_id", "host", "html"))
     size = pages.groupBy("host").agg(F.count(F.lit(1)).alias("pages")).filter(F.col("pages") >= min_pages)
-    counted = tokens.groupBy("host", "token", "is_text").agg(
+    counted = tokens.groupBy("host", "token", "kind").agg(
         F.count(F.lit(1)).alias("n"),
         F.max("times").alias("most"),
         F.bit_xor(F.xxhash64("page_id", "times")).alias("vector"),
-        F.sum("chars").alias("chars"),
-        F.sum("linked").alias("linked"),
-        F.bool_or("dropped").alias("dropped"),
+        F.sum("mass").alias("mass"),
     )
     frequent = counted.join(size, "host").filter(F.col("n") >= F.col("pages") * support)
+    tag = (F.col("kind") == TAG) & (F.col("token") != "")
     classes = frequent.groupBy("host", "vector").agg(
         F.max("most").alias("most"),
-        F.count_if(~F.col("is_text")).alias("frame"),
-        F.collect_list(F.when(F.col("is_text"), F.col("token"))).alias("texts"),
-        F.max(F.when(~F.col("is_text") & ~F.col("dropped"), F.struct(F.greatest(F.col("chars") - 2 * F.col("linked"), F.lit(0)).alias("mass"), F.col("token").alias("path")))).alias("slot"),
+        F.count_if(tag).alias("frame"),
+        F.collect_list(F.when(tag, F.struct("token", "mass"))).alias("tags"),
+        F.collect_list(F.when(F.col("kind") != TAG, F.struct("token", "kind", "mass"))).alias("texts"),
+        F.max(F.when(F.col("token") == "", F.col("mass"))).alias("total"),
     )
-    valid = classes.filter((F.col("frame") >= 2) | (F.size("texts") >= 2))
-    return valid.groupBy("host").agg(
-        F.max("slot").getField("path").alias("content"),
-        F.flatten(F.collect_list(F.when((F.col("most") == 1) & (F.col("frame") >= 2), F.col("texts")))).alias("boilerplate"),
+    outer = (F.col("most") == 1) & (F.col("frame") >= 2)
+    hosts = classes.groupBy("host").agg(
+        F.flatten(F.collect_list(F.when(outer, F.col("tags")))).alias("tags"), F.flatten(F.collect_list(F.when(outer, F.col("texts")))).alias("texts"), F.max("total").alias("total")
+    ).filter(F.size("tags") > 0)
+    everywhere, inside = _fixed("''"), _fixed("concat(x.token, '/')")
+    hosts = hosts.withColumn("total", F.expr(f"total - {everywhere}"))
+    hosts = hosts.withColumn("tags", F.expr(f"transform(tags, x -> struct(length(x.token) as depth, x.token as token, x.mass - {inside} as mass))"))
+    return hosts.select(
+        "host",
+        # of elements that each hold nearly all, one lies in the other, and the longest path is the deepest
+        F.expr(f"array_max(filter(tags, x -> x.mass > 0 AND x.mass >= {support} * total)).token").alias("content"),
+        F.expr(f"transform(filter(texts, t -> t.kind = {SHORT}), t -> t.token)").alias("boilerplate"),
     )
 
 
 def main_text(page: str, content: str | None = None, boilerplate: frozenset[str] = frozenset()) -> str:
-    found, _ = blocks(page)
-    marked = any(b[3] and not b[4] for b in found)
-    under = [b for b in found if content and (b[0] == content or b[0].startswith(content + "/"))] if not marked else []
-    inside = any(not b[4] for b in under)
-    kept = []
-    for path, text, _, article, dropped in found:
-        if dropped or marked and not article or not marked and inside and not (path == content or path.startswith(content + "/")):
-            continue
-        if boilerplate and len(text) <= SHORT_TEXT and _text_token(path, text) in boilerplate:
-            continue
-        kept.append(text)
-    return " ".join(kept)
+    found = [b for b in blocks(page)[0] if not b[4]]
+    inside = [b for b in found if content and (b[0] == content or b[0].startswith(content + "/"))]
+    kept = inside or [b for b in found if b[3]] or found
+    return " ".join(text for path, text, *_ in kept if not (boilerplate and len(text) <= SHORT_TEXT and _text_token(path, text) in boilerplate))
 
 
 def extract(pages: DataFrame) -> DataFrame:

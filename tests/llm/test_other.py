@@ -51,6 +51,22 @@ def test_html_templates(spark):
     assert html_text.extract(df.limit(0)).count() == 0
 
 
+def _extracted(spark, pages, host="https://h.example.com/"):
+    df = spark.createDataFrame([(k, host and f"{host}{k}", h) for k, h in enumerate(pages)], "page_id long, url string, html string")
+    return {r.page_id: r.text for r in html_text.extract(df).collect()}
+
+
+def test_html_template_decides_over_article(spark):
+    """The main text lies in a plain element, in sections of their own, and an article tag marks only a teaser."""
+    def page(k):
+        return f"<html><body><div class='low'><article><p>Teaser {k}</p></article></div><div class='box'><h1>Title {k}</h1><section><p>{prose(k, 60)}</p></section><section><p>{prose(k + 50, 60)}</p></section></div></body></html>"
+
+    out = _extracted(spark, [page(k) for k in range(8)])
+    assert out == {k: f"Title {k} {prose(k, 60)} {prose(k + 50, 60)}" for k in range(8)}
+    out = _extracted(spark, [page(k) for k in range(3)])
+    assert out == {k: f"Teaser {k}" for k in range(3)}  # no template: too few pages
+
+
 def test_cgk_distance():
     r = random.Random(3)
     for _ in range(200):
