@@ -10,7 +10,10 @@ lies between them are slots. The content is the deepest element of the frame tha
 its inner elements, menus and the like and template texts apart; its slots are the main text. Hosts without a
 template, and pages without their host's content element, are read by their article tags.
 
-Edge cases: null html gives an empty text, a null or odd url makes a host of its own, hosts with few pages are read by
+Copies of a page count once, and hosts most of whose text is the same on all pages have no template. Template texts
+are dropped within the content too, but never its headings.
+
+Edge cases: null html gives an empty text, all null or odd urls make one host, hosts with few different pages are read by
 their tags alone, repeated rows are returned each, an empty table gives an empty result, further columns are ignored.
 """
 
@@ -41,6 +44,7 @@ _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([a
 _RAW_END = {t: re.compile(rf"</{t}\s*>", re.I) for t in ("script", "style", "textarea", "title", "noscript", "template", "iframe", "svg", "select", "option")}
 _RAW = {"script", "style", "template", "iframe", "svg", "textarea", "select", "noscript"}
 _ATTR = re.compile(r"([^\s=>/]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+)))?")
+_HEADING = re.compile(r"h[1-6](?:\.|$)")
 _VOID = {"area", "base", "br", "col", "embed", "hr", "img", "input", "link", "meta", "param", "source", "track", "wbr"}
 _BLOCK = set("address article aside blockquote body br center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 header hr html li main nav ol p pre section summary table tbody td tfoot th thead tr ul".split())
 _CLOSES_P = _BLOCK - {"br", "body", "html"}
@@ -162,14 +166,14 @@ def _text_token(path: str, text: str) -> str:
 
 
 def page_tokens(pages: DataFrame) -> DataFrame:
-    """host, page_id, token, kind (TAG, SHORT or LONG text), times, mass: what each page counts.
+    """host, page (hash of its html), token, kind (TAG, SHORT or LONG text), times, mass: what each page counts.
 
     The mass of a tag is the unlinked text kept in the elements inside it; the tag '' stands for the whole page."""
 
     def run(batches):
         for batch in batches:
             cols: list[list] = [[] for _ in range(6)]
-            for page_id, host, page in zip(*(c.to_pylist() for c in batch.columns)):
+            for key, host, page in zip(*(c.to_pylist() for c in batch.columns)):
                 found, tags = blocks(page or "")
                 texts, own, inner = {}, Counter(), Counter()
                 for path, text, linked, _, dropped in found:
@@ -184,12 +188,12 @@ def page_tokens(pages: DataFrame) -> DataFrame:
                         inner[path] += mass
                 rows = [("", TAG, 1, inner[""]), *((t, TAG, times, inner[t]) for t, times in tags.items()), *((t, *x) for t, x in texts.items())]
                 for row in rows:
-                    for c, v in zip(cols, (host, page_id, *row)):
+                    for c, v in zip(cols, (host, key, *row)):
                         c.append(v)
             kinds = [pa.string(), pa.int64(), pa.string(), pa.int32(), pa.int64(), pa.int64()]
-            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "page_id", "token", "kind", "times", "mass"])
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(cols, kinds)], ["host", "page", "token", "kind", "times", "mass"])
 
-    return pages.mapInArrow(run, "host string, page_id long, token string, kind int, times long, mass long")
+    return pages.mapInArrow(run, "host string, page long, token string, kind int, times long, mass long")
 
 
 def with_host(pages: DataFrame) -> DataFrame:
@@ -203,13 +207,15 @@ def _fixed(start: str) -> str:
 
 
 def templates(pages: DataFrame, min_pages: int = MIN_PAGES, support: float = SUPPORT) -> DataFrame:
-    """host, content (path of the content element), boilerplate (template texts): one row for each host with enough pages."""
-    tokens = page_tokens(pages.select("page_id", "host", "html"))
-    size = pages.groupBy("host").agg(F.count(F.lit(1)).alias("pages")).filter(F.col("pages") >= min_pages)
+    """host, content (path of the content element), boilerplate (template texts): one row for each host with enough different pages."""
+    keyed = pages.select(F.xxhash64("html").alias("page"), "host", "html")
+    size = keyed.groupBy("host").agg(F.count_distinct("page").alias("pages")).filter(F.col("pages") >= min_pages)
+    # copies of a page count once
+    tokens = page_tokens(keyed).groupBy("host", "page", "token", "kind").agg(F.max("times").alias("times"), F.max("mass").alias("mass"))
     counted = tokens.groupBy("host", "token", "kind").agg(
         F.count(F.lit(1)).alias("n"),
         F.max("times").alias("most"),
-        F.bit_xor(F.xxhash64("page_id", "times")).alias("vector"),
+        F.bit_xor(F.xxhash64("page", "times")).alias("vector"),
         F.sum("mass").alias("mass"),
     )
     frequent = counted.join(size, "host").filter(F.col("n") >= F.col("pages") * support)
@@ -226,7 +232,8 @@ def templates(pages: DataFrame, min_pages: int = MIN_PAGES, support: float = SUP
         F.flatten(F.collect_list(F.when(outer, F.col("tags")))).alias("tags"), F.flatten(F.collect_list(F.when(outer, F.col("texts")))).alias("texts"), F.max("total").alias("total")
     ).filter(F.size("tags") > 0)
     everywhere, inside = _fixed("''"), _fixed("concat(x.token, '/')")
-    hosts = hosts.withColumn("total", F.expr(f"total - {everywhere}"))
+    # where most text is the same on all pages, they are copies but for details, and give no template
+    hosts = hosts.filter(F.expr(f"total >= 2 * {everywhere}")).withColumn("total", F.expr(f"total - {everywhere}"))
     hosts = hosts.withColumn("tags", F.expr(f"transform(tags, x -> struct(length(x.token) as depth, x.token as token, x.mass - {inside} as mass))"))
     return hosts.select(
         "host",
@@ -236,11 +243,16 @@ def templates(pages: DataFrame, min_pages: int = MIN_PAGES, support: float = SUP
     )
 
 
+def _is_template(path: str, text: str, boilerplate: frozenset[str]) -> bool:
+    """Headings of the content stay, though all pages share them."""
+    return len(text) <= SHORT_TEXT and _text_token(path, text) in boilerplate and not _HEADING.match(path.rpartition("/")[2])
+
+
 def main_text(page: str, content: str | None = None, boilerplate: frozenset[str] = frozenset()) -> str:
     found = [b for b in blocks(page)[0] if not b[4]]
     inside = [b for b in found if content and (b[0] == content or b[0].startswith(content + "/"))]
     kept = inside or [b for b in found if b[3]] or found
-    return " ".join(text for path, text, *_ in kept if not (boilerplate and len(text) <= SHORT_TEXT and _text_token(path, text) in boilerplate))
+    return " ".join(text for path, text, *_ in kept if not (boilerplate and _is_template(path, text, boilerplate)))
 
 
 def extract(pages: DataFrame) -> DataFrame:

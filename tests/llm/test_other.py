@@ -67,6 +67,24 @@ def test_html_template_decides_over_article(spark):
     assert out == {k: f"Teaser {k}" for k in range(3)}  # no template: too few pages
 
 
+@pytest.mark.parametrize("host", ["https://h.example.com/", None])
+def test_html_copies_keep_their_text(spark, host):
+    """Copies of one page, alike or but for a detail, are no template."""
+    page = "<html><body><div class='box'><article><h1>Same</h1><p>One short text</p><ul><li>and more</li></ul></article><div class='low'>{}</div></div></body></html>"
+    assert _extracted(spark, [page.format("x")] * 7, host) == {k: "Same One short text and more" for k in range(7)}
+    out = _extracted(spark, [page.format(f"Page {k}") for k in range(7)], host)
+    assert all(t.startswith("Same One short text and more") for t in out.values())
+    out = _extracted(spark, [page.format(f"<p>Page {k}</p>") for k in range(7)], host)
+    assert all(t.startswith("Same One short text and more") for t in out.values())
+    inner = [page.format("x").replace("</ul>", f"</ul><p class='at'>{k}</p>") for k in range(7)]
+    assert _extracted(spark, inner, host) == {k: f"Same One short text and more {k}" for k in range(7)}
+
+
+def test_html_shared_headings_stay(spark):
+    out = _extracted(spark, [f"<html><body><div class='all'><article><h1>News</h1><div class='bar'>Read it to friends</div><p>{prose(k, 60)}</p></article></div></body></html>" for k in range(8)])
+    assert out == {k: f"News {prose(k, 60)}" for k in range(8)}
+
+
 def test_cgk_distance():
     r = random.Random(3)
     for _ in range(200):
