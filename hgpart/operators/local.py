@@ -367,83 +367,106 @@ def _sequential_level(g: Graph, alive: np.ndarray, max_nodes: int, max_inbound:
     return gamma
 
 
-def _sequential_refine(g: Graph, p: np.ndarray, alive: np.ndarray, max_nodes: int, max_inbound: int, patience: int = 64) -> np.ndarray:
-    """Best valid move first, each node once, on through losses, back to the best state."""
+def _sequential_refine(g: Graph, p: np.ndarray, alive: np.ndarray, max_nodes: int, max_inbound: int) -> np.ndarray:
+    """Best valid move first among partitions that share a hyperedge with the node, each node once, on through losses
+    until no valid move is left, back to the best state.
+
+    Risen gains enter the heap at once; fallen ones when they come up. Moves that do not fit wait for their
+    partition to lose a node."""
     incident, _ = _sets(g)
     bound = {(int(e), int(n)) for e, n, b in zip(g.e, g.n, g.bound) if b}
-    members = defaultdict(list)
-    cnt, cin = defaultdict(lambda: defaultdict(int)), defaultdict(int)
-    size, load = defaultdict(int), defaultdict(int)
+    w, mult, sizes = g.w.tolist(), g.mult.tolist(), g.size.tolist()
+    p = p.tolist()
+    members: dict[int, list[int]] = defaultdict(list)
+    within: dict[tuple[int, int], set[int]] = defaultdict(set)  # (hyperedge, partition) -> its nodes there
+    cin, size, load = defaultdict(int), defaultdict(int), defaultdict(int)
     for e, n in zip(g.e.tolist(), g.n.tolist()):
-        q = int(p[n])
+        q = p[n]
         members[e].append(n)
-        cnt[e][q] += 1
+        within[e, q].add(n)
         if (e, n) in bound:
             cin[q, e] += 1
-            load[q] += int(g.mult[e]) if cin[q, e] == 1 else 0
-    for n in np.nonzero(alive)[0].tolist():
-        size[int(p[n])] += int(g.size[n])
-
-    def options(n):
-        s, touch, total = int(p[n]), defaultdict(int), 0
-        saving = 0
-        for e in incident[n]:
-            w = int(g.w[e])
-            total += w
-            saving += w if cnt[e][s] == 1 else 0
-            for q, c in cnt[e].items():
-                if c and q != s:
-                    touch[q] += w
-        return sorted(((saving - total + t, q) for q, t in touch.items()), reverse=True)
+            load[q] += mult[e] if cin[q, e] == 1 else 0
+    nodes = np.nonzero(alive)[0].tolist()
+    base: dict[int, int] = defaultdict(int)  # saving - total
+    touch: dict[int, dict[int, int]] = defaultdict(lambda: defaultdict(int))
+    for n in nodes:
+        size[p[n]] += sizes[n]
+    for (e, q), there in within.items():
+        for n in members[e]:
+            if p[n] != q:
+                touch[n][q] += w[e]
+            else:
+                base[n] += (w[e] if len(there) == 1 else 0) - w[e]
 
     def fits(n, q):
-        return size[q] + g.size[n] <= max_nodes and load[q] + sum(int(g.mult[e]) for e in incident[n] if (e, n) in bound and not cin[q, e]) <= max_inbound
+        return size[q] + sizes[n] <= max_nodes and load[q] + sum(mult[e] for e in incident[n] if (e, n) in bound and not cin[q, e]) <= max_inbound
+
+    heap = [(-(base[n] + t), n, -q) for n in nodes for q, t in touch[n].items()]
+    heapq.heapify(heap)
+    locked: set[int] = set()
+    waiting: dict[int, set[int]] = defaultdict(set)
+
+    def push(n, q):
+        if touch[n][q] > 0:
+            heapq.heappush(heap, (-(base[n] + touch[n][q]), n, -q))
 
     def move(n, q):
-        s = int(p[n])
+        """Moves n and brings the gains of all free nodes up to date."""
+        s = p[n]
         for e in incident[n]:
-            cnt[e][s] -= 1
-            if not cnt[e][s]:
-                del cnt[e][s]
-            cnt[e][q] += 1
+            left, new = within[e, s], within[e, q]
+            left.discard(n)
+            if not left:
+                for m in members[e]:
+                    if m not in locked:
+                        touch[m][s] -= w[e]
+            elif len(left) == 1 and (m := next(iter(left))) not in locked:
+                base[m] += w[e]
+                for t in touch[m]:
+                    push(m, t)
+            if not new:
+                for m in members[e]:
+                    if m not in locked:
+                        touch[m][q] += w[e]
+                        push(m, q)
+            elif len(new) == 1 and (m := next(iter(new))) not in locked:
+                base[m] -= w[e]
+            new.add(n)
             if (e, n) in bound:
                 cin[s, e] -= 1
-                load[s] -= int(g.mult[e]) if not cin[s, e] else 0
-                load[q] += int(g.mult[e]) if not cin[q, e] else 0
+                load[s] -= mult[e] if not cin[s, e] else 0
+                load[q] += mult[e] if not cin[q, e] else 0
                 cin[q, e] += 1
-        size[s] -= int(g.size[n])
-        size[q] += int(g.size[n])
+        size[s] -= sizes[n]
+        size[q] += sizes[n]
         p[n] = q
+        for m in waiting.pop(s, ()):
+            if m not in locked:
+                push(m, s)
 
-    p = p.copy()
-    heap, version = [], defaultdict(int)
-
-    def push(n):
-        version[n] += 1
-        for gain, q in options(n)[:4]:
-            heapq.heappush(heap, (-gain, n, -q, version[n]))
-
-    for n in np.nonzero(alive)[0].tolist():
-        push(n)
-    locked, log, total, best, best_at, bad = set(), [], 0, 0, 0, 0
-    while heap and bad < patience:
-        gain, n, q, v = heapq.heappop(heap)
+    log, total, best, best_at = [], 0, 0, 0
+    while heap:
+        gain, n, q = heapq.heappop(heap)
         gain, q = -gain, -q
-        if n in locked or v != version[n] or not fits(n, q):
+        if n in locked or touch[n][q] <= 0:
             continue
-        log.append((n, int(p[n])))
-        move(n, q)
+        if base[n] + touch[n][q] != gain:
+            if base[n] + touch[n][q] < gain:
+                push(n, q)
+            continue
+        if not fits(n, q):
+            waiting[q].add(n)
+            continue
+        log.append((n, p[n]))
         locked.add(n)
+        move(n, q)
         total += gain
         if total > best:
-            best, best_at, bad = total, len(log), 0
-        else:
-            bad += 1
-        for m in {m for e in incident[n] if len(members[e]) <= 64 for m in members[e]} - locked:
-            push(m)
+            best, best_at = total, len(log)
     for n, s in reversed(log[best_at:]):
-        move(n, s)
-    return p
+        p[n] = s
+    return np.array(p, np.int64)
 
 
 def sequential(g: Graph, max_nodes: int, max_inbound: int) -> np.ndarray:

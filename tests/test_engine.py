@@ -111,6 +111,53 @@ def test_exhaustive_optimum_bounds_the_heuristics(spark):
     assert best is not None and own >= best
 
 
+def test_sequential_refinement_reaches_a_fifth_target():
+    """The four heaviest neighbours of node 0 lie in full partitions; the fifth has room."""
+    homes = [[0], [1, 2, 3], [4, 5, 6], [7, 8, 9], [10, 11, 12], [13, 14]]
+    edges = [(h, 100) for h in homes[1:]] + [([0, h[0]], 9 - k) for k, h in enumerate(homes[1:])]
+    pins = [(e, n) for e, (held, _) in enumerate(edges) for n in held]
+    p = np.array([h[0] for h in homes for _ in h])
+    e, n = (np.array(x) for x in zip(*pins))
+    g = local.Graph(e, n, np.zeros(len(e), bool), np.ones(len(e), bool), np.array([w for _, w in edges]), np.ones(len(edges), np.int64), np.ones(15, np.int64))
+    out = local._sequential_refine(g, p, np.ones(15, bool), 3, 100)
+    assert out.tolist() == [13, *p.tolist()[1:]]
+
+
+@pytest.mark.parametrize("seed", range(30))
+def test_sequential_refinement_takes_the_best_move(seed):
+    """Against a search that counts connectivity anew for every move; hyperedges of many and of few nodes."""
+    r = random.Random(seed)
+    n_nodes, n_edges = r.randrange(4, 12), r.randrange(3, 12)
+    pins = [(e, n) for e in range(n_edges) for n in r.sample(range(n_nodes), r.randrange(2, n_nodes + 1))]
+    e, n = (np.array(x) for x in zip(*pins))
+    dst = np.array([r.random() < 0.7 for _ in pins])
+    g = local.Graph(e, n, ~dst, dst, np.array([1 + 7 * k % 5 for k in range(n_edges)]), np.ones(n_edges, np.int64), np.ones(n_nodes, np.int64))
+    first = np.array([r.randrange(4) for _ in range(n_nodes)])
+    most, inbound = max(r.randrange(3, 6), int(np.bincount(first).max())), r.randrange(5, 14)
+    p, locked, log, total, best, at = first.copy(), set(), [], 0, 0, 0
+    while True:
+        moves = []
+        for v in set(range(n_nodes)) - locked:
+            near = {int(p[m]) for x in e[n == v] for m in n[e == x]} - {int(p[v])}
+            for q in near:
+                to = p.copy()
+                to[v] = q
+                if (to == q).sum() <= most and len(set(e[dst & (to[n] == q)].tolist())) <= inbound:
+                    moves.append((local.connectivity(g, p) - local.connectivity(g, to), -v, q))
+        if not moves:
+            break
+        gain, v, q = max(moves)
+        log.append((-v, int(p[-v])))
+        p[-v] = q
+        locked.add(-v)
+        total += gain
+        if total > best:
+            best, at = total, len(log)
+    for v, q in reversed(log[at:]):
+        p[v] = q
+    assert local._sequential_refine(g, first, np.ones(n_nodes, bool), most, inbound).tolist() == p.tolist()
+
+
 @pytest.mark.parametrize("rows, n_nodes", [([], 3), ([(0, 0)], 1), ([(0, 0), (0, 0), (0, 1)], 2)])
 def test_small_inputs(spark, rows, n_nodes):
     hg = Hypergraph.from_pins(spark.createDataFrame(rows, "e long, n long"), None, spark.range(n_nodes).select(F.col("id").alias("n")))
