@@ -73,14 +73,14 @@ def run_local(hg: Hypergraph, limits: Limits, method: str = "multilevel", **opts
     return packed.groupBy(F.lit(0).alias("all")).applyInPandas(solve, "kind string, level int, a long, b long, c long, d long")
 
 
-def coarsen(hg: Hypergraph, limits: Limits, max_levels: int = 200, materialize_neighbors: bool = False, deferred: int = 0, match: str = "doubling") -> list[Level]:
+def coarsen(hg: Hypergraph, limits: Limits, max_levels: int | None = None, materialize_neighbors: bool = False, deferred: int = 0, match: str = "doubling") -> list[Level]:
     """Levels, finest first; the last has gamma None. Stops at ceil(total size / max_nodes) nodes or when nothing merges."""
     hg = _kept(hg)
     total = hg.nodes.agg(F.sum("size")).first()[0] or 0
     target = 1 if limits.max_nodes >= NO_LIMIT else -(-total // limits.max_nodes)
     nbrs = materialize(neighbors(hg), "neighbors") if materialize_neighbors else None
     levels: list[Level] = []
-    while len(levels) < max_levels and hg.nodes.count() > target:
+    while (max_levels is None or len(levels) < max_levels) and hg.nodes.count() > target:
         proposal = materialize(candidates.propose_deferred(hg, limits, deferred) if deferred else candidates.propose_candidates(hg, limits, nbrs), "proposal")
         if proposal.isEmpty():
             break
@@ -117,13 +117,14 @@ def refine_once(hg: Hypergraph, assign: DataFrame, limits: Limits, admit: str =
 
 
 def refine(levels: list[Level], limits: Limits, passes: int = 1, **opts) -> PartitionResult:
+    """Up to `passes` rounds a level; 0: until nothing moves."""
     assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p"))
     reports = []
     for k in range(len(levels) - 1, -1, -1):
         if levels[k].gamma is not None:
             assign = materialize(sequence.project(assign, levels[k].gamma), "assign")
         made = 0
-        for _ in range(passes):
+        for _ in range(passes if passes else 1 << 30):
             assign, gained, n = refine_once(levels[k].graph, assign, limits, **opts)
             made += n
             if not n:

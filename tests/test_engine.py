@@ -1,5 +1,6 @@
 """Engine against its local twin, brute force, and awkward inputs."""
 
+import inspect
 import itertools
 import random
 
@@ -111,6 +112,17 @@ def test_exhaustive_optimum_bounds_the_heuristics(spark):
     assert best is not None and own >= best
 
 
+def test_both_paths_end_alike(spark):
+    """passes=0 refines until nothing moves on both paths, and neither limits the number of levels."""
+    assert inspect.signature(multilevel.coarsen).parameters["max_levels"].default is None
+    hg, lim = random_graph(spark, 2), Limits(3, 100)
+    near, far = (multilevel.HypergraphPartitioner(lim, passes=0, local_pins=k).fit(hg).assign for k in (multilevel.LOCAL_PINS, -1))
+    assert sorted(near.collect()) == sorted(far.collect())
+    level = [multilevel.Level(hg, None)]
+    until, many = multilevel.refine(level, lim, 0), multilevel.refine(level, lim, 30)
+    assert sorted(until.assign.collect()) == sorted(many.assign.collect()) and until.reports == many.reports != [(0, 0)]
+
+
 def test_sequential_refinement_reaches_a_fifth_target():
     """The four heaviest neighbours of node 0 lie in full partitions; the fifth has room."""
     homes = [[0], [1, 2, 3], [4, 5, 6], [7, 8, 9], [10, 11, 12], [13, 14]]
