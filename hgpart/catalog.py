@@ -158,8 +158,8 @@ _step(
 
 
 def _levels(hg: Hypergraph, lim: Limits) -> DataFrame:
-    rows = multilevel.run_local(hg, lim, "multilevel")
-    return rows.filter("kind = 'level'").select("level", F.col("a").alias("n_nodes"), F.col("b").alias("n_pins"), F.col("c").alias("connectivity"), F.col("d").alias("n_moves"))
+    reports = multilevel.HypergraphPartitioner(lim).fit(hg).reports
+    return hg.pins.sparkSession.createDataFrame(reports, "level int, n_nodes long, n_pins long, connectivity long, n_moves long")
 
 
 _step("coarsen_levels", _levels, None)
@@ -275,9 +275,10 @@ _step("base_one_pass", _baseline("one_pass"), None, "terms")
 _step("base_one_pass_size_only", lambda hg, lim: _baseline("one_pass")(hg, Limits(lim.max_nodes)), "SELECT n, n // 16 * 16 AS p FROM nodes")
 
 
-def compare(spark: SparkSession, sf_dir: str, names=("terms", "links", "knn", "dialog")) -> DataFrame:
-    """(workload, method, connectivity, n_parts, max_size, max_inbound, n_broken, ratio): ratio is the multi-level
-    method's connectivity over the method's."""
+def compare(spark: SparkSession, sf_dir: str, names=tuple(BUILDERS)) -> DataFrame:
+    """(workload, method, connectivity, n_parts, max_size, max_inbound, n_broken, ratio, geometric, arithmetic): ratio is
+    the multi-level method's connectivity over the method's (both 0: 1), the last two its means over the workloads; a
+    connectivity of 0 on one side only is left as it is, so that the geometric mean may be 0."""
     out = None
     for name in names:
         hg = BUILDERS[name](spark, sf_dir)
@@ -289,7 +290,10 @@ def compare(spark: SparkSession, sf_dir: str, names=("terms", "links", "knn", "d
             out = one if out is None else out.unionByName(one)
     rows = materialize(out, "compare")
     own = rows.filter("method = 'multilevel'").select("workload", F.col("connectivity").alias("own"))
-    return rows.join(own, "workload").select("workload", "method", "connectivity", "n_parts", "max_size", "max_inbound", "n_broken", (F.col("own") / F.greatest(F.col("connectivity"), F.lit(1))).alias("ratio"))
+    ratio = F.when((F.col("own") == 0) & (F.col("connectivity") == 0), 1.0).otherwise(F.col("own") / F.greatest(F.col("connectivity"), F.lit(1)))
+    ratios = rows.join(own, "workload").select("workload", "method", "connectivity", "n_parts", "max_size", "max_inbound", "n_broken", ratio.alias("ratio"))
+    geometric = F.when(F.min("ratio") > 0, F.exp(F.avg(F.log("ratio")))).otherwise(0.0)
+    return ratios.join(ratios.groupBy("method").agg(geometric.alias("geometric"), F.avg("ratio").alias("arithmetic")), "method").select(*ratios.columns, "geometric", "arithmetic")
 
 
 _add("measure_relative", compare)
@@ -304,7 +308,7 @@ def scaling(spark: SparkSession, sf_dir: str) -> DataFrame:
     for share in (4, 2, 1):
         part = Hypergraph(materialize(hg.pins.filter(F.pmod("e", F.lit(share)) == 0)), hg.edges, hg.nodes)
         began = time.time()
-        materialize(multilevel.run_local(part, limits_of("basket", part)))
+        materialize(_fit(part, limits_of("basket", part)))
         rows.append((share, part.pins.count(), time.time() - began))
     df = spark.createDataFrame(rows, "share int, n_pins long, seconds double")
     fit = df.agg(F.regr_slope("seconds", "n_pins").alias("slope"), F.regr_r2("seconds", "n_pins").alias("r2"))

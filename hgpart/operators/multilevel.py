@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hgpart.model import NO_LIMIT, Hypergraph, Limits, merge_parallel, neighbors
-from hgpart.operators import candidates, contract, local, matching, moves, sequence
+from hgpart.operators import candidates, contract, local, matching, metrics, moves, sequence
 from hgpart.plans.checkpoints import materialize
 
 #: A level with at most so many pins and co-pin pairs runs in one task.
@@ -117,7 +117,7 @@ def refine_once(hg: Hypergraph, assign: DataFrame, limits: Limits, admit: str =
 
 
 def refine(levels: list[Level], limits: Limits, passes: int = 1, **opts) -> PartitionResult:
-    """Up to `passes` rounds a level; 0: until nothing moves."""
+    """Up to `passes` rounds a level; 0: until nothing moves. Reports: level, nodes, pins, connectivity after it, moves."""
     assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p"))
     reports = []
     for k in range(len(levels) - 1, -1, -1):
@@ -129,7 +129,8 @@ def refine(levels: list[Level], limits: Limits, passes: int = 1, **opts) -> Part
             made += n
             if not n:
                 break
-        reports.append((k, made))
+        graph = levels[k].graph
+        reports.append((k, graph.nodes.count(), graph.pins.count(), int(metrics.connectivity(graph, assign).first()[0] or 0), made))
     return PartitionResult(assign, reports)
 
 
