@@ -1,13 +1,15 @@
 """Removal of repeated passages by a hash-compared suffix sort.
 
 A window is a suffix cut at SPAN bytes. Two windows are equal only if their least-hashed k-gram stands at the same
-offset, so windows are classed by that anchor: a run of windows with one anchor is a block. Blocks met
-twice in whole are repeated without more ado. Blocks whose anchor's k-gram occurs elsewhere but whose content does
-not are sent, with one copy of each whole block of that k-gram, to where the k-gram's blocks meet. There the
-windows at equal offsets are sorted as suffixes: mergesort, comparing two suffixes by binary search for
-their common extension over prefix polynomial hashes. Neighbours that agree over SPAN bytes are verified byte by byte. For a
-k-gram with more than CROWD different blocks the windows are dealt singly by two independent 64-bit hashes
-and counted instead, so that no task gathers a crowd.
+offset, so windows are classed by that anchor: a run of windows with one anchor is a block. Blocks met twice in
+whole are repeated; whole blocks are told apart by 128-bit BLAKE2 digests of their bytes. Blocks whose anchor's
+k-gram occurs elsewhere but whose content does not are sent, with one copy of each whole block of that k-gram,
+to where the k-gram's blocks meet. There the windows at equal offsets are sorted as suffixes: mergesort,
+comparing two suffixes by binary search for their common extension over prefix polynomial hashes. Neighbours that
+agree over SPAN bytes are verified byte by byte. For a k-gram with more than CROWD different blocks the windows
+are dealt singly by their 128-bit digests and met by these instead, so that no task gathers a crowd.
+
+Repeats are handed on as byte ranges of their rows, so what is cut is what was compared.
 
 Edge cases: a null text is empty; texts under SPAN bytes lose nothing and overlap nothing; matches
 never cross documents; repeated rows repeat each other; rows are told apart by id and text, so null and repeated
@@ -21,44 +23,39 @@ import hashlib
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from hgpart.llm.tables import written
-from hgpart.llm.words import BASE, mixed, powers
+from hgpart.llm.words import mixed, powers
 
 SPAN = 200
 GRAM = 40
 CROWD = 256
 SEGMENT = 1 << 19
+#: Windows that a task sorts at once, crowded blocks whose windows it deals out at once, and bytes of texts that it holds beside
+#: their batch.
+SORTED_WINDOWS = 200_000
+CROWD_BLOCKS = 2048
+SLICE_BYTES = 1 << 20
 _WIDTH = SPAN - GRAM + 1
 _LOW = np.uint64((1 << 24) - 1)
-SECOND_BASE = 0xD6E8FEB86659FD93
-
-
-def _prefix(raw: np.ndarray, base: int = BASE) -> np.ndarray:
-    if base == BASE:
-        up = powers(len(raw) + 1)[0]
-    else:
-        up = _second(len(raw) + 1)[0]
-    return np.concatenate([[np.uint64(0)], np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * up[: len(raw)])])
 
 
-def _second(n: int):
-    if len(_second.kept[0]) < n:
-        room = 1 << max(16, (n - 1).bit_length())
-        inverse = pow(SECOND_BASE, -1, 1 << 64)
-        _second.kept = tuple(np.concatenate([[np.uint64(1)], np.cumprod(np.full(room - 1, b, np.uint64))]) for b in (SECOND_BASE, inverse))
-    return _second.kept
+def _prefix(raw: np.ndarray) -> np.ndarray:
+    return np.concatenate([[np.uint64(0)], np.cumsum((raw.astype(np.uint64) + np.uint64(1)) * powers(len(raw) + 1)[0][: len(raw)])])
 
 
-_second.kept = (np.zeros(0, np.uint64), np.zeros(0, np.uint64))
+def digests(raw: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """Two columns of BIGINT: the 128-bit digest of each stretch of raw."""
+    view = memoryview(raw.tobytes())
+    joined = b"".join(hashlib.blake2b(view[a:b], digest_size=16).digest() for a, b in zip(starts.tolist(), ends.tolist()))
+    return np.frombuffer(joined, np.int64).reshape(-1, 2)
 
 
 class Blocks:
-    """Blocks of some bytes: first and last window, anchor, gram hash g and content hash b of each.
-
-    ends: where the text of each byte ends."""
+    """Blocks of some bytes: first and last window, anchor and gram hash g of each."""
 
     def __init__(self, raw: np.ndarray, text_starts: np.ndarray, text_ends: np.ndarray):
         self.raw, n = raw, len(raw)
@@ -84,19 +81,10 @@ class Blocks:
         self.last = np.concatenate([at[np.nonzero(new)[0][1:] - 1], at[-1:]]) if len(at) else at
         self.anchor = anchor[new]
         self.g = grams[self.anchor].view(np.int64) if len(at) else np.zeros(0, np.int64)
-        size = (self.last - self.first + SPAN).astype(np.uint64)
-        whole = (self.total[self.last + SPAN] - self.total[self.first]) * self.down[self.first]
-        self.b = mixed(whole ^ mixed(size * np.uint64(512) + (self.anchor - self.first).astype(np.uint64))).view(np.int64)
 
     def hash(self, start: np.ndarray, size: int) -> np.ndarray:
         return mixed((self.total[start + size] - self.total[start]) * self.down[start])
 
-    def windows(self, chosen: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Starts of the windows of the chosen blocks, and the block of each."""
-        count = self.last[chosen] - self.first[chosen] + 1
-        block = np.repeat(chosen, count)
-        return np.arange(len(block)) - np.repeat(np.cumsum(count) - count, count) + self.first[block], block
-
 
 def _segments(texts: list[bytes]):
     """(row numbers, base in the text, bytes, text starts, text ends): texts together up to SEGMENT bytes; longer ones in overlapping parts."""
@@ -130,7 +118,7 @@ def _bytes(column) -> list[bytes]:
     return out
 
 
-def _some(texts: list[bytes], most: int = 4 << 20):
+def _some(texts: list[bytes], most: int = SLICE_BYTES):
     start, room = 0, 0
     for k, t in enumerate(texts):
         if room and room + len(t) > most:
@@ -224,71 +212,127 @@ def _keyed(docs: DataFrame) -> DataFrame:
     )
 
 
+def _packed(at: np.ndarray, size: np.ndarray, shift: np.ndarray) -> np.ndarray:
+    """Where a block stands in its text, its bytes beyond SPAN and its anchor's offset, in one BIGINT."""
+    return (at.astype(np.int64) << 20) | ((size - SPAN).astype(np.int64) << 10) | shift.astype(np.int64)
+
+
+def _unpacked(place: int) -> tuple[int, int, int]:
+    return place >> 20, (place >> 10 & 1023) + SPAN, place & 1023
+
+
+_ANCHORS = "g long, b long, c long, n long, place long, rk long, did long"
+
+
 def _anchors(batches):
+    """A row for each text and different block: n is 2 if the text repeats it. Where it does, all of its places are
+    known to repeat, and come merged as rows without g: from b up to c."""
     for batch in batches:
         rk, did, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _bytes(batch.column(2))
         for start, some in _some(texts):
-            out = []
-            for rows, _, raw, begins, ends in _segments(some):
+            found, places, grams = [], [], []
+            for rows, bases, raw, begins, ends in _segments(some):
                 blocks = Blocks(raw, begins, ends)
-                row = np.array(rows)[np.searchsorted(begins, blocks.first, "right") - 1] + start
-                out.append(np.stack([row, blocks.g, blocks.b]))
-            if not out:
+                part = np.searchsorted(begins, blocks.first, "right") - 1
+                size = blocks.last + SPAN - blocks.first
+                places.append(_packed(blocks.first - begins[part] + np.array(bases)[part], size, blocks.anchor - blocks.first))
+                found.append(np.column_stack([np.array(rows)[part] + start, digests(raw, blocks.first, blocks.last + SPAN)]))
+                grams.append(blocks.g)
+            if not found:
                 continue
-            found = np.concatenate(out, axis=1)
-            found = found[:, np.lexsort((found[2], found[0]))]
-            new = np.concatenate([[True], (found[0, 1:] != found[0, :-1]) | (found[2, 1:] != found[2, :-1])])
+            found, place, g = np.concatenate(found), np.concatenate(places), np.concatenate(grams)
+            order = np.lexsort((place, found[:, 2], found[:, 1], found[:, 0]))
+            found, place, g = found[order], place[order], g[order]
+            new = np.concatenate([[True], (found[1:] != found[:-1]).any(axis=1)])
             at = np.nonzero(new)[0]
-            count = np.diff(np.concatenate([at, [found.shape[1]]]))
-            row, g, b = found[:, at]
+            count = np.diff(np.concatenate([at, [len(found)]]))
             for k in range(0, len(at), 65536):
-                s = slice(k, k + 65536)
-                yield pa.RecordBatch.from_arrays([pa.array(g[s]), pa.array(b[s]), pa.array(count[s]), pa.array(rk[row[s]]), pa.array(did[row[s]])], ["g", "b", "n", "rk", "did"])
+                s = at[k : k + 65536]
+                yield _anchor_batch(g[s], found[s, 1], found[s, 2], np.minimum(count[k : k + 65536], 2), place[s], rk[found[s, 0]], did[found[s, 0]])
+            again = np.nonzero(np.repeat(count > 1, count))[0]
+            again = again[np.lexsort((place[again], found[again, 0]))]
+            row, low = found[again, 0], place[again] >> 20
+            high = low + (place[again] >> 10 & 1023) + SPAN
+            merged = []
+            for r, a, b in zip(row.tolist(), low.tolist(), high.tolist()):
+                if merged and merged[-1][0] == r and a <= merged[-1][2]:
+                    merged[-1][2] = max(merged[-1][2], b)
+                else:
+                    merged.append([r, a, b])
+            if merged:
+                r, a, b = map(np.array, zip(*merged))
+                yield _anchor_batch(None, a, b, np.zeros(len(r), np.int64), np.zeros(len(r), np.int64), rk[r], did[r])
+
+
+def _anchor_batch(g, b, c, n, place, rk, did):
+    g = pa.nulls(len(b), pa.int64()) if g is None else pa.array(g)
+    return pa.RecordBatch.from_arrays([g, *(pa.array(x, pa.int64()) for x in (b, c, n, place, rk, did))], ["g", "b", "c", "n", "place", "rk", "did"])
+
+
+_EDGES = "g long, h long, raw binary, place long, weight long, rk long, did long"
 
 
 def _edge_blocks(batches):
-    """Bytes of the blocks asked for, and the bare hashes of the windows of crowded ones: rows of weight 1 are
-    one window of one row, of weight 2 known to repeat, of weight -1 results."""
+    """Bytes of the blocks asked for, and the bare digests (g, h) of the windows of crowded ones. Weight 1: met at
+    this row alone so far; 2: known to repeat; -1: a result."""
     for batch in batches:
         rk, did, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _bytes(batch.column(2))
-        asked = [{b: (w, c) for b, w, c in zip(*x)} for x in zip(*(batch.column(k).to_pylist() for k in (3, 4, 5)))]
-        for start, some in _some(texts):
-            for rows, _, raw, begins, ends in _segments(some):
-                blocks = Blocks(raw, begins, ends)
-                row = np.array(rows)[np.searchsorted(begins, blocks.first, "right") - 1] + start
-                chosen = [(k, r, *asked[r][b]) for k, (r, b) in enumerate(zip(row.tolist(), blocks.b.tolist())) if b in asked[r]]
-                # a block that a text holds again is sent once
-                chosen = list({(r, int(blocks.b[k])): (k, r, w, c) for k, r, w, c in chosen}.values())
-                plain = [x for x in chosen if not x[3]]
-                crowd = [x for x in chosen if x[3]]
-                for k in range(0, len(plain), 4096):
-                    part = plain[k : k + 4096]
-                    at = np.array([x[0] for x in part])
-                    yield _edge_batch(
-                        blocks.g[at], [raw[blocks.first[a] : blocks.last[a] + SPAN].tobytes() for a in at], blocks.anchor[at] - blocks.first[at],
-                        np.zeros(len(at), np.int64), np.array([x[2] for x in part]), rk[[x[1] for x in part]], did[[x[1] for x in part]],
-                    )
-                if crowd:
-                    at = np.array([x[0] for x in crowd])
-                    starts, block = blocks.windows(at)
-                    who = {int(b): i for i, b in enumerate(at)}
-                    mine = np.array([who[int(b)] for b in block])
-                    total, down = _prefix(raw, SECOND_BASE), _second(len(raw) + 1)[1]
-                    second = mixed((total[starts + SPAN] - total[starts]) * down[starts]).view(np.int64)
-                    h = blocks.hash(starts, SPAN).view(np.int64)
-                    weight = np.array([x[2] for x in crowd])[mine]
-                    owner = np.array([x[1] for x in crowd])
-                    order = np.lexsort((second, h))
-                    new = np.concatenate([[True], (np.diff(h[order]) != 0) | (np.diff(second[order]) != 0)])
-                    group = np.empty(len(h), np.int64)
-                    group[order] = np.cumsum(new) - 1
-                    times = np.bincount(group, weight).astype(np.int64)
-                    # what repeats here is known already: the outermost such windows of a block cover the others
-                    known = np.nonzero((times[group] > 1) & (weight == 1))[0]
-                    ends = _outermost(mine[known])
-                    yield from _bare(h[known[ends]], second[known[ends]], np.full(len(ends), -1), rk[owner[mine[known[ends]]]], did[owner[mine[known[ends]]]])
-                    lead = order[new]
-                    yield from _bare(h[lead], second[lead], np.minimum(times[group[lead]], 2), rk[owner[mine[lead]]], did[owner[mine[lead]]])
+        asked = [list(zip(*x)) for x in zip(*(batch.column(k).to_pylist() for k in (3, 4, 5, 6)))]
+        plain, room, crowd = [], 0, []
+        for row, wanted in enumerate(asked):
+            for place, g, weight, crowded in wanted:
+                at, size, _ = _unpacked(place)
+                block = (g, texts[row][at : at + size], place, weight, row)
+                if crowded:
+                    crowd.append(block)
+                    if len(crowd) >= CROWD_BLOCKS:
+                        yield _crowd_windows(crowd, rk, did)
+                        crowd = []
+                    continue
+                plain.append(block)
+                room += size
+                if room > SLICE_BYTES:
+                    yield _edge_batch(plain, rk, did)
+                    plain, room = [], 0
+        if plain:
+            yield _edge_batch(plain, rk, did)
+        if crowd:
+            yield _crowd_windows(crowd, rk, did)
+
+
+def _edge_batch(plain, rk, did):
+    g, raw, place, weight, row = zip(*plain)
+    row = np.array(row)
+    return pa.RecordBatch.from_arrays(
+        [pa.array(g, pa.int64()), pa.nulls(len(g), pa.int64()), pa.array(raw, pa.binary()), pa.array(place, pa.int64()), pa.array(weight, pa.int64()), pa.array(rk[row]), pa.array(did[row])],
+        ["g", "h", "raw", "place", "weight", "rk", "did"],
+    )
+
+
+def _crowd_windows(crowd, rk, did):
+    """A row for each different window of these blocks, and for the outermost of those of a block that others of them hold too."""
+    _, parts, places, weights, rows = zip(*crowd)
+    sizes = np.array([len(x) for x in parts])
+    count = sizes - SPAN + 1
+    block = np.repeat(np.arange(len(parts)), count)
+    inside = np.arange(len(block)) - np.repeat(np.cumsum(count) - count, count)
+    start = (np.cumsum(sizes) - sizes)[block] + inside
+    both = digests(np.frombuffer(b"".join(parts), np.uint8), start, start + SPAN)
+    weight, row, at = np.array(weights)[block], np.array(rows)[block], (np.array(places) >> 20)[block] + inside
+    order = np.lexsort((both[:, 1], both[:, 0]))
+    new = np.concatenate([[True], (both[order[1:]] != both[order[:-1]]).any(axis=1)])
+    group = np.empty(len(order), np.int64)
+    group[order] = np.cumsum(new) - 1
+    times = np.bincount(group, weight).astype(np.int64)
+    known = np.nonzero((times[group] > 1) & (weight == 1))[0]
+    known = known[_outermost(block[known])]  # these cover the others of their block
+    lead = order[new]
+    all_ = np.concatenate([known, lead])
+    mark = np.concatenate([np.full(len(known), -1), np.minimum(times[group[lead]], 2)])
+    return pa.RecordBatch.from_arrays(
+        [pa.array(both[all_, 0]), pa.array(both[all_, 1]), pa.nulls(len(all_), pa.binary()), pa.array(at[all_]), pa.array(mark, pa.int64()), pa.array(rk[row[all_]]), pa.array(did[row[all_]])],
+        ["g", "h", "raw", "place", "weight", "rk", "did"],
+    )
 
 
 def _outermost(sorted_keys: np.ndarray) -> np.ndarray:
@@ -299,54 +343,43 @@ def _outermost(sorted_keys: np.ndarray) -> np.ndarray:
     return np.unique(np.concatenate([[0], cut, cut + 1, [len(sorted_keys) - 1]]))
 
 
-def _bare(h, second, weight, rk, did):
-    for k in range(0, len(h), 65536):
-        s = slice(k, k + 65536)
-        yield _edge_batch(h[s], [None] * len(h[s]), np.zeros(len(h[s]), np.int64), second[s], weight[s], rk[s], did[s])
-
-
-def _edge_batch(g, raw, shift, second, weight, rk, did):
-    return pa.RecordBatch.from_arrays(
-        [pa.array(g), pa.array(raw, pa.binary()), pa.array(shift, pa.int64()), pa.array(second, pa.int64()), pa.array(weight, pa.int64()), pa.array(rk), pa.array(did)],
-        ["g", "raw", "shift", "second", "weight", "rk", "did"],
-    )
-
-
 def _sorted_windows(batches):
-    """The hashes of the windows that blocks of one k-gram share, for the rows whose blocks are single.
+    """The windows that blocks of one k-gram share, as byte ranges of the rows whose blocks are single.
 
     Rows come sorted by g; whole groups are taken together until they are enough for a sort."""
     held: list[pa.RecordBatch] = []
+    windows = 0
 
     def solve(table: pa.Table):
-        g, shift, weight, rk, did = (table.column(c).to_numpy() for c in ("g", "shift", "weight", "rk", "did"))
-        parts = [x.as_py() for x in table.column("raw")]
-        sizes = np.array([len(p) for p in parts])
-        raw = np.frombuffer(b"".join(parts), np.uint8)
-        begin = np.cumsum(sizes) - sizes
+        g, place, weight, rk, did = (table.column(c).to_numpy() for c in ("g", "place", "weight", "rk", "did"))
+        raw = table.column("raw").combine_chunks()
+        sizes = pc.binary_length(raw).to_numpy()
+        raw = np.frombuffer(b"".join(raw.to_pylist()), np.uint8)
+        begin = np.cumsum(sizes, dtype=np.int64) - sizes
         count = sizes - SPAN + 1
-        block = np.repeat(np.arange(len(parts)), count)
+        block = np.repeat(np.arange(len(sizes)), count)
         inside = np.arange(len(block)) - np.repeat(np.cumsum(count) - count, count)
-        _, group = np.unique(g, return_inverse=True)
-        classes = group[block] * 512 + (shift[block] - inside)
-        starts = begin[block] + inside
-        hit = np.nonzero(equal_neighbours(raw, starts, classes) & (weight[block] == 1))[0]
+        group = np.cumsum(np.concatenate([[0], np.diff(g) != 0]))
+        classes = group[block] * 512 + ((place & 1023)[block] - inside)
+        hit = np.nonzero(equal_neighbours(raw, begin[block] + inside, classes) & (weight[block] == 1))[0]
         hit = hit[_outermost(block[hit])]  # these cover what lies between
-        total, down = _prefix(raw), powers(len(raw) + 1)[1]
-        s = starts[hit]
-        h = mixed((total[s + SPAN] - total[s]) * down[s]).view(np.int64)
-        return pa.RecordBatch.from_arrays([pa.array(h), pa.array(rk[block[hit]]), pa.array(did[block[hit]])], ["h", "rk", "did"])
+        low = (place[block[hit]] >> 20) + inside[hit]
+        return pa.RecordBatch.from_arrays([pa.array(low), pa.array(rk[block[hit]]), pa.array(did[block[hit]])], ["at", "rk", "did"])
 
     for batch in batches:
-        held.append(batch)
-        if sum(b.nbytes for b in held) < (4 << 20):
-            continue
-        table = pa.Table.from_batches(held)
-        g = table.column("g").to_numpy()
-        cut = int(np.searchsorted(g, g[-1], "left"))
-        if cut:
-            yield solve(table.slice(0, cut))
-            held = table.slice(cut).to_batches()
+        for k in range(0, batch.num_rows, 256):
+            part = batch.slice(k, 256)
+            held.append(part)
+            windows += (pc.sum(pc.binary_length(part.column("raw"))).as_py() or 0) - part.num_rows * (SPAN - 1)
+            if windows < SORTED_WINDOWS:
+                continue
+            table = pa.Table.from_batches(held)
+            g = table.column("g").to_numpy()
+            cut = int(np.searchsorted(g, g[-1], "left"))
+            if cut:
+                yield solve(table.slice(0, cut))
+                held = table.slice(cut).to_batches()
+                windows = (pc.sum(pc.binary_length(table.slice(cut).column("raw"))).as_py() or 0) - (len(table) - cut) * (SPAN - 1)
     if held:
         table = pa.Table.from_batches(held)
         if len(table):
@@ -356,14 +389,18 @@ def _sorted_windows(batches):
 def _cutter(with_kept: bool):
     def run(batches):
         for batch in batches:
-            ids, texts = batch.column(0), _bytes(batch.column(1))
-            full, single = batch.column(2).to_pylist(), batch.column(3).to_pylist()
-            for start, some in _some(texts):
-                n = len(some)
-                out = [_without(t, s) for t, s in zip(some, _spans(some, full[start : start + n], single[start : start + n]))]
+            ids = batch.column(0)
+            places, low, high, single = (batch.column(k).to_pylist() for k in (2, 3, 4, 5))
+            for start, some in _some(_bytes(batch.column(1))):
+                out = []
+                for k, t in enumerate(some, start):
+                    spans = [(at, at + size) for at, size, _ in map(_unpacked, places[k] or ())]
+                    spans += zip(low[k] or (), high[k] or ())
+                    spans += [(at, at + SPAN) for at in single[k] or ()]
+                    out.append(_without(t, spans))
                 cols = list(zip(*[(len(t), len(t) - len(left), spans, hashlib.sha256(left).hexdigest()) for t, (left, spans) in zip(some, out)]))
                 kinds = [pa.int64(), pa.int64(), pa.int64(), pa.string()]
-                arrays, names = [ids.slice(start, n), *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
+                arrays, names = [ids.slice(start, len(some)), *(pa.array(c, k) for c, k in zip(cols, kinds))], ["doc_id", "n_bytes", "n_removed", "n_spans", "kept_sha256"]
                 if with_kept:
                     arrays.append(pa.array([left for left, _ in out], pa.binary()))
                     names.append("kept")
@@ -387,62 +424,36 @@ def _without(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
     return b"".join([*kept, text[at:]]), len(merged)
 
 
-def _spans(texts: list[bytes], full: list, single: list) -> list[list[tuple[int, int]]]:
-    """Repeated spans of each text, from its repeated blocks and windows."""
-    spans: list[list] = [[] for _ in texts]
-    for rows, bases, raw, begins, ends in _segments([t if full[k] or single[k] else b"" for k, t in enumerate(texts)]):
-        blocks = Blocks(raw, begins, ends)
-        part = np.searchsorted(begins, blocks.first, "right") - 1
-        bounds = np.searchsorted(part, np.arange(len(rows) + 1))
-        for p, row in enumerate(rows):
-            mine = np.arange(bounds[p], bounds[p + 1])
-            whole = np.isin(blocks.b[mine], np.array(full[row] or [], np.int64))
-            shift = bases[p] - int(begins[p])
-            spans[row] += [(a + shift, b + shift) for a, b in zip(blocks.first[mine[whole]].tolist(), (blocks.last[mine[whole]] + SPAN).tolist())]
-            if single[row]:
-                starts, block = blocks.windows(mine[~whole])
-                hit = np.nonzero(np.isin(blocks.hash(starts, SPAN).view(np.int64), np.array(single[row], np.int64)))[0]
-                if len(hit):
-                    # the windows of a block overlap, so its outermost hits bound what it loses
-                    of = block[hit]
-                    first = np.nonzero(np.concatenate([[True], of[1:] != of[:-1]]))[0]
-                    last = np.concatenate([first[1:] - 1, [len(hit) - 1]])
-                    spans[row] += [(x + shift, y + SPAN + shift) for x, y in zip(starts[hit[first]].tolist(), starts[hit[last]].tolist())]
-    return spans
-
-
 def remove_repeats(docs: DataFrame, with_kept: bool = True) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, kept (the bytes left) for every row of docs."""
     keyed = _keyed(docs)
-    anchors = written(keyed.select("rk", "did", "raw").mapInArrow(_anchors, "g long, b long, n long, rk long, did long"), "anchors")
-    kinds = anchors.groupBy("g", "b").agg(F.sum("n").alias("n"), F.min(F.struct("did", "rk")).alias("one"))
+    anchors = written(keyed.select("rk", "did", "raw").mapInArrow(_anchors, _ANCHORS), "anchors")
+    block = anchors.filter("g is not null")
+    kinds = block.groupBy("g", "b", "c").agg(F.sum("n").alias("n"), F.min(F.struct("did", "rk")).alias("one"))
     grams = kinds.groupBy("g").agg(F.sum("n").alias("all_n"), F.count(F.lit(1)).alias("variants")).filter("all_n > 1")
-    shared = written(kinds.join(grams, "g").select("g", "b", "n", "one", "variants"), "shared")
-    met = anchors.select("g", "b", "rk", "did").join(shared, ["g", "b"])
+    shared = written(kinds.join(grams, "g").select("g", "b", "c", "n", "one", "variants"), "shared")
+    met = block.select("g", "b", "c", "place", "rk", "did").join(shared, ["g", "b", "c"])
     whole = F.col("n") > 1
     asked = (F.col("variants") > 1) & (~whole | (F.struct("did", "rk") == F.col("one")))
     flags = met.groupBy("rk", "did").agg(
-        F.collect_list(F.when(whole, F.col("b"))).alias("full"),
-        F.collect_list(F.when(asked, F.struct("b", F.least("n", F.lit(2)).alias("w"), (F.col("variants") > CROWD).alias("c")))).alias("asked"),
+        F.collect_list(F.when(whole, F.col("place"))).alias("full"),
+        F.collect_list(F.when(asked, F.struct("place", "g", F.least("n", F.lit(2)).alias("w"), (F.col("variants") > CROWD).alias("x")))).alias("asked"),
     )
     flags = written(flags, "flags")
-    wanted = flags.filter(F.size("asked") > 0).select("rk", "did", F.col("asked.b").alias("ab"), F.col("asked.w").alias("aw"), F.col("asked.c").alias("ac"))
-    # texts of rows that repeat in whole need no second look: one of each is asked
-    edges = keyed.select("rk", "did", "raw").join(wanted, ["rk", "did"]).mapInArrow(
-        _edge_blocks, "g long, raw binary, shift long, second long, weight long, rk long, did long"
-    )
-    edges = written(edges, "edges")
-    parts = edges.filter(F.col("raw").isNotNull())
-    from_sort = parts.repartition("g").sortWithinPartitions("g").mapInArrow(_sorted_windows, "h long, rk long, did long")
-    bare = edges.filter(F.col("raw").isNull() & (F.col("weight") > 0))
-    known = edges.filter(F.col("raw").isNull() & (F.col("weight") < 0)).select(F.col("g").alias("h"), "rk", "did")
-    counted = bare.groupBy(F.col("g").alias("h"), "second").agg(F.sum("weight").alias("times")).filter("times > 1").select("h", "second")
-    from_count = bare.filter("weight = 1").select(F.col("g").alias("h"), "second", "rk", "did").join(counted, ["h", "second"]).select("h", "rk", "did")
-    singles = from_sort.unionByName(from_count).unionByName(known).groupBy("rk", "did").agg(F.collect_set("h").alias("single"))
-    marks = flags.filter(F.size("full") > 0).select("rk", "did", "full").join(singles, ["rk", "did"], "full_outer")
+    wanted = flags.filter(F.size("asked") > 0).select("rk", "did", *(F.col(f"asked.{x}").alias(f"a_{x}") for x in ("place", "g", "w", "x")))
+    edges = written(keyed.select("rk", "did", "raw").join(wanted, ["rk", "did"]).mapInArrow(_edge_blocks, _EDGES), "edges")
+    parts = edges.filter(F.col("raw").isNotNull()).drop("h")
+    from_sort = parts.repartition("g").sortWithinPartitions("g").mapInArrow(_sorted_windows, "at long, rk long, did long")
+    bare = edges.filter(F.col("raw").isNull() & (F.col("weight") > 0)).select("g", "h", F.col("place").alias("at"), "weight", "rk", "did")
+    known = edges.filter(F.col("raw").isNull() & (F.col("weight") < 0)).select(F.col("place").alias("at"), "rk", "did")
+    counted = bare.groupBy("g", "h").agg(F.sum("weight").alias("times")).filter("times > 1").select("g", "h")
+    from_count = bare.filter("weight = 1").join(counted, ["g", "h"]).select("at", "rk", "did")
+    singles = from_sort.unionByName(from_count).unionByName(known).groupBy("rk", "did").agg(F.collect_list("at").alias("single"))
+    inside = anchors.filter("g is null").groupBy("rk", "did").agg(F.collect_list(F.struct("b", "c")).alias("inside"))
+    marks = flags.filter(F.size("full") > 0).select("rk", "did", "full").join(singles, ["rk", "did"], "full_outer").join(inside, ["rk", "did"], "full_outer")
     return (
         keyed.join(marks, ["rk", "did"], "left")
-        .select("doc_id", "raw", "full", "single")
+        .select("doc_id", "raw", "full", F.col("inside.b").alias("low"), F.col("inside.c").alias("high"), "single")
         .mapInArrow(_cutter(with_kept), "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string" + ", kept binary" * with_kept)
     )
 
