@@ -10,7 +10,8 @@ from pyspark.sql import functions as F
 from hgpart import model, surround
 from hgpart.model import Hypergraph, Limits
 from hgpart.operators import candidates, contract, matching, metrics, moves, multilevel, sequence
-from hgpart.oracle.sql import compose, graph, workload_ctes
+from hgpart.oracle import sql as oracle
+from hgpart.oracle.sql import compose, graph
 from hgpart.plans.checkpoints import materialize
 from hgpart.sources.builders import BUILDERS, REGIMES, limits_of
 from hgpart.streaming import streams
@@ -67,7 +68,9 @@ _HIST = "SELECT n, m, hist, shared_in FROM conn0"
 _PROP = "SELECT n, cand, score FROM prop0"
 _step("coarsen_histogram", lambda hg, lim: candidates.connection_histogram(hg, lim), _HIST)
 _step("coarsen_histogram_mat", lambda hg, lim: candidates.connection_histogram(hg, lim, materialize(model.neighbors(hg))), _HIST)
-_step("cand_heavy_light", lambda hg, lim: candidates.histogram_heavy_light(hg, lim, 8), "SELECT n, m, hist, shared_in FROM conn0 SEMI JOIN (SELECT DISTINCT a.n, b.n AS m FROM pins a JOIN pins b ON a.e = b.e AND a.n < b.n WHERE a.e IN (SELECT e FROM pins GROUP BY e HAVING count(*) <= 8)) USING (n, m)")
+_step("cand_heavy_light", lambda hg, lim: candidates.histogram_heavy_light(hg, lim, 8), _HIST)
+_step("cand_heavy_proposals", lambda hg, lim: candidates.propose_candidates(hg, lim, chunk=64, bounds=(1 << 30, 1 << 30)), _PROP, "sourcing")
+_step("hg_neighbors_heavy", lambda hg, _: model.neighbors(hg, 8), "SELECT DISTINCT a.n, b.n AS m FROM pins a JOIN pins b ON a.e = b.e AND a.n <> b.n")
 _step("cand_scaled", lambda hg, _: candidates.scaled_histogram(hg), "SELECT a.n, b.n AS m, sum(w * 1000000 // (s - 1))::BIGINT AS hist FROM pins a JOIN pins b ON a.e = b.e AND a.n < b.n JOIN edges x ON x.e = a.e JOIN (SELECT e, count(*) AS s FROM pins GROUP BY e) z ON z.e = a.e GROUP BY a.n, b.n")
 _step(
     "pair_union_size",
@@ -211,6 +214,11 @@ _step("events_inbound", _with_seq(lambda hg, lim, a, pe, s: sequence.inbound_eve
 _step("events_distinct_inbound", _with_seq(_transitions), "SELECT p, idx, delta, total FROM tr")
 _step("events_flips", _with_seq(_flips), "SELECT kind, p, idx, flip FROM fl")
 _step("events_violations", _with_seq(_violations), "SELECT idx, viol FROM av")
+#: Blocks of the scans that spread a crowded partition's events over tasks.
+_BLOCK = 64
+_step("events_size_blocked", _with_seq(lambda hg, lim, a, pe, s: sequence.size_events(hg, s, _BLOCK)), "SELECT p, idx, delta, total FROM se")
+_step("events_distinct_inbound_blocked", _with_seq(lambda hg, lim, a, pe, s: sequence.inbound_transitions(sequence.inbound_events(hg, s, lim), pe, _BLOCK)), "SELECT p, idx, delta, total FROM tr")
+_step("events_flips_blocked", _with_seq(lambda hg, lim, a, pe, s: sequence.validity_flips(sequence.size_events(hg, s), _transitions(hg, lim, a, pe, s), moves.partition_loads(hg, a, pe), lim, _BLOCK)), "SELECT kind, p, idx, flip FROM fl")
 
 
 def _best(hg, lim, a, pe, s):
@@ -255,6 +263,7 @@ def _scored(hg: Hypergraph, lim: Limits, assign: DataFrame, label: str) -> DataF
 
 _step("multilevel_partition", _fit, None, "terms")
 _step("multilevel_distributed", lambda hg, lim: multilevel.refine(multilevel.coarsen(hg, lim, max_levels=3), lim).assign, None)
+ORACLE["multilevel_distributed"] = compose(oracle.multilevel(STEP, 3), "SELECT n, p FROM app_0")
 _step("multilevel_refine", lambda hg, lim: _fit(hg, lim, passes=3), None, "terms")
 _step("ablate_no_refinement", lambda hg, lim: _scored(hg, lim, _fit(hg, lim, refine=False), "no refinement"), None, "terms")
 _step("ablate_no_inbound_limit", lambda hg, lim: _scored(hg, l2 := Limits(lim.max_nodes), _fit(hg, l2), "size only"), None, "terms")
@@ -272,6 +281,9 @@ _step("base_sequential", _baseline("sequential"), None, "terms")
 _step("base_overlap", _baseline("overlap"), None, "terms")
 _step("base_overlap_newest", _baseline("overlap", fallback="newest"), None, "terms")
 _step("base_one_pass", _baseline("one_pass"), None, "terms")
+ORACLE["base_one_pass"] = oracle.one_pass("terms")
+_step("base_one_pass_blocks", lambda hg, lim: multilevel.one_pass_blocks(hg, lim, 250), None, "terms")
+ORACLE["base_one_pass_blocks"] = oracle.one_pass("terms", 250)
 _step("base_one_pass_size_only", lambda hg, lim: _baseline("one_pass")(hg, Limits(lim.max_nodes)), "SELECT n, n // 16 * 16 AS p FROM nodes")
 
 
@@ -322,6 +334,8 @@ for _name in REGIMES:
     _step(f"wl_{_name}_coarsen1", lambda hg, lim: contract.contract(hg, _gamma(hg, lim)).nodes, "SELECT n, size FROM nodes1", _name)
     _step(f"wl_{_name}_moves", _fixed(lambda hg, lim, a, pe: moves.propose_moves(hg, a, pe, lim)), "SELECT n, ps, pd, gain FROM mv", _name)
     _step(f"wl_{_name}_summary", lambda hg, lim: _scored(hg, lim, _fit(hg, lim), "multilevel"), None, _name)
+    _step(f"wl_{_name}_two_levels", lambda hg, lim: _fit(hg, lim, max_levels=2), None, _name)
+    ORACLE[f"wl_{_name}_two_levels"] = compose(oracle.multilevel(_name, 2), "SELECT n, p FROM app_0")
 
 # parallel patterns
 _add(

@@ -98,7 +98,16 @@ def global_scan(df: DataFrame, index: str, value: str, name: str, block: int = 1
     )
 
 
-def segmented_scan(df: DataFrame, keys: list[str], order: str, value: str, name: str) -> DataFrame:
+def segmented_scan(df: DataFrame, keys: list[str], order: str, value: str, name: str, block: int | None = None) -> DataFrame:
+    """df with the running sum of value by order (unique whole numbers for each key). With block, the rows of a key are dealt to
+    blocks of that many order values and shifted by the sums of the blocks before, so that no task has a crowded key alone."""
+    if block:
+        blocked = df.withColumn("s__block", F.floor(F.col(order) / F.lit(block)).cast("bigint"))
+        sums = blocked.groupBy(*keys, "s__block").agg(F.sum(value).alias("s__sum"))
+        before = Window.partitionBy(*keys).orderBy("s__block").rowsBetween(Window.unboundedPreceding, -1)
+        offsets = sums.select(*keys, "s__block", F.coalesce(F.sum("s__sum").over(before), F.lit(0)).alias("s__before"))
+        own = segmented_scan(blocked, [*keys, "s__block"], order, value, "s__own").join(offsets, [*keys, "s__block"])
+        return own.withColumn(name, F.col("s__own") + F.col("s__before")).select(*df.columns, name)
     w = Window.partitionBy(*keys).orderBy(order).rowsBetween(Window.unboundedPreceding, Window.currentRow)
     return df.withColumn(name, F.sum(value).over(w))
 
@@ -106,10 +115,14 @@ def segmented_scan(df: DataFrame, keys: list[str], order: str, value: str, name:
 _TEN19 = "10000000000000000000"
 
 
-def argmax_by(df: DataFrame, key: str, value: str, ident: str) -> DataFrame:
+def argmax_by(df: DataFrame, key: str, value: str, ident: str, bounds: tuple[int, int] | None = None) -> DataFrame:
     """(key, value, ident) with the largest (value, ident) of each key; both at least 0.
 
-    Packed into one DECIMAL(38, 0), the maximum stays a hash aggregate; a struct would sort."""
+    Packed into one number, the maximum stays a hash aggregate; a struct would sort. The number is a BIGINT if bounds, the
+    largest value and ident there may be, say that it fits, else a DECIMAL(38, 0)."""
+    if bounds and bounds[0] < 1 << (63 - (bits := max(1, bounds[1].bit_length()))):
+        best = df.groupBy(key).agg(F.max(F.expr(f"shiftleft({value}, {bits}) | {ident}")).alias("a__p"))
+        return best.select(key, F.expr(f"shiftright(a__p, {bits})").alias(value), F.expr(f"a__p & {(1 << bits) - 1}L").alias(ident))
     packed = F.expr(f"cast({value} as decimal(19, 0)) * {_TEN19} + cast({ident} as decimal(19, 0))").cast("decimal(38, 0)")
     best = df.groupBy(key).agg(F.max(packed).alias("a__p"))
     return best.select(key, F.expr(f"cast(a__p div {_TEN19} as bigint)").alias(value), F.expr(f"cast(a__p % {_TEN19} as bigint)").alias(ident))
@@ -133,8 +146,23 @@ def incidence_sizes(hg: Hypergraph) -> DataFrame:
     ).na.fill(0)
 
 
-def neighbors(hg: Hypergraph) -> DataFrame:
-    """(n, m) for all nodes that share a hyperedge, both ways, n <> m."""
+def cells(pins: DataFrame, chunk: int) -> tuple[DataFrame, DataFrame]:
+    """pins twice, as left and right sides to be joined on (e, i, j): the pins of a hyperedge are dealt to chunks of about `chunk`, and
+    cell (i, j), i <= j, has chunk i on the left and chunk j on the right. So a hyperedge of any size is spread over tasks
+    that each get chunk * chunk pairs. Every pair of pins meets once, but within a chunk (i = j) both ways."""
+    sizes = pins.groupBy("e").agg(F.count(F.lit(1)).alias("s")).filter(F.col("s") > chunk)
+    dealt = pins.join(sizes, "e", "left").withColumn("s", F.coalesce(F.ceil(F.col("s") / chunk), F.lit(1))).withColumn("c", F.pmod(F.xxhash64("n"), F.col("s")))
+    left = dealt.withColumnRenamed("c", "i").withColumn("j", F.explode(F.sequence("i", F.col("s") - 1))).drop("s")
+    right = dealt.withColumnRenamed("c", "j").withColumn("i", F.explode(F.sequence(F.lit(0).cast("bigint"), "j"))).drop("s")
+    return left, right
+
+
+def neighbors(hg: Hypergraph, chunk: int | None = None) -> DataFrame:
+    """(n, m) for all nodes that share a hyperedge, both ways, n <> m; hyperedges of over `chunk` pins are joined by cells."""
+    if chunk:
+        a, b = cells(hg.pins.select("e", "n"), chunk)
+        once = a.join(b.withColumnRenamed("n", "m"), ["e", "i", "j"]).filter("n <> m").select(F.least("n", "m").alias("n"), F.greatest("n", "m").alias("m")).distinct()
+        return once.select(F.explode(F.array(F.struct("n", "m"), F.struct(F.col("m").alias("n"), F.col("n").alias("m")))).alias("x")).select("x.n", "x.m")
     a, b = hg.pins.select("e", "n"), hg.pins.select("e", F.col("n").alias("m"))
     return a.join(b, "e").filter("n <> m").select("n", "m").distinct()
 

@@ -5,50 +5,42 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from hgpart.model import Hypergraph, Limits, argmax_by, incidence
+from hgpart.model import Hypergraph, Limits, argmax_by, cells, incidence
+from hgpart.plans.checkpoints import materialize
 
+#: Hyperedges of more pins are heavy: their pairs are made cell by cell.
+HEAVY_PINS = 4096
 
-def co_pins(hg: Hypergraph, limits: Limits = Limits()) -> DataFrame:
-    """(n, m, w, both) for each hyperedge and pair n < m of its pins; both = mult if it bounds both."""
+
+def co_pins(hg: Hypergraph, limits: Limits = Limits(), chunk: int | None = None) -> DataFrame:
+    """(n, m, w, both) for each hyperedge and pair n < m of its pins; both = mult if it bounds both.
+
+    With chunk, the pairs of a hyperedge of more pins are made cell by cell (model.cells), so no task gets them all."""
+    both = F.when(F.col("b") & F.col("b2"), F.col("mult")).otherwise(0).alias("both")
+    if chunk:
+        left, right = cells(hg.pins.select("e", "n", limits.bound().alias("b")), chunk)
+        met = left.join(hg.edges, "e").join(right.withColumnsRenamed({"n": "m", "b": "b2"}), ["e", "i", "j"]).filter("i < j OR n < m")
+        return met.select(F.least("n", "m").alias("n"), F.greatest("n", "m").alias("m"), "w", both)
     # single-pin hyperedges make no pair, and are not shuffled
     wide = hg.weighted_pins.select("e", "n", "w", "mult", limits.bound().alias("b"))
     other = hg.pins.select("e", F.col("n").alias("m"), limits.bound().alias("b2"))
-    return wide.join(other, "e").filter("n < m").select("n", "m", "w", F.when(F.col("b") & F.col("b2"), F.col("mult")).otherwise(0).alias("both"))
+    return wide.join(other, "e").filter("n < m").select("n", "m", "w", both)
 
 
-def connection_histogram(hg: Hypergraph, limits: Limits = Limits(), nbrs: DataFrame | None = None) -> DataFrame:
+def connection_histogram(hg: Hypergraph, limits: Limits = Limits(), nbrs: DataFrame | None = None, chunk: int | None = None) -> DataFrame:
     """(n, m, hist, shared_in), n < m: total weight of shared hyperedges, and how many bound both.
 
     Both sums fall out of one aggregate, so checking the union of two in-sets needs no further join. With
     nbrs (n, m) given, only those pairs are counted."""
-    pairs = co_pins(hg, limits)
+    pairs = co_pins(hg, limits, chunk)
     if nbrs is not None:
         pairs = pairs.join(nbrs.filter("n < m"), ["n", "m"], "left_semi")
     return pairs.groupBy("n", "m").agg(F.sum("w").alias("hist"), F.sum("both").alias("shared_in"))
 
 
-def histogram_heavy_light(hg: Hypergraph, limits: Limits = Limits(), heavy_pins: int = 64) -> DataFrame:
-    """The histogram of pairs that share a light hyperedge. Heavy ones are not expanded: they are few, get
-    bit positions in blocks of 62, and add to a light pair by the bits that its two nodes have in common."""
-    sizes = hg.pins.groupBy("e").agg(F.count(F.lit(1)).alias("s"))
-    heavy = sizes.filter(F.col("s") > heavy_pins).select("e")
-    light = Hypergraph(hg.pins.join(heavy, "e", "left_anti"), hg.edges, hg.nodes)
-    conn = connection_histogram(light, limits)
-    from hgpart.model import assign_ids
-
-    ids = assign_ids(heavy, "e", "k").select("e", (F.col("k") % 62).alias("bit"), F.floor(F.col("k") / 62).alias("block"))
-    on = hg.weighted_pins.join(ids, "e").select("n", "block", "bit", "w", "mult", limits.bound().alias("b"))
-    sig = on.groupBy("n", "block").agg(F.expr("bit_or(shiftleft(1L, cast(bit as int)))").alias("sig"), F.expr("bit_or(CASE WHEN b THEN shiftleft(1L, cast(bit as int)) ELSE 0L END)").alias("sig_in"))
-    weights = hg.edges.join(ids, "e").groupBy("block").agg(F.array_sort(F.collect_list(F.struct("bit", "w", "mult"))).alias("ws"))  # at most 62 rows a block
-    a, b = sig.select("n", "block", F.col("sig").alias("s1"), F.col("sig_in").alias("i1")), sig.select(F.col("n").alias("m"), "block", F.col("sig").alias("s2"), F.col("sig_in").alias("i2"))
-    common = conn.select("n", "m").join(a, "n").join(b, ["m", "block"]).filter("s1 & s2 <> 0").join(weights, "block")
-    add = common.select(
-        "n",
-        "m",
-        F.expr("aggregate(ws, 0L, (t, x) -> t + CASE WHEN getbit(s1 & s2, cast(x.bit as int)) = 1 THEN x.w ELSE 0L END)").alias("h"),
-        F.expr("aggregate(ws, 0L, (t, x) -> t + CASE WHEN getbit(i1 & i2, cast(x.bit as int)) = 1 THEN x.mult ELSE 0L END)").alias("i"),
-    )
-    return conn.select("n", "m", F.col("hist").alias("h"), F.col("shared_in").alias("i")).unionByName(add).groupBy("n", "m").agg(F.sum("h").alias("hist"), F.sum("i").alias("shared_in"))
+def histogram_heavy_light(hg: Hypergraph, limits: Limits = Limits(), heavy_pins: int = HEAVY_PINS) -> DataFrame:
+    """The same histogram, all pairs included, with the pairs of hyperedges of over heavy_pins pins spread over tasks."""
+    return connection_histogram(hg, limits, chunk=heavy_pins)
 
 
 def scaled_histogram(hg: Hypergraph, scale: int = 1_000_000) -> DataFrame:
@@ -83,10 +75,12 @@ def mirrored(conn: DataFrame) -> DataFrame:
     return conn.select(F.explode(both).alias("x"), F.col("hist").alias("score")).select("x.n", "x.cand", "score")
 
 
-def propose_candidates(hg: Hypergraph, limits: Limits, nbrs: DataFrame | None = None) -> DataFrame:
-    """(n, cand, score): each node's most connected valid neighbour, the larger id on ties; no row if none."""
-    valid = pair_valid(with_unions(connection_histogram(hg, limits, nbrs), node_loads(hg, limits)), limits)
-    return argmax_by(mirrored(valid), "n", "score", "cand").select("n", "cand", "score")
+def propose_candidates(hg: Hypergraph, limits: Limits, nbrs: DataFrame | None = None, chunk: int | None = None, bounds: tuple[int, int] | None = None) -> DataFrame:
+    """(n, cand, score): each node's most connected valid neighbour, the larger id on ties; no row if none.
+
+    bounds: total weight of all hyperedges and largest node id, if known (model.argmax_by)."""
+    valid = pair_valid(with_unions(connection_histogram(hg, limits, nbrs, chunk), node_loads(hg, limits)), limits)
+    return argmax_by(mirrored(valid), "n", "score", "cand", bounds).select("n", "cand", "score")
 
 
 def propose_batched(hg: Hypergraph, limits: Limits, batches: int = 4) -> DataFrame:
@@ -97,28 +91,31 @@ def propose_batched(hg: Hypergraph, limits: Limits, batches: int = 4) -> DataFra
     return argmax_by(best, "n", "score", "cand").select("n", "cand", "score")
 
 
-def propose_deferred(hg: Hypergraph, limits: Limits, checks: int = 3) -> DataFrame:
-    """The same with validity tested last: each node's `checks` best neighbours are tested by intersecting
-    in-sets; only nodes with none valid among these look at all."""
-    conn = connection_histogram(hg, limits).select("n", "m", "hist")
+def propose_deferred(hg: Hypergraph, limits: Limits, checks: int = 3, chunk: int | None = None) -> DataFrame:
+    """The same with validity tested last: each node's `checks` best neighbours are tested by intersecting in-sets; of
+    nodes with none valid among these, and only of these, the other neighbours are tested too."""
+    both = materialize(mirrored(connection_histogram(hg, limits, chunk=chunk).select("n", "m", "hist")), "connections")
     order = Window.partitionBy("n").orderBy(F.col("score").desc(), F.col("cand").desc())
-    both = mirrored(conn)
-    top = both.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= checks)
-    column = {"in": "in", "out": "out", "incident": "all"}[limits.bound_on]
-    sets = incidence(hg, column)
-    sized = hg.nodes.join(sets, "n", "left").select("n", "size", F.coalesce("items", F.array().cast("array<bigint>")).alias("items"))
-    mult = hg.edges.filter("mult > 1").limit(1).count() == 0
-    if not mult:
-        raise ValueError("deferred checks need unmerged hyperedges")
-    tested = (
-        top.join(sized.select("n", F.col("size").alias("s1"), F.col("items").alias("i1")), "n")
-        .join(sized.select(F.col("n").alias("cand"), F.col("size").alias("s2"), F.col("items").alias("i2")), "cand")
-        .filter((F.col("s1") + F.col("s2") <= limits.max_nodes) & (union_size_arrays(F.col("i1"), F.col("i2")) <= limits.max_inbound))
-    )
-    good = argmax_by(tested, "n", "score", "cand").select("n", "cand", "score")
-    rest = both.select("n").distinct().join(good, "n", "left_anti")
-    full = propose_candidates(hg, limits).join(rest, "n", "left_semi")
-    return good.unionByName(full)
+    top = both.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= checks).drop("rank")
+    rows = hg.weighted_pins.filter(limits.bound()).groupBy("n").agg(F.array_sort(F.collect_list("e")).alias("items"), F.sum("mult").alias("deg"))
+    sized = hg.nodes.join(rows, "n", "left").select("n", "size", F.coalesce("items", F.array().cast("array<bigint>")).alias("items"), F.coalesce("deg", F.lit(0)).alias("deg"))
+    sized = materialize(sized, "in-sets")
+
+    def best(pairs: DataFrame) -> DataFrame:
+        a = sized.select("n", F.col("size").alias("s1"), F.col("items").alias("i1"), F.col("deg").alias("d1"))
+        b = sized.select(F.col("n").alias("cand"), F.col("size").alias("s2"), F.col("items").alias("i2"), F.col("deg").alias("d2"))
+        met = pairs.join(a, "n").join(b, "cand").filter(F.col("s1") + F.col("s2") <= limits.max_nodes)
+        if plain:
+            valid = met.filter(union_size_arrays(F.col("i1"), F.col("i2")) <= limits.max_inbound)
+        else:  # merged hyperedges count as often as they were
+            shared = met.select("n", "cand", F.explode(F.array_intersect("i1", "i2")).alias("e")).join(hg.edges.select("e", "mult"), "e").groupBy("n", "cand").agg(F.sum("mult").alias("shared"))
+            valid = met.join(shared, ["n", "cand"], "left").filter(F.col("d1") + F.col("d2") - F.coalesce("shared", F.lit(0)) <= limits.max_inbound)
+        return argmax_by(valid, "n", "score", "cand").select("n", "cand", "score")
+
+    plain = hg.edges.filter("mult > 1").isEmpty()
+    good = materialize(best(top), "good")
+    rest = both.join(good.select("n"), "n", "left_anti").join(top.select("n", "cand"), ["n", "cand"], "left_anti")
+    return good.unionByName(best(rest))
 
 
 def union_size_arrays(a, b):

@@ -130,12 +130,12 @@ def connectivity(g: Graph, p: np.ndarray) -> int:
     return int((g.w * np.maximum(spans - 1, 0)).sum())
 
 
-def coarsen(g: Graph, alive: np.ndarray, max_nodes: int, max_inbound: int):
-    """[(graph, alive, gamma to the next level)], coarsest last with gamma None."""
+def coarsen(g: Graph, alive: np.ndarray, max_nodes: int, max_inbound: int, max_levels: int | None = None):
+    """[(graph, alive, gamma to the next level)], coarsest last with gamma None; at most max_levels of them have one."""
     target = -(-int(g.size.sum()) // max_nodes) if max_nodes < BIG else 1
     levels = []
     while True:
-        if alive.sum() <= target:
+        if alive.sum() <= target or len(levels) == max_levels:
             break
         cand, score = proposals(g, max_nodes, max_inbound)
         mate = matching(cand, score)
@@ -268,10 +268,10 @@ def refine_pass(g: Graph, p: np.ndarray, alive: np.ndarray, max_nodes: int, max_
     return p, int(top), int(cut + 1)
 
 
-def multilevel(g: Graph, max_nodes: int, max_inbound: int, refine=True, passes=1, **opts):
+def multilevel(g: Graph, max_nodes: int, max_inbound: int, refine=True, passes=1, max_levels=None, **opts):
     """(partition by node, [(level, nodes, pins, connectivity after its refinement, moves)])."""
     alive = np.ones(len(g.size), bool)
-    levels = coarsen(g, alive, max_nodes, max_inbound)
+    levels = coarsen(g, alive, max_nodes, max_inbound, max_levels)
     p = np.arange(len(g.size))
     report = []
     for k in range(len(levels) - 1, -1, -1):

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import pandas as pd
@@ -12,9 +13,11 @@ from hgpart.model import NO_LIMIT, Hypergraph, Limits, merge_parallel, neighbors
 from hgpart.operators import candidates, contract, local, matching, metrics, moves, sequence
 from hgpart.plans.checkpoints import materialize
 
-#: A level with at most so many pins and co-pin pairs runs in one task.
-LOCAL_PINS = 2_000_000
-LOCAL_PAIRS = 40_000_000
+#: A level with at most so many pins and co-pin pairs runs in one task, and so do all coarser ones.
+LOCAL_PINS = 1_000_000
+LOCAL_PAIRS = 10_000_000
+#: A round of more moves scans its events in blocks of so many, so that a partition that draws most of them is spread over tasks.
+EVENT_BLOCK = 1 << 18
 
 
 @dataclass(frozen=True)
@@ -73,15 +76,46 @@ def run_local(hg: Hypergraph, limits: Limits, method: str = "multilevel", **opts
     return packed.groupBy(F.lit(0).alias("all")).applyInPandas(solve, "kind string, level int, a long, b long, c long, d long")
 
 
-def coarsen(hg: Hypergraph, limits: Limits, max_levels: int | None = None, materialize_neighbors: bool = False, deferred: int = 0, match: str = "doubling") -> list[Level]:
-    """Levels, finest first; the last has gamma None. Stops at ceil(total size / max_nodes) nodes or when nothing merges."""
+def largest_edge(hg: Hypergraph) -> int:
+    return int(hg.pins.groupBy("e").agg(F.count(F.lit(1)).alias("s")).agg(F.max("s")).first()[0] or 0)
+
+
+def one_pass_blocks(hg: Hypergraph, limits: Limits, width: int) -> DataFrame:
+    """(n, p): the one-pass filler over ranges of `width` node ids side by side; a range costs one partition more at most."""
+    load = hg.weighted_pins.filter(limits.bound()).select("n", "e", "mult")
+    rows = hg.nodes.join(load, "n", "left").withColumn("range", F.floor(F.col("n") / F.lit(width)))
+
+    def fill(pdf: pd.DataFrame) -> pd.DataFrame:
+        out, at, size, held, full = [], None, 0, set(), 0
+        for n, own in pdf.sort_values("n", kind="stable").groupby("n", sort=True):
+            bounding = {int(e): int(m) for e, m in zip(own["e"], own["mult"]) if e == e and m == m}
+            more = sum(m for e, m in bounding.items() if e not in held)
+            here = int(own["size"].iloc[0])
+            if at is None or size + here > limits.max_nodes or full + more > limits.max_inbound:
+                at, size, held, full = int(n), 0, set(), 0
+                more = sum(bounding.values())
+            held.update(bounding)
+            size, full = size + here, full + more
+            out.append((int(n), at))
+        return pd.DataFrame(out, columns=["n", "p"])
+
+    return rows.groupBy("range").applyInPandas(fill, "n long, p long")
+
+
+def coarsen(hg: Hypergraph, limits: Limits, max_levels: int | None = None, materialize_neighbors: bool = False, deferred: int = 0, match: str = "doubling", until: Callable[[Hypergraph], bool] | None = None) -> list[Level]:
+    """Levels, finest first; the last has gamma None. Stops at ceil(total size / max_nodes) nodes, when nothing merges, or at a level
+    of which `until` holds."""
     hg = _kept(hg)
     total = hg.nodes.agg(F.sum("size")).first()[0] or 0
     target = 1 if limits.max_nodes >= NO_LIMIT else -(-total // limits.max_nodes)
-    nbrs = materialize(neighbors(hg), "neighbors") if materialize_neighbors else None
+    # coarse nodes bear the id of a member and hyperedges keep their weights, so these bounds hold on all levels
+    bounds = (int(hg.edges.agg(F.sum("w")).first()[0] or 0), int(hg.nodes.agg(F.max("n")).first()[0] or 0))
+    chunk = lambda h: candidates.HEAVY_PINS if largest_edge(h) > candidates.HEAVY_PINS else None
+    nbrs = materialize(neighbors(hg, chunk(hg)), "neighbors") if materialize_neighbors else None
     levels: list[Level] = []
-    while (max_levels is None or len(levels) < max_levels) and hg.nodes.count() > target:
-        proposal = materialize(candidates.propose_deferred(hg, limits, deferred) if deferred else candidates.propose_candidates(hg, limits, nbrs), "proposal")
+    while (max_levels is None or len(levels) < max_levels) and not (until and until(hg)) and hg.nodes.count() > target:
+        proposal = candidates.propose_deferred(hg, limits, deferred, chunk(hg)) if deferred else candidates.propose_candidates(hg, limits, nbrs, chunk(hg), bounds)
+        proposal = materialize(proposal, "proposal")
         if proposal.isEmpty():
             break
         gamma = materialize(contract.coarse_map(hg.nodes, matching.match_pairs(proposal, match)), "gamma")
@@ -92,35 +126,38 @@ def coarsen(hg: Hypergraph, limits: Limits, max_levels: int | None = None, mater
     return [*levels, Level(hg, None)]
 
 
-def initial_assignment(levels: list[Level]) -> DataFrame:
-    """(n, p) of the finest nodes: the coarsest node that each ends in."""
-    assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p"))
+def initial_assignment(levels: list[Level], start: DataFrame | None = None) -> DataFrame:
+    """(n, p) of the finest nodes: the coarsest node that each ends in, or what start (n, p) says of that node."""
+    assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p")) if start is None else start
     for level in reversed(levels[:-1]):
         assign = sequence.project(assign, level.gamma)
     return assign
 
 
-def refine_once(hg: Hypergraph, assign: DataFrame, limits: Limits, admit: str = "not_full", min_gain: int = 1, prefix_tie: str = "longest", form: str = "independent", method: str = "scan") -> tuple[DataFrame, int, int]:
+def refine_once(hg: Hypergraph, assign: DataFrame, limits: Limits, admit: str = "not_full", min_gain: int = 1, prefix_tie: str = "longest", form: str = "independent", method: str = "scan", event_block: int = EVENT_BLOCK) -> tuple[DataFrame, int, int]:
     """One round on one level: (partitions, gained, moves made)."""
     pe = materialize(moves.partition_pins(hg, assign, limits), "pe")
     seq = materialize(sequence.sequence_moves(moves.propose_moves(hg, assign, pe, limits, admit, min_gain)), "seq")
-    if seq.isEmpty():
+    if not (n_moves := seq.count()):
         return assign, 0, 0
+    block = event_block if n_moves > event_block else None
     gained = materialize(sequence.sequence_gains(hg, seq, pe, method, form), "gained")
     loads = materialize(moves.partition_loads(hg, assign, pe), "loads")
-    transitions = sequence.inbound_transitions(sequence.inbound_events(hg, seq, limits), pe)
-    flips = sequence.validity_flips(sequence.size_events(hg, seq), transitions, loads, limits)
+    transitions = sequence.inbound_transitions(sequence.inbound_events(hg, seq, limits), pe, block)
+    flips = sequence.validity_flips(sequence.size_events(hg, seq, block), transitions, loads, limits, block)
     cut, total = sequence.best_prefix(gained, sequence.active_violations(seq, flips, loads, limits), prefix_tie).first()
     if not cut:
         return assign, 0, 0
     return materialize(sequence.apply_moves(assign, seq, cut), "assign"), int(total), int(cut)
 
 
-def refine(levels: list[Level], limits: Limits, passes: int = 1, **opts) -> PartitionResult:
-    """Up to `passes` rounds a level; 0: until nothing moves. Reports: level, nodes, pins, connectivity after it, moves."""
-    assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p"))
+def refine(levels: list[Level], limits: Limits, passes: int = 1, start: DataFrame | None = None, **opts) -> PartitionResult:
+    """Up to `passes` rounds a level; 0: until nothing moves. Reports: level, nodes, pins, connectivity after it, moves.
+
+    start: partitions (n, p) of the last level's nodes, if that level is refined already."""
+    assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p")) if start is None else start
     reports = []
-    for k in range(len(levels) - 1, -1, -1):
+    for k in range(len(levels) - 1 if start is None else len(levels) - 2, -1, -1):
         if levels[k].gamma is not None:
             assign = materialize(sequence.project(assign, levels[k].gamma), "assign")
         made = 0
@@ -135,21 +172,36 @@ def refine(levels: list[Level], limits: Limits, passes: int = 1, **opts) -> Part
 
 
 class HypergraphPartitioner:
-    """fit(hg) -> PartitionResult. Levels that fit one task run there, with the same decisions."""
+    """fit(hg) -> PartitionResult.
+
+    Levels are coarsened and refined over all executors until one fits a single task; that one and all coarser ones run
+    there, with the same decisions. materialize_neighbors and deferred choose how the distributed levels are coarsened; with
+    either, all levels are distributed. max_levels stops coarsening there."""
 
-    def __init__(self, limits: Limits, passes: int = 1, min_gain: int = 1, admit: str = "not_full", prefix_tie: str = "longest", refine: bool = True, merge: bool = False, materialize_neighbors: bool = False, deferred: int = 0, local_pins: int = LOCAL_PINS, local_pairs: int = LOCAL_PAIRS):
-        self.limits, self.passes, self.refine, self.merge = limits, passes, refine, merge
+    def __init__(self, limits: Limits, passes: int = 1, min_gain: int = 1, admit: str = "not_full", prefix_tie: str = "longest", refine: bool = True, merge: bool = False, materialize_neighbors: bool = False, deferred: int = 0, local_pins: int = LOCAL_PINS, local_pairs: int = LOCAL_PAIRS, max_levels: int | None = None):
+        self.limits, self.passes, self.refine, self.merge, self.max_levels = limits, passes, refine, merge, max_levels
         self.refine_opts = {"admit": admit, "min_gain": min_gain, "prefix_tie": prefix_tie}
         self.coarsen_opts = {"materialize_neighbors": materialize_neighbors, "deferred": deferred}
         self.local_pins, self.local_pairs = local_pins, local_pairs
 
+    def _fits(self, hg: Hypergraph) -> bool:
+        return not any(self.coarsen_opts.values()) and fits_locally(hg, self.local_pins, self.local_pairs)
+
+    def _local(self, hg: Hypergraph, done: int) -> PartitionResult:
+        left = None if self.max_levels is None else self.max_levels - done
+        rows = materialize(run_local(hg, self.limits, "multilevel", refine=self.refine, passes=self.passes, max_levels=left, **self.refine_opts), "local")
+        reports = rows.filter("kind = 'level'").select("level", "a", "b", "c", "d").orderBy("level").collect()
+        return PartitionResult(rows.filter("kind = 'assign'").select(F.col("a").alias("n"), F.col("b").alias("p")), [(r[0] + done, *r[1:]) for r in reports])
+
     def fit(self, hg: Hypergraph) -> PartitionResult:
         if self.merge:
             hg = merge_parallel(hg)
-        if fits_locally(hg, self.local_pins, self.local_pairs):
-            rows = materialize(run_local(hg, self.limits, "multilevel", refine=self.refine, passes=self.passes, **self.refine_opts), "local")
-            return PartitionResult(rows.filter("kind = 'assign'").select(F.col("a").alias("n"), F.col("b").alias("p")), [tuple(r) for r in rows.filter("kind = 'level'").select("level", "a", "b", "c", "d").orderBy("level").collect()])
-        levels = coarsen(hg, self.limits, **self.coarsen_opts)
+        if self._fits(hg):
+            return self._local(hg, 0)
+        levels = coarsen(hg, self.limits, self.max_levels, until=self._fits, **self.coarsen_opts)
+        coarse = self._local(levels[-1].graph, len(levels) - 1) if self._fits(levels[-1].graph) else None
+        start = coarse and coarse.assign
         if not self.refine:
-            return PartitionResult(initial_assignment(levels))
-        return refine(levels, self.limits, self.passes, **self.refine_opts)
+            return PartitionResult(initial_assignment(levels, start))
+        fine = refine(levels, self.limits, self.passes, start, **self.refine_opts)
+        return PartitionResult(fine.assign, [*fine.reports, *(coarse.reports if coarse else [])])

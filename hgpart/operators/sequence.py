@@ -58,10 +58,10 @@ def sequence_gains(hg: Hypergraph, seq: DataFrame, pe: DataFrame, method: str =
     return seq.join(change, "idx", "left").select("idx", "n", "ps", "pd", "gain", (F.col("gain") + F.coalesce("change", F.lit(0))).alias("seq_gain"))
 
 
-def size_events(hg: Hypergraph, seq: DataFrame) -> DataFrame:
-    """(p, idx, delta, total): changes of partition sizes and their running sums."""
+def size_events(hg: Hypergraph, seq: DataFrame, block: int | None = None) -> DataFrame:
+    """(p, idx, delta, total): changes of partition sizes and their running sums; block as in model.segmented_scan."""
     rows = seq.join(hg.nodes, "n").select("idx", F.explode(F.array(F.struct(F.col("ps").alias("p"), (-F.col("size")).alias("delta")), F.struct(F.col("pd").alias("p"), F.col("size").alias("delta")))).alias("x")).select("x.p", "idx", "x.delta")
-    return segmented_scan(rows, ["p"], "idx", "delta", "total")
+    return segmented_scan(rows, ["p"], "idx", "delta", "total", block)
 
 
 def inbound_events(hg: Hypergraph, seq: DataFrame, limits: Limits = Limits()) -> DataFrame:
@@ -70,22 +70,34 @@ def inbound_events(hg: Hypergraph, seq: DataFrame, limits: Limits = Limits()) ->
     return segmented_scan(rows.select("x.p", "e", "mult", "idx", "x.delta"), ["p", "e"], "idx", "delta", "total")
 
 
-def inbound_transitions(events: DataFrame, pe: DataFrame) -> DataFrame:
+def inbound_transitions(events: DataFrame, pe: DataFrame, block: int | None = None) -> DataFrame:
     """(p, idx, delta, total): changes of distinct inbound hyperedges, where a pin count leaves or reaches 0."""
     known = events.join(pe.select("e", "p", "cnt_in"), ["e", "p"], "left").withColumn("now", F.coalesce("cnt_in", F.lit(0)) + F.col("total"))
     step = F.when((F.col("now") > 0) & (F.col("now") - F.col("delta") == 0), F.col("mult")).when((F.col("now") == 0) & (F.col("now") - F.col("delta") > 0), -F.col("mult"))
     rows = known.withColumn("step", step).filter("step is not null").groupBy("p", "idx").agg(F.sum("step").alias("delta"))
-    return segmented_scan(rows, ["p"], "idx", "delta", "total")
+    return segmented_scan(rows, ["p"], "idx", "delta", "total", block)
 
 
-def validity_flips(sizes: DataFrame, inbound: DataFrame, loads: DataFrame, limits: Limits) -> DataFrame:
+def _before(bad: DataFrame, block: int | None) -> DataFrame:
+    """bad(p, idx, bad) with `before`: bad of the same p's event before, null at its first."""
+    by_idx = lambda *keys: Window.partitionBy(*keys).orderBy("idx")
+    if not block:
+        return bad.withColumn("before", F.lag("bad").over(by_idx("p")))
+    blocked = bad.withColumn("v__block", F.floor(F.col("idx") / F.lit(block)).cast("bigint"))
+    ends = blocked.groupBy("p", "v__block").agg(F.max(F.struct("idx", "bad")).getField("bad").alias("v__end"))
+    handed = ends.select("p", "v__block", F.lag("v__end").over(Window.partitionBy("p").orderBy("v__block")).alias("v__end"))
+    own = blocked.withColumn("before", F.lag("bad").over(by_idx("p", "v__block"))).join(handed, ["p", "v__block"])
+    return own.withColumn("before", F.coalesce("before", "v__end")).drop("v__block", "v__end")
+
+
+def validity_flips(sizes: DataFrame, inbound: DataFrame, loads: DataFrame, limits: Limits, block: int | None = None) -> DataFrame:
     """(kind, p, idx, flip): +1 where a partition starts to break a limit, -1 where it stops."""
     out = None
     for kind, events, start, most in (("size", sizes, "size", limits.max_nodes), ("inbound", inbound, "inbound", limits.max_inbound)):
         load = events.select("p", "idx", "total").join(loads.select("p", F.col(start).alias("start")), "p", "left").withColumn("start", F.coalesce("start", F.lit(0)))
         bad = load.withColumn("bad", (F.col("start") + F.col("total") > most).cast("int"))
-        before = F.coalesce(F.lag("bad").over(Window.partitionBy("p").orderBy("idx")), (F.col("start") > most).cast("int"))
-        one = bad.withColumn("flip", F.col("bad") - before).filter("flip <> 0").select(F.lit(kind).alias("kind"), "p", "idx", "flip")
+        before = F.coalesce(F.col("before"), (F.col("start") > most).cast("int"))
+        one = _before(bad, block).withColumn("flip", F.col("bad") - before).filter("flip <> 0").select(F.lit(kind).alias("kind"), "p", "idx", "flip")
         out = one if out is None else out.unionByName(one)
     return out
 

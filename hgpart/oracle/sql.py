@@ -154,6 +154,48 @@ REFINE = {
 }
 
 
+def refined(k: int, assign: str) -> dict[str, str]:
+    """REFINE on level k, from the partitions that the query `assign` gives its nodes: app_k has them refined."""
+    named = {"assign": f"assign_{k}", "pins": f"pins{k}", "nodes": f"nodes{k}", **{n: f"{n}_{k}" for n in REFINE}}
+    table = re.compile(rf"(\bFROM |\bJOIN |, )({'|'.join(named)})\b(?!\.)(?= [a-z]\b(?!\.)|( |,|\)|$))(?! OVER)")
+
+    def own(m: re.Match) -> str:
+        # a table without an alias of its own keeps its name as alias
+        return m[1] + named[m[2]] + (f" {m[2]}" if m[3] is not None else "")
+
+    def renamed(sql: str) -> str:
+        out, at = [], 0
+        for m in table.finditer(sql):
+            # after a comma only in lists of tables, not of columns
+            if m[1] == ", " and not re.search(r"\bFROM [^()]*$", sql[: m.start()]):
+                continue
+            out += [sql[at : m.start()], own(m)]
+            at = m.end(2)
+        return "".join([*out, sql[at:]])
+
+    return {f"assign_{k}": assign} | {f"{n}_{k}": renamed(sql) for n, sql in REFINE.items()}
+
+
+def multilevel(name: str, levels: int) -> dict[str, str]:
+    """The whole method over so many levels, unrolled: app_0 has the partitions."""
+    ctes = graph(name, levels) | refined(levels, f"SELECT n, n AS p FROM nodes{levels}")
+    for k in range(levels - 1, -1, -1):
+        ctes |= refined(k, f"SELECT g.n, a.p FROM gamma{k} g JOIN app_{k + 1} a ON a.n = g.c")
+    return ctes
+
+
+def one_pass(name: str, width: int | None = None) -> str:
+    """The one-pass filler as a recursion over nodes by id; over ranges of `width` ids if given."""
+    block = f"n // {width}" if width else "0"
+    ctes = graph(name, 0) | {
+        "ord": f"SELECT n, size, {block} AS blk, row_number() OVER (ORDER BY n) AS i, coalesce(es, []) AS es FROM nodes LEFT JOIN (SELECT n, list(e) AS es FROM pins WHERE is_dst GROUP BY n) USING (n)",
+        "walk0": "SELECT i, n, n AS p, size, es AS held, blk FROM ord WHERE i = 1 UNION ALL "
+        "SELECT o.i, o.n, CASE WHEN f THEN p ELSE o.n END, CASE WHEN f THEN w.size + o.size ELSE o.size END, CASE WHEN f THEN u ELSE o.es END, o.blk "
+        "FROM (SELECT w.*, list_distinct(list_concat(w.held, o.es)) AS u, o.blk = w.blk AND w.size + o.size <= om AND len(u) <= de AS f FROM walk0 w JOIN ord o ON o.i = w.i + 1, lim) w JOIN ord o ON o.i = w.i + 1",
+    }
+    return compose(ctes, "SELECT n, p FROM walk0")
+
+
 def compose(ctes: dict[str, str], final: str) -> str:
     """WITH the expressions that final needs, in order."""
     need, todo = set(), {final}

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -11,10 +12,12 @@ _own: dict[str, str] = {}
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """spark.checkpoint.dir as the cluster sets it; a temporary folder only where it is unset."""
+    """spark.checkpoint.dir as the cluster sets it; where it is unset, a temporary folder, but only if all runs on this machine."""
     conf = spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
     if conf:
         return conf.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
     if "folder" not in _own:
         _own["folder"] = "file://" + tempfile.mkdtemp(prefix="hgpart-")
     return _own["folder"]

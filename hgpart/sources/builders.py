@@ -4,15 +4,15 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from hgpart.model import Hypergraph, Limits, assign_ids
 
 #: Node ids of the layered network: kind * LAYER + key.
 LAYER = 1_000_000_000_000
-#: Vectors that a task may hold for exact nearest neighbours.
-KNN_ROWS = 200_000
+#: Vectors of a block of the exact nearest neighbours.
+KNN_ROWS = 2048
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -101,31 +101,32 @@ def trade(spark: SparkSession, sf_dir: str) -> Hypergraph:
     return Hypergraph.from_pins(sellers.unionByName(buyers), weights, _table(spark, sf_dir, "nation").select(F.col("n_nationkey").alias("n")))
 
 
-def nearest(vectors: DataFrame, k: int = 8, max_rows: int = KNN_ROWS) -> DataFrame:
+def nearest(vectors: DataFrame, k: int = 8, rows: int = KNN_ROWS) -> DataFrame:
     """(vec_id, near) of each vector's k nearest by dot product, the smaller id on ties.
 
-    Exact: every block of rows meets the whole matrix, which each task holds; beyond max_rows this raises."""
+    Exact at any size: vectors are dealt to blocks of about `rows`; each block of queries meets each block of the base in a task of
+    its own, which gives the k best there, and the best of these are kept."""
     import numpy as np
-
-    if vectors.count() > max_rows:
-        raise ValueError("too many vectors for the exact search")
-    rows = vectors.select("vec_id", "embedding").orderBy("vec_id").toPandas()  # max_rows at most
-    ids, matrix = rows["vec_id"].to_numpy(), np.array(rows["embedding"].tolist(), np.float64)
-    held = vectors.sparkSession.sparkContext.broadcast((ids, matrix))
-
-    def search(batches):
-        import pandas as pd
-
-        ids, matrix = held.value
-        for part in batches:
-            scores = np.round(np.array(part["embedding"].tolist(), np.float64) @ matrix.T, 6)
-            out = []
-            for own, row in zip(part["vec_id"], scores):
-                order = np.lexsort((ids, -row))
-                out += [(own, i) for i in ids[order] if i != own][:k]
-            yield pd.DataFrame(out, columns=["vec_id", "near"])
-
-    return vectors.select("vec_id", "embedding").mapInPandas(search, "vec_id long, near long")
+    import pandas as pd
+
+    blocks = max(1, -(-vectors.count() // rows))
+    given = vectors.select("vec_id", "embedding").withColumn("b", F.pmod(F.xxhash64("vec_id"), F.lit(blocks)))
+    every = F.explode(F.sequence(F.lit(0).cast("bigint"), F.lit(blocks - 1).cast("bigint")))
+    queries, base = given.withColumnRenamed("b", "i").withColumn("j", every), given.withColumnRenamed("b", "j").withColumn("i", every)
+
+    def search(asked, held):
+        out = []
+        if len(asked) and len(held):
+            ids, matrix = held["vec_id"].to_numpy(), np.array(held["embedding"].tolist(), np.float64)
+            scores = np.round(np.array(asked["embedding"].tolist(), np.float64) @ matrix.T, 6)
+            for own, row in zip(asked["vec_id"], scores):
+                order = np.lexsort((ids, -row))[: k + 1]
+                out += [(own, ids[x], row[x]) for x in order if ids[x] != own][:k]
+        return pd.DataFrame(out, columns=["vec_id", "near", "score"])
+
+    found = queries.groupBy("i", "j").cogroup(base.groupBy("i", "j")).applyInPandas(search, "vec_id long, near long, score double")
+    rank = F.row_number().over(Window.partitionBy("vec_id").orderBy(F.col("score").desc(), "near"))
+    return found.withColumn("r", rank).filter(F.col("r") <= k).select("vec_id", "near")
 
 
 def knn(spark: SparkSession, sf_dir: str) -> Hypergraph:

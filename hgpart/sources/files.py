@@ -32,30 +32,58 @@ def read_edge_lines(spark: SparkSession, path: str) -> DataFrame:
     return rows.select("e", F.regexp_extract("t", r"^\d+", 0).cast("bigint").alias("n"), F.col("t").contains("s").alias("is_src"), F.col("t").contains("d").alias("is_dst"))
 
 
+def write_bucketed(pins: DataFrame, table: str, path: str, buckets: int = 8) -> None:
+    """pins as an external table bucketed and sorted by hyperedge: joins and aggregates on e need no shuffle."""
+    pins.write.mode("overwrite").bucketBy(buckets, "e").sortBy("e").option("path", path).saveAsTable(table)
+
+
 def write_levels(pins_by_level: DataFrame, path: str) -> None:
     pins_by_level.write.mode("overwrite").partitionBy("level").parquet(path)
 
 
+def write_packed(sets: DataFrame, path: str) -> None:
+    """sets (id, items) as columnar files that format("hgpart") reads."""
+    sets.select("id", "items").write.mode("overwrite").parquet(path)
+
+
 class PackedPartition(InputPartition):
-    def __init__(self, first: int, last: int):
-        self.first, self.last = first, last
+    def __init__(self, file: str):
+        self.file = file
 
 
 class PackedReader(DataSourceReader):
+    """One task a file; a file's row groups come one after the other as Arrow batches."""
+
     def __init__(self, options):
-        self.sets, self.parts = int(options.get("sets", "8")), int(options.get("parts", "2"))
+        if not options.get("path"):
+            raise ValueError('format("hgpart") needs a path')
+        self.path = options["path"]
+
+    def _open(self):
+        from pyarrow import fs
+
+        return fs.FileSystem.from_uri(self.path) if "://" in self.path or self.path.startswith("file:") else (fs.LocalFileSystem(), self.path)
 
     def partitions(self):
-        step = -(-self.sets // self.parts)
-        return [PackedPartition(a, min(a + step, self.sets)) for a in range(0, self.sets, step)]
+        from pyarrow import fs
+
+        system, at = self._open()
+        found = system.get_file_info(fs.FileSelector(at, recursive=True))
+        return [PackedPartition(x.path) for x in found if x.is_file and x.extension == "parquet" and not x.base_name.startswith((".", "_"))]
 
     def read(self, partition):
-        for k in range(partition.first, partition.last):
-            yield (k, [(k * j) % self.sets for j in range(1, 4)])
+        import pyarrow as pa
+        import pyarrow.parquet as pq
+
+        kind = pa.schema([("id", pa.int64()), ("items", pa.list_(pa.int64()))])
+        with self._open()[0].open_input_file(partition.file) as raw:
+            file = pq.ParquetFile(raw)
+            for group in range(file.num_row_groups):
+                yield from file.read_row_group(group, columns=["id", "items"]).cast(kind).to_batches()
 
 
 class PackedSource(DataSource):
-    """format("hgpart"): ring-like packed sets, for trials without input; options sets and parts."""
+    """format("hgpart"): the packed sets (id, items) that write_packed left under `path`."""
 
     @classmethod
     def name(cls):

@@ -1,6 +1,6 @@
 """Streams of events: windows, late data, joins, dedup, stateful placement and running measures.
 
-Each query replays the events table through Structured Streaming into an in-memory or written table and
+Each query replays the events table through Structured Streaming into a table in the shared folder and
 returns what the stream has produced, so that it can be compared with a batch query.
 """
 
@@ -39,13 +39,22 @@ def replay(spark: SparkSession, sf_dir: str, files: int = 4, shuffled: bool = Fa
 
 
 def drained(stream: DataFrame, mode: str = "append") -> DataFrame:
-    """All that the stream gives until its source is empty."""
+    """All that the stream gives until its source is empty, from files in the shared folder: appended ones by the file sink,
+    complete ones rewritten by each micro-batch."""
     spark = stream.sparkSession
     at = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
-    name = f"stream_{uuid.uuid4().hex}"
-    q = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+    writer = stream.writeStream.option("checkpointLocation", f"{at}/state").trigger(availableNow=True)
+    if mode == "append":
+        writer.format("parquet").option("path", f"{at}/data").outputMode("append").start().awaitTermination()
+        return spark.read.schema(stream.schema).parquet(f"{at}/data")
+    done = [-1]
+
+    def whole(batch: DataFrame, number: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{at}/data/{number}")  # rewritten whole on a retry
+        done[0] = number
+
+    writer.foreachBatch(whole).outputMode(mode).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{at}/data/{done[0]}") if done[0] >= 0 else spark.createDataFrame([], stream.schema)
 
 
 @query("stream_tumbling", "SELECT date_trunc('day', ts)::TIMESTAMP AS start, event_type, count(*) AS n_events FROM events GROUP BY 1, 2")
@@ -90,27 +99,24 @@ def stream_dedup(spark, d):
 
 @query("stream_one_pass")
 def stream_one_pass(spark, d, most: int = 8, shards: int = 4):
-    """One-pass filling of users as they first appear, by shard: state is the open partition and who is placed."""
+    """One-pass filling of users as they first appear, by shard. A first stream lets each user through once, its state spread over
+    users; a second one fills partitions, its state being the open partition of each shard and how full it is."""
 
     def place(key, batches, state: GroupState):
         shard = int(key[0])
-        n_open, size, seen = state.get if state.exists else (0, 0, [])
-        seen, known, out = list(seen), set(seen), []
-        users = sorted({(t, u) for pdf in batches for t, u in zip(pdf["ts"], pdf["user_id"])})
-        for _, u in users:
-            if u in known:
-                continue
+        n_open, size = state.get if state.exists else (0, 0)
+        out = []
+        for _, u in sorted({(t, u) for pdf in batches for t, u in zip(pdf["ts"], pdf["user_id"])}):
             if size == most:
                 n_open, size = n_open + 1, 0
             size += 1
-            known.add(u)
-            seen.append(int(u))
             out.append((shard, int(u), shard + shards * n_open))
-        state.update((n_open, size, seen))
+        state.update((n_open, size))
         yield pd.DataFrame(out, columns=["shard", "n", "p"])
 
-    keyed = replay(spark, d).select(F.expr(f"user_id % {shards}").alias("shard"), "user_id", "ts")
-    placed = keyed.groupBy("shard").applyInPandasWithState(place, "shard long, n long, p long", "n_open long, size long, seen array<long>", "append", GroupStateTimeout.NoTimeout)
+    first = drained(replay(spark, d).select("user_id", "ts").withWatermark("ts", "60 days").dropDuplicatesWithinWatermark(["user_id"]))
+    keyed = spark.readStream.schema(first.schema).parquet(first.inputFiles()[0].rsplit("/", 1)[0]).select(F.expr(f"user_id % {shards}").alias("shard"), "user_id", "ts")
+    placed = keyed.groupBy("shard").applyInPandasWithState(place, "shard long, n long, p long", "n_open long, size long", "append", GroupStateTimeout.NoTimeout)
     return drained(placed).select("n", "p")
 
 

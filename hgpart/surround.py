@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from hgpart.functions import tables, udx
+from hgpart.model import to_packed
 from hgpart.plans.checkpoints import shared_folder
 from hgpart.sources import files
 from hgpart.sources.builders import BUILDERS
@@ -79,10 +80,19 @@ def sql_api_view(spark, d):
     return spark.sql(f"SELECT n, count(*) AS degree FROM {name} GROUP BY n HAVING count(*) > 20")
 
 
-@query("io_datasource", "SELECT k AS id, [0::BIGINT + k % 8, k * 2 % 8, k * 3 % 8] AS items FROM range(8) r(k)")
+@query("sink_bucketed", _PINS + "SELECT e, count(*) AS n_pins FROM pins GROUP BY e")
+def sink_bucketed(spark, d):
+    name = f"pins_{uuid.uuid4().hex}"
+    files.write_bucketed(_pins(spark, d), name, f"{shared_folder(spark)}/{name}")
+    return spark.table(name).groupBy("e").agg(F.count(F.lit(1)).alias("n_pins"))
+
+
+@query("io_datasource", _PINS + "SELECT e AS id, list(n ORDER BY n) AS items FROM pins GROUP BY e")
 def io_datasource(spark, d):
+    path = f"{shared_folder(spark)}/packed-{uuid.uuid4().hex}"
+    files.write_packed(to_packed(_pins(spark, d), "e", "n"), path)
     spark.dataSource.register(files.PackedSource)
-    return spark.read.format("hgpart").option("sets", "8").option("parts", "3").load()
+    return spark.read.format("hgpart").load(path)
 
 
 # relational
@@ -178,6 +188,16 @@ def agg_degree(spark, d):
     return _pins(spark, d).groupBy("n").agg(F.count(F.lit(1)).alias("degree"), F.countDistinct(F.expr("e % 10")).alias("residues"), F.bool_or("is_src").alias("ever_source"))
 
 
+@query("agg_distinct", _PINS + "SELECT e, count(DISTINCT n % 7) AS n_residues, sum(DISTINCT n % 7)::BIGINT AS sum_residues, count(DISTINCT (n % 3, is_src)) AS n_pairs FROM pins GROUP BY e")
+def agg_distinct(spark, d):
+    return _pins(spark, d).groupBy("e").agg(F.countDistinct(F.expr("n % 7")).alias("n_residues"), F.sum_distinct(F.expr("n % 7")).alias("sum_residues"), F.countDistinct(F.struct(F.expr("n % 3"), "is_src")).alias("n_pairs"))
+
+
+@query("agg_bool", _PINS + "SELECT n, bool_or(is_src) AS ever_source, bool_and(is_dst) AS always_target, count(*) FILTER (WHERE is_src) AS n_source FROM pins GROUP BY n")
+def agg_bool(spark, d):
+    return _pins(spark, d).groupBy("n").agg(F.bool_or("is_src").alias("ever_source"), F.bool_and("is_dst").alias("always_target"), F.count_if("is_src").alias("n_source"))
+
+
 @query("agg_maxby", "SELECT o_custkey, max(o_totalprice) AS top, arg_max(o_orderkey, (o_totalprice, o_orderkey)) AS at FROM orders GROUP BY 1")
 def agg_maxby(spark, d):
     return _t(spark, d, "orders").groupBy("o_custkey").agg(F.max("o_totalprice").alias("top"), F.max_by("o_orderkey", F.struct("o_totalprice", "o_orderkey")).alias("at"))
@@ -235,6 +255,14 @@ def win_lag(spark, d):
     return _t(spark, d, "events").select("event_id", F.lag("event_id").over(w).alias("before"), F.lead("event_id").over(w).alias("after"), F.first("event_id").over(w).alias("first"))
 
 
+@query("win_running", "SELECT l_orderkey, l_partkey, l_linenumber, (sum(q) OVER w)::BIGINT AS running, (max(q) OVER w)::BIGINT AS top, avg(q) OVER (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, q ROWS BETWEEN 1 PRECEDING AND 1 FOLLOWING) AS near FROM (SELECT *, l_quantity::BIGINT AS q FROM lineitem) WINDOW w AS (PARTITION BY l_orderkey ORDER BY l_linenumber, l_partkey, q ROWS UNBOUNDED PRECEDING)")
+def win_running(spark, d):
+    w = Window.partitionBy("l_orderkey").orderBy("l_linenumber", "l_partkey", "q")
+    up = w.rowsBetween(Window.unboundedPreceding, Window.currentRow)
+    rows = _t(spark, d, "lineitem").select("l_orderkey", "l_partkey", "l_linenumber", F.col("l_quantity").cast("bigint").alias("q"))
+    return rows.select("l_orderkey", "l_partkey", "l_linenumber", F.sum("q").over(up).alias("running"), F.max("q").over(up).alias("top"), F.avg("q").over(w.rowsBetween(-1, 1)).alias("near"))
+
+
 @query("win_range", "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY floor(epoch(ts))::BIGINT RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW) AS last_day FROM events")
 def win_range(spark, d):
     w = Window.partitionBy("user_id").orderBy("s").rangeBetween(-86400, 0)

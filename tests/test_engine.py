@@ -234,3 +234,133 @@ def test_plans(spark):
     assert "CartesianProduct" not in plan and "BroadcastNestedLoopJoin" not in plan and "SortAggregate" not in plan.split("== Physical Plan ==")[1]
     scan = spark.read.parquet(f"{SF}/lineitem.parquet").filter("l_quantity > 45").select("l_orderkey")._jdf.queryExecution().toString()
     assert "PushedFilters: [IsNotNull(l_quantity), GreaterThan(l_quantity,45.0)]" in scan
+
+
+def test_switch_between_levels(spark):
+    """The finer levels run distributed, the coarser ones in one task, and nothing shows it."""
+    hg, lim = random_graph(spark, 5, 40, 44), Limits(7, 30)
+    near = multilevel.HypergraphPartitioner(lim).fit(hg)
+    sizes = [r[2] for r in sorted(near.reports)]
+    pins = (sizes[0] + sizes[-1]) // 2
+    assert sizes[0] > pins >= sizes[-1]
+    mixed = multilevel.HypergraphPartitioner(lim, local_pins=pins).fit(hg)
+    assert sorted(near.assign.collect()) == sorted(mixed.assign.collect()) and sorted(near.reports) == sorted(mixed.reports)
+    plain = multilevel.HypergraphPartitioner(lim, refine=False).fit(hg).assign
+    assert sorted(plain.collect()) == sorted(multilevel.HypergraphPartitioner(lim, refine=False, local_pins=pins).fit(hg).assign.collect())
+
+
+def test_options_are_honoured(spark, monkeypatch):
+    """Neighbours in memory and deferred checks leave the one-task path, and do not change the result; neither do blocks of events."""
+    hg, lim = random_graph(spark, 3), Limits(5, 20)
+    near = sorted(multilevel.HypergraphPartitioner(lim).fit(hg).assign.collect())
+    monkeypatch.setattr(multilevel, "run_local", None)
+    for opts in ({"materialize_neighbors": True}, {"deferred": 2}):
+        assert sorted(multilevel.HypergraphPartitioner(lim, **opts).fit(hg).assign.collect()) == near
+    levels = multilevel.coarsen(hg, lim)
+    assert sorted(multilevel.refine(levels, lim, event_block=2).assign.collect()) == near
+
+
+def test_cells_make_every_pair_once(spark, chunk=2):
+    hg, lim = random_graph(spark, 8, 12, 30), Limits(4, 9)
+    key = lambda df: sorted(map(tuple, df.collect()))
+    assert key(candidates.co_pins(hg, lim, chunk)) == key(candidates.co_pins(hg, lim))
+    assert key(model.neighbors(hg, chunk)) == key(model.neighbors(hg))
+    merged = model.merge_parallel(hg)
+    for g in (hg, merged):
+        want = key(candidates.propose_candidates(g, lim))
+        assert key(candidates.propose_candidates(g, lim, chunk=chunk, bounds=(1000, 20))) == want
+        assert key(candidates.propose_deferred(g, lim, 1)) == want == key(candidates.propose_deferred(g, lim, 2, chunk))
+
+
+@pytest.mark.parametrize("seed", range(12))
+def test_overlap_by_brute_force(seed):
+    r = random.Random(seed)
+    n_nodes, n_edges = r.randrange(3, 14), r.randrange(2, 14)
+    pins = [(e, n) for e in range(n_edges) for n in r.sample(range(n_nodes), r.randrange(1, n_nodes + 1))]
+    e, n = (np.array(x) for x in zip(*pins))
+    dst, w = np.array([r.random() < 0.6 for _ in pins]), np.array([r.randrange(4) for _ in range(n_edges)])
+    g = local.Graph(e, n, ~dst, dst, w, np.ones(n_edges, np.int64), np.ones(n_nodes, np.int64))
+    most, inbound = r.randrange(2, 5), r.randrange(3, 9)
+    parts: dict[int, list[int]] = {}
+    for v in range(n_nodes):
+        best = None
+        for q, held in parts.items():
+            shared = {x for x, m in pins if m == v} & {x for x, m in pins if m in held}
+            bound = {x for (x, m), d in zip(pins, dst) if d and m in (*held, v)}
+            if shared and len(held) < most and len(bound) <= inbound:
+                best = max(best or (-1, -1), (int(w[list(shared)].sum()), q))
+        parts.setdefault(best[1] if best else v, []).append(v)
+    want = {v: q for q, held in parts.items() for v in held}
+    assert local.overlap(g, most, inbound).tolist() == [want[v] for v in range(n_nodes)]
+
+
+def test_baselines_are_valid(spark):
+    for name in ("suppliers", "dialog", "links", "cohort", "trade"):
+        hg = BUILDERS[name](spark, SF)
+        lim = limits_of(name, hg)
+        for method, opts in (("sequential", {}), ("overlap", {}), ("overlap", {"fallback": "newest"}), ("one_pass", {})):
+            a = multilevel.run_local(hg, lim, method, **opts).select(F.col("a").alias("n"), F.col("b").alias("p"))
+            row = metrics.summary(hg, a, lim).first()
+            assert row.n_broken == 0 and row.max_size <= lim.max_nodes, (name, method)
+
+
+def test_ablations(spark):
+    q = catalog.queries()
+    whole = q["wl_terms_summary"](spark, SF).first()
+    bare = q["ablate_no_refinement"](spark, SF).first()
+    assert whole.connectivity <= bare.connectivity and whole.n_broken == bare.n_broken == 0
+    for name in ("ablate_no_inbound_limit", "ablate_no_size_limit"):
+        row = q[name](spark, SF).first()
+        assert row.n_broken == 0 and row.connectivity >= 0
+    assert q["ablate_merged_edges"](spark, SF).first().connectivity == q["wl_links_summary"](spark, SF).first().connectivity
+
+
+def test_rematching_adds_pairs(spark):
+    hg, lim = random_graph(spark, 9, 20, 24), Limits(4, 30)
+    once = candidates.propose_candidates(hg, lim)
+    first = {tuple(x) for x in matching.match_pairs(once).collect()}
+    again = {tuple(x) for x in catalog._rematch(hg, lim, 3).collect()}
+    assert first <= again and len({n for n, _ in again}) == len(again) and {(m, n) for n, m in again} == again
+
+
+def test_nearest_in_blocks(spark):
+    from hgpart.sources.builders import nearest
+
+    vectors = spark.read.parquet(f"{SF}/embeddings.parquet").limit(120)
+    assert sorted(nearest(vectors, 5, 16).collect()) == sorted(nearest(vectors, 5).collect())
+
+
+def test_streams_without_sql(spark):
+    from hgpart.streaming import streams
+
+    placed = streams.stream_one_pass(spark, SF, most=4, shards=3).collect()
+    users = {r.user_id for r in spark.read.parquet(f"{SF}/events.parquet").select("user_id").distinct().collect()}
+    assert sorted(r.n for r in placed) == sorted(users)
+    held = {}
+    for r in placed:
+        held.setdefault(r.p, []).append(r.n)
+    assert all(len(x) <= 4 and {n % 3 for n in x} == {p % 3} for p, x in held.items())
+    by_day = {r.start: r.n for r in spark.sql(f"SELECT date_trunc('day', ts) AS start, count(*) AS n FROM parquet.`{SF}/events.parquet` GROUP BY 1").collect()}
+    late = {r.start: r.n_events for r in streams.stream_late(spark, SF).collect()}
+    assert late and late.keys() <= by_day.keys() and all(n <= by_day[k] for k, n in late.items()) and sum(late.values()) < sum(by_day.values())
+
+
+def test_sketches_are_near(spark):
+    rows = catalog.queries()["approx_union_size"](spark, "/root/testdata/sf0.01").collect()
+    assert rows and all(abs(r.estimate - r.exact) <= 0.1 * r.exact + 2 and abs(r.approx - r.exact) <= 0.2 * r.exact + 2 for r in rows)
+
+
+def test_a_cluster_needs_a_shared_folder(spark, monkeypatch):
+    from hgpart.plans import checkpoints
+
+    class Context:
+        master = "spark://host:7077"
+
+        def getConf(self):
+            return {}
+
+    class Session:
+        sparkContext = Context()
+
+    with pytest.raises(ValueError, match="spark.checkpoint.dir"):
+        checkpoints.shared_folder(Session())
