@@ -81,12 +81,12 @@ _step("pair_union_arrays", lambda hg, _: candidates.pair_unions_by_arrays(hg), "
 _step("coarsen_candidates", candidates.propose_candidates, _PROP)
 _step("cand_batched", candidates.propose_batched, _PROP)
 _step("cand_deferred", candidates.propose_deferred, _PROP)
-for _kind, _column in (("out", "is_src"), ("incident", "incident")):
+for _kind, _column, _on in (("out", "is_src", "trade"), ("incident", "incident", "links")):
     _step(
         f"cand_{_kind}_bound",
         lambda hg, lim, kind=_kind: candidates.propose_candidates(hg, Limits(lim.max_nodes, lim.max_inbound, kind)),
         _PROP,
-        "trade",
+        _on,
         _column,
     )
 
@@ -166,14 +166,15 @@ def _levels(hg: Hypergraph, lim: Limits) -> DataFrame:
 
 
 _step("coarsen_levels", _levels, None)
+_step("measure_level_costs", multilevel.level_costs, None)
 
 
 # refinement from a fixed assignment
-def _fixed(step: Callable) -> Callable[[Hypergraph, Limits], DataFrame]:
+def _fixed(step: Callable, parts: int = PARTS) -> Callable[[Hypergraph, Limits], DataFrame]:
     """step(hg, limits, assign, pe) with pe written once."""
 
     def run(hg: Hypergraph, lim: Limits) -> DataFrame:
-        assign = modulo(hg)
+        assign = modulo(hg, parts)
         return step(hg, lim, assign, materialize(moves.partition_pins(hg, assign, lim), "pe"))
 
     return run
@@ -332,7 +333,10 @@ _add("measure_scaling", scaling)
 for _name in REGIMES:
     _step(f"wl_{_name}_stats", lambda hg, _: model.stats(hg), _STATS, _name)
     _step(f"wl_{_name}_coarsen1", lambda hg, lim: contract.contract(hg, _gamma(hg, lim)).nodes, "SELECT n, size FROM nodes1", _name)
-    _step(f"wl_{_name}_moves", _fixed(lambda hg, lim, a, pe: moves.propose_moves(hg, a, pe, lim)), "SELECT n, ps, pd, gain FROM mv", _name)
+    # the layered network has so many nodes that 200 parts would all be full
+    _parts = 10_000 if _name == "layered" else PARTS
+    _step(f"wl_{_name}_moves", _fixed(lambda hg, lim, a, pe: moves.propose_moves(hg, a, pe, lim), _parts), None, _name)
+    ORACLE[f"wl_{_name}_moves"] = compose(graph(_name, 0, "is_dst", f"SELECT n, n % {_parts} AS p FROM nodes"), "SELECT n, ps, pd, gain FROM mv")
     _step(f"wl_{_name}_summary", lambda hg, lim: _scored(hg, lim, _fit(hg, lim), "multilevel"), None, _name)
     _step(f"wl_{_name}_two_levels", lambda hg, lim: _fit(hg, lim, max_levels=2), None, _name)
     ORACLE[f"wl_{_name}_two_levels"] = compose(oracle.multilevel(_name, 2), "SELECT n, p FROM app_0")

@@ -12,10 +12,11 @@ from pyspark.sql import functions as F
 from hgpart.model import NO_LIMIT, Hypergraph, Limits, merge_parallel, neighbors
 from hgpart.operators import candidates, contract, local, matching, metrics, moves, sequence
 from hgpart.plans.checkpoints import materialize
+from hgpart.plans.costs import counted
 
 #: A level with at most so many pins and co-pin pairs runs in one task, and so do all coarser ones.
 LOCAL_PINS = 1_000_000
-LOCAL_PAIRS = 10_000_000
+LOCAL_PAIRS = 15_000_000
 #: A round of more moves scans its events in blocks of so many, so that a partition that draws most of them is spread over tasks.
 EVENT_BLOCK = 1 << 18
 
@@ -126,6 +127,21 @@ def coarsen(hg: Hypergraph, limits: Limits, max_levels: int | None = None, mater
     return [*levels, Level(hg, None)]
 
 
+def level_costs(hg: Hypergraph, limits: Limits, max_levels: int = 2) -> DataFrame:
+    """(level, n_nodes, n_pins, n_pairs, largest, jobs, stages, tasks, seconds): each distributed level's size, and what coarsening it cost."""
+    rows = []
+    for k in range(max_levels):
+        pins, pairs = pair_volume(hg)
+        size = (k, hg.nodes.count(), pins, pairs, largest_edge(hg))
+        with counted(hg.pins.sparkSession, f"level-{k}") as cost:
+            levels = coarsen(hg, limits, 1)
+        rows.append((*size, cost["jobs"], cost["stages"], cost["tasks"], cost["seconds"]))
+        if len(levels) == 1:
+            break
+        hg = levels[-1].graph
+    return hg.pins.sparkSession.createDataFrame(rows, "level int, n_nodes long, n_pins long, n_pairs long, largest long, jobs int, stages int, tasks int, seconds double")
+
+
 def initial_assignment(levels: list[Level], start: DataFrame | None = None) -> DataFrame:
     """(n, p) of the finest nodes: the coarsest node that each ends in, or what start (n, p) says of that node."""
     assign = levels[-1].graph.nodes.select("n", F.col("n").alias("p")) if start is None else start

@@ -153,9 +153,10 @@ def join_semi(spark, d):
     return _pins(spark, d).join(_t(spark, d, "part").filter("p_size > 45").select(F.col("p_partkey").alias("n")), "n", "left_semi").select("e").distinct()
 
 
-@query("join_anti", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
+@query("join_anti", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderpriority = '1-URGENT')")
 def join_anti(spark, d):
-    return _t(spark, d, "customer").join(_t(spark, d, "orders").select(F.col("o_custkey").alias("c_custkey")), "c_custkey", "left_anti").select("c_custkey")
+    urgent = _t(spark, d, "orders").filter("o_orderpriority = '1-URGENT'").select(F.col("o_custkey").alias("c_custkey"))
+    return _t(spark, d, "customer").join(urgent, "c_custkey", "left_anti").select("c_custkey")
 
 
 @query("join_left", "SELECT p_partkey, count(l_orderkey) AS n_lines FROM part LEFT JOIN lineitem ON p_partkey = l_partkey GROUP BY 1")

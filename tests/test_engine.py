@@ -364,3 +364,9 @@ def test_a_cluster_needs_a_shared_folder(spark, monkeypatch):
 
     with pytest.raises(ValueError, match="spark.checkpoint.dir"):
         checkpoints.shared_folder(Session())
+
+
+def test_level_costs(spark):
+    hg, lim = random_graph(spark, 6), Limits(4, 30)
+    rows = multilevel.level_costs(hg, lim, 1).collect()
+    assert len(rows) == 1 and rows[0].n_nodes == 14 and rows[0].jobs > 3 and rows[0].tasks >= rows[0].stages > 3 and rows[0].seconds > 0
