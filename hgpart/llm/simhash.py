@@ -157,7 +157,9 @@ def replicas(fp: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def links(distinct: DataFrame) -> DataFrame:
-    """(a, b): pairs of different fingerprints with THRESHOLD or fewer differing bits."""
+    """(a, b): pairs of different fingerprints with THRESHOLD or fewer differing bits; a pair may come more than once.
+
+    A sort-merge join, so that an anchor with a crowd is spilled and its visitors are split (AQE), not held."""
 
     def living(batches):
         for batch in batches:
@@ -178,7 +180,7 @@ def links(distinct: DataFrame) -> DataFrame:
     home = fp.mapInArrow(living, "anchor long, a long")
     visit = fp.mapInArrow(visiting, "anchor long, b long")
     close = F.expr(f"bit_count(a ^ b) <= {THRESHOLD} AND a <> b")
-    return visit.join(home.hint("shuffle_hash"), "anchor").filter(close).select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct()
+    return visit.join(home.hint("merge"), "anchor").filter(close).select("a", "b")
 
 
 def near_duplicate_groups(docs: DataFrame) -> DataFrame:
