@@ -29,7 +29,7 @@ def op5_suffix_dedup(spark, sf_dir):
 
 
 def op6_surrogates(spark, sf_dir):
-    return pii.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return pii.replace_entities(table(spark, sf_dir, "documents").select("doc_id", "text"), pii.session_key(spark))
 
 
 def op7_suffix_array_pieces(spark, sf_dir):
