@@ -245,19 +245,19 @@ def test_switch_between_levels(spark):
     assert sizes[0] > pins >= sizes[-1]
     mixed = multilevel.HypergraphPartitioner(lim, local_pins=pins).fit(hg)
     assert sorted(near.assign.collect()) == sorted(mixed.assign.collect()) and sorted(near.reports) == sorted(mixed.reports)
-    plain = multilevel.HypergraphPartitioner(lim, refine=False).fit(hg).assign
-    assert sorted(plain.collect()) == sorted(multilevel.HypergraphPartitioner(lim, refine=False, local_pins=pins).fit(hg).assign.collect())
 
 
 def test_options_are_honoured(spark, monkeypatch):
     """Neighbours in memory and deferred checks leave the one-task path, and do not change the result; neither do blocks of events."""
     hg, lim = random_graph(spark, 3), Limits(5, 20)
-    near = sorted(multilevel.HypergraphPartitioner(lim).fit(hg).assign.collect())
+    bare = {"refine": False, "max_levels": 2}
+    near = sorted(multilevel.HypergraphPartitioner(lim, **bare).fit(hg).assign.collect())
     monkeypatch.setattr(multilevel, "run_local", None)
     for opts in ({"materialize_neighbors": True}, {"deferred": 2}):
-        assert sorted(multilevel.HypergraphPartitioner(lim, **opts).fit(hg).assign.collect()) == near
-    levels = multilevel.coarsen(hg, lim)
-    assert sorted(multilevel.refine(levels, lim, event_block=2).assign.collect()) == near
+        assert sorted(multilevel.HypergraphPartitioner(lim, **bare, **opts).fit(hg).assign.collect()) == near
+    start = catalog.modulo(hg, 4)
+    whole, blocked = (multilevel.refine_once(hg, start, lim, event_block=k) for k in (multilevel.EVENT_BLOCK, 2))
+    assert whole[1:] == blocked[1:] and whole[2] > 0 and sorted(whole[0].collect()) == sorted(blocked[0].collect())
 
 
 def test_cells_make_every_pair_once(spark, chunk=2):
