@@ -1,20 +1,21 @@
 """Main text of web pages by equivalence-class template deduction.
 
-Tokens are start tags, told apart by their path, and short blocks of text. Over the pages of a host
-each token has an occurrence vector: how often each page holds it. Tokens with equal vectors form an
-equivalence class; the vectors are compared by an order-free hash, so no task holds a host's pages. A class is
-valid if it occurs in (nearly) all pages of a host with enough of them. The class in which each
-token occurs once a page is the outermost template; the other valid classes nest in it (repeated items).
-Text tokens of the outer class are template text; the tag tokens are the frame, and what
-lies between them are slots. The content is the deepest element of the frame that holds (nearly) all unlinked text in
-its inner elements, menus and the like and template texts apart; its slots are the main text. Hosts without a
-template, and pages without their host's content element, are read by their article tags.
+Tokens are start tags, told apart by their path, and blocks of text. Over the pages of a host each token has an
+occurrence vector: how often each page holds it. Tokens with equal vectors form an equivalence class; the vectors are
+compared by an order-free hash, so no task holds a host's pages. A class is valid if it occurs in (nearly) all
+pages of a host with enough of them, and all its elements lie in one slot of the class around it. Valid classes nest
+into the host's template: a class stands in the one that owns the deepest element around all of its own (nest); classes
+that pages hold once are the frame, those they hold more often are repeated items. Text tokens of a valid class are
+template text; what lies between the tags of the tree are slots. The content is the deepest element of the frame
+that holds (nearly) all unlinked text in its inner elements, menus and the like and template texts apart; its slots are
+the main text. Hosts without a template, and pages without their host's content element, are read by their article tags.
 
 Copies of a page count once, and hosts most of whose text is the same on all pages have no template. Template texts
 are dropped within the content too, but never its headings.
 
-Edge cases: null html gives an empty text, all null or odd urls make one host, hosts with few different pages are read by
-their tags alone, repeated rows are returned each, an empty table gives an empty result, further columns are ignored.
+Edge cases: null html gives an empty text; pages with a null or odd url have no host, and are read by their tags
+alone, as are hosts with few different pages; repeated rows are returned each, an empty table gives an empty result,
+further columns are ignored.
 """
 
 from __future__ import annotations
@@ -36,9 +37,8 @@ SUPPORT = 0.9
 SALT = 32
 #: Templates of this many characters in all are sent to every task; more are joined by salted host.
 BROADCAST_CHARS = 16 << 20
-SHORT_TEXT = 200
 #: Kinds of tokens.
-TAG, SHORT, LONG = 0, 1, 2
+TAG, TEXT = 0, 1
 
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?\]\]>|<[!?][^>]*>|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
 _RAW_END = {t: re.compile(rf"</{t}\s*>", re.I) for t in ("script", "style", "textarea", "title", "noscript", "template", "iframe", "svg", "select", "option")}
@@ -166,7 +166,7 @@ def _text_token(path: str, text: str) -> str:
 
 
 def page_tokens(pages: DataFrame) -> DataFrame:
-    """host, page (hash of its html), token, kind (TAG, SHORT or LONG text), times, mass: what each page counts.
+    """host, page (hash of its html), token, kind (TAG or TEXT), times, mass: what each page counts.
 
     The mass of a tag is the unlinked text kept in the elements inside it; the tag '' stands for the whole page."""
 
@@ -179,7 +179,7 @@ def page_tokens(pages: DataFrame) -> DataFrame:
                 for path, text, linked, _, dropped in found:
                     mass = 0 if dropped else max(0, len(text) - 2 * linked)
                     own[path] += mass
-                    t = texts.setdefault(_text_token(path, text), [SHORT if len(text) <= SHORT_TEXT else LONG, 0, 0])
+                    t = texts.setdefault(_text_token(path, text), [TEXT, 0, 0])
                     t[1] += 1
                     t[2] += mass
                 for path, mass in own.items():
@@ -197,18 +197,75 @@ def page_tokens(pages: DataFrame) -> DataFrame:
 
 
 def with_host(pages: DataFrame) -> DataFrame:
-    host = F.coalesce(F.nullif(F.regexp_extract(F.lower(F.coalesce("url", F.lit(""))), r"^[a-z][a-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)", 1), F.lit("")), F.lit("?"))
+    """page_id, host (null for a null or odd url), html, url."""
+    host = F.nullif(F.regexp_extract(F.lower(F.coalesce("url", F.lit(""))), r"^[a-z][a-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)", 1), F.lit(""))
     return pages.select(F.col("page_id").cast("long"), host.alias("host"), F.col("html").cast("string").alias("html"), F.col("url").cast("string").alias("url"))
 
 
-def _fixed(start: str) -> str:
-    """SQL: mass of the template texts whose tokens begin like that."""
-    return f"aggregate(filter(texts, t -> startswith(t.token, {start})), 0L, (a, t) -> a + t.mass)"
+def _around(path: str, owners: dict[str, int], but: int) -> str:
+    """The deepest element around path that another class owns; '' is the page."""
+    while path:
+        path = path.rpartition("/")[0]
+        if owners.get(path, but) != but:
+            break
+    return path
+
+
+def nest(classes: list[list[str]]) -> list[str | None]:
+    """For each class, given as the paths of its tags, the element in which all of it lies: a path that another class owns, or ''
+    for the page; None for a class that is not valid, as its elements lie in several slots."""
+    owners = {path: k for k, paths in enumerate(classes) for path in paths}
+    out: list[str | None] = []
+    for k, paths in enumerate(classes):
+        # a class that frames others has inner elements of its own; its outermost ones decide
+        outermost = [p for p in paths if not any(p.startswith(q + "/") for q in paths)]
+        slots = {_around(p, owners, k) for p in outermost}
+        out.append(slots.pop() if len(slots) == 1 else None)
+    return out
+
+
+def deduce(classes: list[dict], support: float = SUPPORT) -> tuple[str | None, list[str]] | None:
+    """The content element and the template texts of a host, from its classes: most (times in a page), tags and texts (token and
+    mass of each); None if they make no template."""
+    total = sum(x["mass"] for c in classes for x in c["tags"] if not x["token"])
+    classes = [{**c, "tags": [x for x in c["tags"] if x["token"]]} for c in classes]
+    classes = [c for c in classes if len(c["tags"]) >= (2 if c["most"] == 1 else 1)]
+    slots = nest([[x["token"] for x in c["tags"]] for c in classes])
+    valid = [c for c, slot in zip(classes, slots) if slot is not None]
+    frame = [x for c in valid if c["most"] == 1 for x in c["tags"]]
+    if not frame:
+        return None
+    texts = [x for c in valid for x in c["texts"]]
+    fixed = sum(x["mass"] for x in texts)
+    # where most text is the same on all pages, they are copies but for details, and give no template
+    if total < 2 * fixed:
+        return None
+    content = None
+    for x in frame:
+        inner = x["mass"] - sum(t["mass"] for t in texts if t["token"].startswith(x["token"] + "/"))
+        # of elements that each hold nearly all, one lies in the other, and the longest path is the deepest
+        if inner > 0 and inner >= support * (total - fixed) and (content is None or (len(x["token"]), x["token"]) > (len(content), content)):
+            content = x["token"]
+    return content, [x["token"] for x in texts]
+
+
+def _deduced(support: float):
+    def run(batches):
+        for batch in batches:
+            hosts, found = batch.column(0).to_pylist(), [deduce(c, support) for c in batch.column(1).to_pylist()]
+            kept = [(h, *f) for h, f in zip(hosts, found) if f]
+            columns = list(zip(*kept)) or [[]] * 3
+            kinds = [pa.string(), pa.string(), pa.list_(pa.string())]
+            yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], ["host", "content", "boilerplate"])
+
+    return run
 
 
 def templates(pages: DataFrame, min_pages: int = MIN_PAGES, support: float = SUPPORT) -> DataFrame:
-    """host, content (path of the content element), boilerplate (template texts): one row for each host with enough different pages."""
-    keyed = pages.select(F.xxhash64("html").alias("page"), "host", "html")
+    """host, content (path of the content element), boilerplate (template texts): one row for each host with a template.
+
+    A task gets the tokens of a host that (nearly) all of its pages hold, which a page bounds."""
+    keyed = pages.filter("host is not null").select(F.xxhash64("html").alias("page"), "host", "html")
     size = keyed.groupBy("host").agg(F.count_distinct("page").alias("pages")).filter(F.col("pages") >= min_pages)
     # copies of a page count once
     tokens = page_tokens(keyed).groupBy("host", "page", "token", "kind").agg(F.max("times").alias("times"), F.max("mass").alias("mass"))
@@ -217,35 +274,19 @@ def templates(pages: DataFrame, min_pages: int = MIN_PAGES, support: float = SUP
         F.max("times").alias("most"),
         F.bit_xor(F.xxhash64("page", "times")).alias("vector"),
         F.sum("mass").alias("mass"),
-    )
+    ).filter(F.col("n") >= min_pages * support)
     frequent = counted.join(size, "host").filter(F.col("n") >= F.col("pages") * support)
-    tag = (F.col("kind") == TAG) & (F.col("token") != "")
+    item = F.struct("token", "mass")
     classes = frequent.groupBy("host", "vector").agg(
-        F.max("most").alias("most"),
-        F.count_if(tag).alias("frame"),
-        F.collect_list(F.when(tag, F.struct("token", "mass"))).alias("tags"),
-        F.collect_list(F.when(F.col("kind") != TAG, F.struct("token", "kind", "mass"))).alias("texts"),
-        F.max(F.when(F.col("token") == "", F.col("mass"))).alias("total"),
-    )
-    outer = (F.col("most") == 1) & (F.col("frame") >= 2)
-    hosts = classes.groupBy("host").agg(
-        F.flatten(F.collect_list(F.when(outer, F.col("tags")))).alias("tags"), F.flatten(F.collect_list(F.when(outer, F.col("texts")))).alias("texts"), F.max("total").alias("total")
-    ).filter(F.size("tags") > 0)
-    everywhere, inside = _fixed("''"), _fixed("concat(x.token, '/')")
-    # where most text is the same on all pages, they are copies but for details, and give no template
-    hosts = hosts.filter(F.expr(f"total >= 2 * {everywhere}")).withColumn("total", F.expr(f"total - {everywhere}"))
-    hosts = hosts.withColumn("tags", F.expr(f"transform(tags, x -> struct(length(x.token) as depth, x.token as token, x.mass - {inside} as mass))"))
-    return hosts.select(
-        "host",
-        # of elements that each hold nearly all, one lies in the other, and the longest path is the deepest
-        F.expr(f"array_max(filter(tags, x -> x.mass > 0 AND x.mass >= {support} * total)).token").alias("content"),
-        F.expr(f"transform(filter(texts, t -> t.kind = {SHORT}), t -> t.token)").alias("boilerplate"),
+        F.max("most").alias("most"), F.collect_list(F.when(F.col("kind") == TAG, item)).alias("tags"), F.collect_list(F.when(F.col("kind") == TEXT, item)).alias("texts")
     )
+    hosts = classes.groupBy("host").agg(F.collect_list(F.struct("most", "tags", "texts")).alias("classes"))
+    return hosts.mapInArrow(_deduced(support), "host string, content string, boilerplate array<string>")
 
 
 def _is_template(path: str, text: str, boilerplate: frozenset[str]) -> bool:
     """Headings of the content stay, though all pages share them."""
-    return len(text) <= SHORT_TEXT and _text_token(path, text) in boilerplate and not _HEADING.match(path.rpartition("/")[2])
+    return _text_token(path, text) in boilerplate and not _HEADING.match(path.rpartition("/")[2])
 
 
 def main_text(page: str, content: str | None = None, boilerplate: frozenset[str] = frozenset()) -> str:
