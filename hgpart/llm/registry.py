@@ -65,7 +65,7 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict:
-    found = {"op10_distribution_divergence": report_sql()}
+    found = {"op8_license_scan": licenses.scan_sql(), "op10_distribution_divergence": report_sql()}
     if corpus_pipeline.ORACLE_SQL:
         found["pipeline"] = corpus_pipeline.ORACLE_SQL
     return found
