@@ -1,10 +1,12 @@
 """Sharding, quality rules, personal data, licences, token counts."""
 
+import random
 import re
 import zlib
 from collections import Counter, defaultdict
 
 import pytest
+import regex
 from pyspark.sql import functions as F
 
 from hgpart.llm import licenses, pii, quality, sharding, token_counts
@@ -127,6 +129,80 @@ def test_surrogates_are_distinct(spark, monkeypatch):
     assert all(out[k][1] == out[(k + 1) % 12][0] for k in out)
 
 
+def test_surrogates_against_single_entities(spark):
+    """Every text, rebuilt from its parts and what each of its entities becomes alone in a text of its own."""
+    key = "another key"
+    rows = [tuple(r) for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").select("doc_id", "text").collect()]
+    rows += [(9000 + k, t) for k, (_, t, *_) in enumerate(PII) if t] + [(9100, "John Smith saw Mr Smith, Mr John Smith, Mary Jones and 555-0199"), (9101, "to GB82WEST12345698765432 or GB82 WEST 1234 5698 7654 32 and DE89370400440532013000"), (9102, "123-45-6789 is not 123-45-6780")]
+    any_, found = regex.compile(pii.ANY), Counter()
+    cut = {}
+    for d, t in rows:
+        cut[d] = any_.findall(t), any_.split(t)
+        found.update(cut[d][0])
+    alone = spark.createDataFrame([(k, e) for k, e in enumerate(found)], "doc_id long, text string")
+    new = {e: r.text for e, r in zip(found, sorted(pii.replace_entities(alone, key).collect(), key=lambda r: r.doc_id))}
+    out = {r.doc_id: r for r in pii.replace_entities(spark.createDataFrame(rows, "doc_id long, text string"), key).collect()}
+    for d, t in rows:
+        entities, parts = cut[d]
+        assert out[d].n_entities == len(entities)
+        assert out[d].text == "".join(a + b for a, b in zip(parts, [*(new[e] for e in entities), ""])), t
+    kind = lambda e: next(k for k, p in pii.PATTERNS.items() if regex.fullmatch(p, e))
+    # one surrogate for each entity, and no two entities with the same; none is an original
+    same = {"email": str.lower, "iban": lambda e: e.replace(" ", ""), **dict.fromkeys(("phone", "card", "ssn"), lambda e: re.sub(r"\D", "", e)), "name": lambda e: e.split()[-1].lower()}
+    forward, backward = {}, {}
+    for e, s in new.items():
+        k = kind(e)
+        if k == "secret":
+            continue
+        a, b = (same.get(k, str)(x) for x in (e, s))
+        assert (k == "name" or kind(s) == k) and forward.setdefault((k, a), b) == b and backward.setdefault((k, b), a) == a
+    assert not {(k, b) for k, b in backward} & set(forward)
+    ibans = [re.sub(r"\s", "", s) for e, s in new.items() if kind(e) == "iban"]
+    assert ibans and all(int("".join(str(int(c, 36)) for c in s[4:] + s[:4])) % 97 == 1 for s in ibans)
+    for s in (s for e, s in new.items() if kind(e) == "ssn"):
+        a, g, n = map(int, s.split("-"))
+        assert 0 < a < 900 and a != 666 and g and n
+    a, b, c, d = re.match(r"(\w+ \w+) saw Mr (\w+), Mr (\w+ \w+), (\w+ \w+) and \d{3}-\d{4}$", out[9100].text).groups()
+    assert a == c and a.split()[1] == b and d.split()[1] != b and "Smith" not in out[9100].text and "0199" not in out[9100].text
+
+
+def test_too_few_surrogates_raise(spark, monkeypatch):
+    monkeypatch.setattr(pii, "surrogate_sql", lambda e, kind, normal, attempt, key: "'10.0.0.1'")
+    monkeypatch.setattr(pii, "MAX_ROUNDS", 2)
+    with pytest.raises(RuntimeError, match="ip"):
+        pii.replace_entities(frame(spark, [(1, "77.1.1.9 and 77.1.2.9", "en", "s", 1)]), "k")
+
+
+def test_session_key(spark):
+    own = pii.session_key(spark)
+    assert own == pii.session_key(spark) and len(own) == 64
+    spark.conf.set(pii.KEY_SETTING, "set")
+    try:
+        assert pii.session_key(spark) == "set"
+    finally:
+        spark.conf.unset(pii.KEY_SETTING)
+
+
+def test_licenses_of_any_length(spark):
+    """Templates beyond the longest group, and one that no gate word covers."""
+    long, odd = f"License of length: {prose(77, 700)}", "take it and be merry for ever and ever amen to all"
+    templates = [("Long", long), ("Odd", odd), ("None", "...")]
+    assert licenses.uncovered_templates(templates) == [long, odd] and licenses.group_of(704) == 1280 and licenses.collision_bound(templates[:2]) > 0.99
+    rows = [(1, f"{prose(1, 500)} {long} {prose(2, 50)}", "en", "s", 1), (2, f"{prose(3, 90)} {odd}", "en", "s", 1), (3, prose(4, 900), "en", "s", 1), (4, None, "en", "s", 1), (5, "", "en", "s", 1)]
+    got = {(r.doc_id, r.license, r.containment) for r in licenses.scan(frame(spark, rows), templates).collect()}
+    assert got == {(1, "Long", 1.0), (2, "Odd", 1.0)}
+
+
+def test_repeats_at_word_counts_around_powers_of_two(spark):
+    texts = []
+    for n in (0, 1, 2, 3, 4, 5, 7, 8, 9, 15, 16, 17, 1023, 1024, 1025, 4097):
+        r = random.Random(n)
+        texts.append(" ".join(r.choice("abcdef") + str(r.randrange(1 + n // 3)) for _ in range(n)))
+        texts.append(" ".join(["x", "y", "z"] * (n // 3) + ["w"] * (n % 3)))
+    rows = quality.quality_report(frame(spark, [(k, t, "en", "s", 1) for k, t in enumerate(texts)])).collect()
+    assert {r.doc_id: tuple(r[1:7]) for r in rows} == {k: base(t) for k, t in enumerate(texts)}
+
+
 def test_licenses(spark):
     assert not licenses.uncovered_templates() and licenses.collision_bound() > 0.99
     rows = awkward() + [(500 + k, f"{prose(k, 30)}\n{t}\n{prose(k + 99, 300)}", "en", "s", 1) for k, (_, t) in enumerate(licenses.TEMPLATES)]

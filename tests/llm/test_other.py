@@ -6,6 +6,7 @@ import re
 from collections import Counter
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import xxhash
 from hypothesis import given, settings
@@ -80,6 +81,74 @@ def test_html_copies_keep_their_text(spark, host):
     assert _extracted(spark, inner, host) == {k: f"Same One short text and more {k}" for k in range(7)}
 
 
+def brute_main_texts(rows):
+    """The main texts by occurrence vectors held as tuples and texts compared as such, without hashes or joins."""
+    hosts = {}
+    for _, url, page in rows:
+        if page and (m := re.match(r"[a-z][a-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)", (url or "").lower())):
+            hosts.setdefault(m[1], {})[page] = None
+    found = {}
+    for host, pages in hosts.items():
+        parsed, held, mass = [html_text.blocks(p) for p in pages], {}, Counter()
+        if len(parsed) < 5:
+            continue
+        for k, (texts, tags) in enumerate(parsed):
+            for token, n in [((t, None), n) for t, n in tags.items()] + list(Counter((p, t) for p, t, *_ in texts).items()):
+                held.setdefault(token, [0] * len(parsed))[k] = n
+            for path, text, linked, _, dropped in texts:
+                weight = 0 if dropped else max(0, len(text) - 2 * linked)
+                mass[path, text] += weight
+                for up in tags:
+                    mass[up, None] += weight * path.startswith(up + "/")
+        classes = {}
+        for token, vector in held.items():
+            if sum(map(bool, vector)) >= 0.9 * len(parsed):
+                classes.setdefault(tuple(vector), []).append(token)
+        frames = {v: [p for p, t in c if t is None] for v, c in classes.items()}
+        frames = {v: f for v, f in frames.items() if len(f) >= (2 if max(v) == 1 else 1)}
+        valid = []
+        for v, f in frames.items():
+            slots = set()
+            for p in f:
+                if not any(p.startswith(q + "/") for q in f):
+                    slots.add(max((q for w, g in frames.items() if w != v for q in g if p.startswith(q + "/")), key=len, default=""))
+            if len(slots) == 1:
+                valid.append(v)
+        fixed = {(p, t) for v in valid for p, t in classes[v] if t is not None}
+        total, same = sum(m for (_, t), m in mass.items() if t is not None), sum(mass[x] for x in fixed)
+        frame = [p for v in valid if max(v) == 1 for p in frames[v]]
+        if not frame or total < 2 * same:
+            continue
+        inner = {p: mass[p, None] - sum(mass[x] for x in fixed if x[0].startswith(p + "/")) for p in frame}
+        full = [p for p in frame if inner[p] > 0 and inner[p] >= 0.9 * (total - same)]
+        found[host] = (max(full, key=lambda p: (len(p), p), default=None), fixed)
+    out = []
+    for _, url, page in rows:
+        m = re.match(r"[a-z][a-z0-9+.-]*://(?:[^/@]*@)?([^/:?#]+)", (url or "").lower())
+        content, fixed = found.get(m and m[1], (None, set()))
+        texts = [b for b in html_text.blocks(page or "")[0] if not b[4]]
+        texts = [b for b in texts if content and (b[0] + "/").startswith(content + "/")] or [b for b in texts if b[3]] or texts
+        out.append(" ".join(t for p, t, *_ in texts if (p, t) not in fixed or re.match(r"h[1-6](\.|$)", p.rpartition("/")[2])))
+    return out
+
+
+def test_html_against_brute_force(spark):
+    pages = [tuple(r) for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").select("page_id", "url", "html").collect()]
+    shop = "<body><div class=top>Shop of {}</div><ul>{}</ul><div class=box>{}</div><p class=low>{}</p></body>"
+    items = lambda k: "".join(f"<li><b>{prose(k + j, 3)}</b><p class=more>Read on</p></li>" for j in range(1 + k % 4))
+    pages += [(1000 + k, f"https://shop.example.org/{k}", shop.format("all things", items(k), prose(k, 150), "Long notice " * 20)) for k in range(9)]
+    pages += [(1000, "https://shop.example.org/0", pages[-9][2]), (None, None, None), (2000, "odd", pages[-1][2]), (2001, "http://x.org", "")]
+    got = html_text.extract(spark.createDataFrame(pages, "page_id long, url string, html string")).collect()
+    want = brute_main_texts(pages)
+    assert Counter((r.page_id, r.text) for r in got) == Counter((p, t) for (p, *_), t in zip(pages, want))
+    by = {r.page_id: r.text for r in got}
+    assert all("Read on" not in by[1000 + k] and "notice" not in by[1000 + k] and prose(k, 150) in by[1000 + k] for k in range(9)) and "notice" in by[2000]
+
+
+def test_html_classes_nest():
+    assert html_text.nest([["/b", "/b/d"], ["/b/d/li", "/b/d/li/p"], ["/b/x", "/b/d/y"], ["/b/d/li/p/i"]]) == ["", "/b/d", None, "/b/d/li/p"]
+
+
 def test_html_shared_headings_stay(spark):
     out = _extracted(spark, [f"<html><body><div class='all'><article><h1>News</h1><div class='bar'>Read it to friends</div><p>{prose(k, 60)}</p></article></div></body></html>" for k in range(8)])
     assert out == {k: f"News {prose(k, 60)}" for k in range(8)}
@@ -130,6 +199,35 @@ def test_decontamination(spark):
     assert {(x.doc_id, x.item_id) for x in blocked.collect()} == got
 
 
+def test_decontamination_of_long_items():
+    """Items of 300 to 900 words with up to a fifth of their words edited: at least 0.9 of them are found, all unedited ones too."""
+    r = random.Random(9)
+    items = [(k, " ".join(f"w{r.randrange(3000)}" for _ in range(300 + 60 * k))) for k in range(11)]
+    index, found, tried = decontamination.Index(items), 0, 0
+    for share in (0, 0.05, 0.1, 0.15, 0.19):
+        texts = []
+        for _, t in items:
+            w = t.split()
+            for _ in range(int(share * len(w))):
+                at = r.randrange(len(w))
+                w[at : at + 1] = r.choice(([], ["zz"], [w[at], "yy"]))
+            texts.append(f"{prose(1, 100)} {' '.join(w)} {prose(2, 100)}".encode())
+        hits = {(t, i) for t, i, *_ in index.matches(decontamination.Words(texts))}
+        assert all(t == i for t, i in hits) and (share or len(hits) == len(items))
+        found, tried = found + len(hits), tried + len(items)
+    assert found >= 0.9 * tried
+
+
+def test_decontamination_in_small_parts(monkeypatch):
+    """A gram that many items share, at many places of a text, taken a few pairs at a time."""
+    items = [(k, f"how to do the thing number n{k} and all of the thing number") for k in range(30)]
+    texts = [" ".join(t for _, t in items[k : k + 9]).encode() for k in range(5)] + [b"the thing number " * 40]
+    index = decontamination.Index(items)
+    whole = sorted(index.matches(decontamination.Words(texts)))
+    monkeypatch.setattr(decontamination, "MET_AT_ONCE", 50)
+    assert sorted(index.matches(decontamination.Words(texts))) == whole and len(whole) >= 45
+
+
 def brute_repeats(texts, span=suffix_dedup.SPAN):
     raw = [(t or "").encode() for t in texts]
     count = Counter(r[i : i + span] for r in raw for i in range(len(r) - span + 1))
@@ -156,6 +254,29 @@ def test_suffix_dedup(spark, monkeypatch, crowd, segment):
     assert suffix_dedup.repeat_report(frame(spark, [])).count() == 0
 
 
+def test_suffix_dedup_of_a_crowd_at_the_real_limits(spark):
+    """More than CROWD different blocks of one k-gram, some of whose windows agree; none of them repeats in whole."""
+    core = prose(11, 40)[:120]
+    sides = [prose(700 + k, 14) for k in range(3)]
+    rows = [(k, f"{prose(1000 + k, 9)} {sides[k % 3] if k % 4 == 0 else prose(5000 + k, 14)} {core} {prose(9000 + k, 30)}", "en", "s", 1) for k in range(suffix_dedup.CROWD + 60)]
+    got = Counter(tuple(r) for r in suffix_dedup.repeat_report(frame(spark, rows)).collect())
+    assert got == Counter((d, *e) for (d, *_), e in zip(rows, brute_repeats([t for _, t, *_ in rows])))
+    assert sum(r[2] > 0 for r in got) > 40
+
+
+def test_blocks_of_long_texts_keep_their_place(monkeypatch):
+    monkeypatch.setattr(suffix_dedup, "SEGMENT", 3000)
+    texts = [prose(k, 900).encode() for k in range(3)] + [b"=-" * 4000]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(4)), pa.array(range(4)), pa.array(texts, pa.binary())], ["rk", "did", "raw"])
+    windows = [set() for _ in texts]
+    for out in suffix_dedup._anchors([batch]):
+        for g, b, c, n, place, rk, _ in zip(*(x.to_pylist() for x in out.columns)):
+            at, size, shift = (b, c - b, 0) if g is None else suffix_dedup._unpacked(place)
+            windows[rk].update(range(at, at + size - suffix_dedup.SPAN + 1))
+            assert g is None or shift + suffix_dedup.GRAM <= suffix_dedup.SPAN
+    assert [w == set(range(len(t) - suffix_dedup.SPAN + 1)) for w, t in zip(windows, texts)] == [True] * 4
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.binary(min_size=1, max_size=40), min_size=1, max_size=6), st.integers(1, 12))
 def test_suffix_order(parts, most):
@@ -249,7 +370,9 @@ def test_near_duplicates(spark):
     assert set(kept) == {v for v in least.values()} | {None} and all(n == 1 for d, n in kept.items() if d is not None)
 
 
-def test_components_on_chains(spark):
+@pytest.mark.parametrize("one_task", [components.ONE_TASK, 0])
+def test_components_on_chains(spark, monkeypatch, one_task):
+    monkeypatch.setattr(components, "ONE_TASK", one_task)
     r = random.Random(2)
     nodes = list(range(60))
     r.shuffle(nodes)
@@ -258,6 +381,12 @@ def test_components_on_chains(spark):
     assert all(got[n] == min(nodes[:40]) for n in nodes[:40]) and got[nodes[45]] == got[nodes[50]] == min(nodes[45], nodes[50])
 
 
+def test_a_dense_group_leaves_a_task_as_a_forest(spark):
+    edges = [(a, b) for a in range(120) for b in range(a)] + [(200, 201), (201, 200)]
+    left = components.spanning_forest(spark.createDataFrame(edges, "a long, b long").coalesce(1)).collect()
+    assert len(left) == 119 + 1 and {tuple(x) for x in left} <= set(edges)
+
+
 def test_pipeline(spark, tmp_path):
     leak = " ".join(f"q{k}" for k in range(30))
     good = [(60 + k, natural(800 + k, 200), "en", "s", 1) for k in range(6)]
