@@ -10,6 +10,10 @@ Windows whose key meets an item's key are verified by the exact edit distance in
 item and the best stretch of the text there (bit-parallel). An item matches at distance
 (1 - SIMILARITY) * words or less.
 
+The items are held by the driver and by each task one block of BLOCK_BYTES at a time; a larger benchmark is matched block by
+block against all texts, each block's matches being written before the next block is read. Where a gram is common
+to many items, its places are taken a bounded number at a time.
+
 Case, punctuation and white space do not count. Edge cases: null or empty texts match nothing, an item without
 words is ignored, null ids are carried along, repeated rows are reported each, empty tables give empty
 results, further columns are ignored.
@@ -24,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from hgpart.llm.tables import written
 from hgpart.llm.words import Words, lowered_slices, mixed
 
 SIMILARITY = 0.8
@@ -31,6 +36,12 @@ REPEATS = 32
 SAMPLED = 3
 #: Items are held by each task; more than this many bytes of them are matched block by block.
 BLOCK_BYTES = 32 << 20
+#: Places of a text times items that share a gram there, taken at once.
+MET_AT_ONCE = 1 << 20
+#: Steps of a walk that keys may sample; they reach some 70 words. Items of LONG words are walked from their middle too, so that
+#: edits at both ends do not hide them.
+WALK = 128
+LONG = 160
 
 
 def edit_limit(n_words: int, similarity: float = SIMILARITY) -> int:
@@ -86,11 +97,13 @@ class Index:
         self.grams = {q: self._gram_table(q, pairs) for q, pairs in grams.items()}
         rng = np.random.default_rng(seed)
         self.repeats, self.sampled = repeats, sampled
-        self.turn = rng.integers(1, 1 << 63, (512, repeats), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
-        self.steps, self.table = {}, {}
+        self.turn = rng.integers(1, 1 << 63, (WALK, repeats), dtype=np.uint64) * np.uint64(2) + np.uint64(1)
+        self.steps, self.table, self.long = {}, {}, set()
         for c in sorted(set(self.size_class.tolist())):
             members = np.nonzero(self.size_class == c)[0]
-            span = max(1, min(512, int(1.8 * self.length[members].min())))
+            if self.length[members].min() >= LONG:
+                self.long.add(c)
+            span = max(1, min(WALK, int(1.8 * self.length[members].min())))
             self.steps[c] = np.sort(rng.integers(0, span, (repeats, sampled)), axis=1)
             flat = np.concatenate([self.words[i] for i in members])
             ends = np.cumsum(self.length[members])
@@ -119,9 +132,9 @@ class Index:
         """(repeats, windows): walk keys of the windows; walks stay within [low, high)."""
         steps = self.steps[c]
         n, r = len(starts), self.repeats
-        forward = (np.arange(r) % 2 == 0)[:, None]
-        begin = np.where(forward, starts[None, :], ends[None, :] - 1)
-        way = np.where(forward, 1, -1)
+        middle = (starts + ends) // 2
+        begin = np.stack([starts, ends - 1, middle, middle - 1])[np.arange(r) % (4 if c in self.long else 2)]
+        way = np.where(np.arange(r) % 2 == 0, 1, -1)[:, None]
         moved = np.zeros((r, n), np.int64)
         key = np.full((r, n), 1, np.uint64) * (np.arange(r, dtype=np.uint64)[:, None] + np.uint64(1 + 1000 * c))
         for j in range(int(steps.max()) + 1):
@@ -135,30 +148,43 @@ class Index:
             moved += ((word * self.turn[j][:, None]) >> np.uint64(63)).astype(np.int64)
         return key
 
+    def _met(self, words: Words, q: int):
+        """(text and item as one number, place, offset in the item) of each gram of q words that both hold, in parts."""
+        table, item, offset, seen = self.grams[q]
+        at, h = words.grams(q)
+        some = np.nonzero(seen[(h & np.uint64((1 << 22) - 1)).astype(np.int64)])[0]
+        at, h = at[some], h[some]
+        low = np.searchsorted(table, h, "left")
+        count = np.searchsorted(table, h, "right") - low
+        at, low, count = at[count > 0], low[count > 0], count[count > 0]
+        part = np.cumsum(count) // MET_AT_ONCE
+        for bounds in np.split(np.arange(len(at)), np.nonzero(np.diff(part))[0] + 1):
+            if len(bounds):
+                a, n = at[bounds], count[bounds]
+                row = np.repeat(np.arange(len(a)), n)
+                entry = np.arange(len(row)) - np.repeat(np.cumsum(n) - n, n) + low[bounds][row]
+                yield words.text[a[row]] * np.int64(len(self.ids)) + item[entry], a[row], offset[entry]
+
     def matches(self, words: Words):
         """(text, item, distance, first word, end word) of each item found in each text."""
         starts = defaultdict(set)
-        for q, (table, item, offset, seen) in self.grams.items():
-            at, h = words.grams(q)
-            some = np.nonzero(seen[(h & np.uint64((1 << 22) - 1)).astype(np.int64)])[0]
-            at, h = at[some], h[some]
-            lo, hi = np.searchsorted(table, h, "left"), np.searchsorted(table, h, "right")
-            count = hi - lo
-            if not count.sum():
+        n_items = len(self.ids)
+        for q in self.grams:
+            # how many places of a text share a gram with an item: a gram that an item holds twice counts once at each place
+            counted = [np.unique(np.unique(np.stack([pair, pos]), axis=1)[0], return_counts=True) for pair, pos, _ in self._met(words, q)]
+            if not counted:
+                continue
+            found, where = np.unique(np.concatenate([c[0] for c in counted]), return_inverse=True)
+            times = np.bincount(where, np.concatenate([c[1] for c in counted]))
+            found = found[times >= self.need[found % n_items]]
+            if not len(found):
                 continue
-            row = np.repeat(np.arange(len(at)), count)
-            entry = np.arange(len(row)) - np.repeat(np.cumsum(count) - count, count) + lo[row]
-            pos, it = at[row], item[entry]
-            pair = words.text[pos] * np.int64(len(self.ids)) + it
-            # a gram that an item holds twice counts once at each place of the text
-            once = np.unique(np.stack([pair, pos]), axis=1)[0]
-            found, times = np.unique(once, return_counts=True)
-            found = found[times >= self.need[found % len(self.ids)]]
-            mine = np.isin(pair, found)
-            # the start may lie before the text's first word; the text is that of the gram itself
-            starts_text = words.text[pos[mine]]
-            for (p, i, t) in zip((pos[mine] - offset[entry[mine]]).tolist(), it[mine].tolist(), starts_text.tolist()):
-                starts[int(self.size_class[i])].add((p, int(self.length[i]), t))
+            for pair, pos, offset in self._met(words, q):
+                mine = np.isin(pair, found)
+                # the start may lie before the text's first word; the text is that of the gram itself
+                text, item = pair[mine] // n_items, pair[mine] % n_items
+                for p, i, t in zip((pos[mine] - offset[mine]).tolist(), item.tolist(), text.tolist()):
+                    starts[int(self.size_class[i])].add((p, int(self.length[i]), t))
         best = {}
         for c, windows in starts.items():
             win = np.array(sorted((int(p), int(m), int(t)) for p, m, t in windows), np.int64)
@@ -209,6 +235,8 @@ def contaminated(docs: DataFrame, benchmark: DataFrame, similarity: float = SIMI
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(columns, kinds)], ["doc_id", "item_id", "distance", "n_words", "first_word", "end_word"])
 
         part = docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+        if blocks > 1:
+            part = written(part, "block")  # so that this block's items can go
         found = part if found is None else found.unionByName(part)
     return found
 
