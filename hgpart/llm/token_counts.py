@@ -63,13 +63,10 @@ def suffix_sums(histogram: DataFrame, block: int = BLOCK) -> DataFrame:
     # blocks of blocks keep this step small too: its window never spans more than `block` rows
     later = Window.partitionBy("group").orderBy(F.col("block").desc()).rowsBetween(Window.unboundedPreceding, -1)
     tops = groups.groupBy("group").agg(F.sum("d").alias("gd"), F.sum("t").alias("gt"))
-    above = (
-        tops.alias("x")
-        .join(tops.alias("y"), F.col("y.group") > F.col("x.group"), "left")
-        .groupBy(F.col("x.group").alias("group"))
-        .agg(F.coalesce(F.sum("y.gd"), F.lit(0)).alias("ad"), F.coalesce(F.sum("y.gt"), F.lit(0)).alias("at"))
-    )
+    # a row for each block * block lengths: a few at any size
+    higher = Window.orderBy(F.col("group").desc()).rowsBetween(Window.unboundedPreceding, -1)
     zero = lambda c: F.coalesce(c, F.lit(0))
+    above = tops.coalesce(1).select("group", zero(F.sum("gd").over(higher)).alias("ad"), zero(F.sum("gt").over(higher)).alias("at"))
     ahead = groups.select("group", "block", zero(F.sum("d").over(later)).alias("bd"), zero(F.sum("t").over(later)).alias("bt")).join(above, "group")
     ahead = ahead.select("block", (F.col("bd") + F.col("ad")).alias("d_after"), (F.col("bt") + F.col("at")).alias("t_after"))
     own = Window.partitionBy("block").orderBy(F.col("n_tokens").desc()).rowsBetween(Window.unboundedPreceding, Window.currentRow)
