@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from hgpart import catalog, model
 from hgpart.model import Hypergraph, Limits
-from hgpart.operators import candidates, local, matching, metrics, multilevel
+from hgpart.operators import blocks, candidates, local, matching, metrics, multilevel
 from hgpart.sources.builders import BUILDERS, limits_of
 
 SF = "/root/testdata/sf0.001"
@@ -370,3 +370,26 @@ def test_level_costs(spark):
     hg, lim = random_graph(spark, 6), Limits(4, 30)
     rows = multilevel.level_costs(hg, lim, 1).collect()
     assert len(rows) == 1 and rows[0].n_nodes == 14 and rows[0].jobs > 3 and rows[0].tasks >= rows[0].stages > 3 and rows[0].seconds > 0
+
+
+def small_and_large_edges(spark):
+    """A hypergraph of 60 nodes with edges of 1 to 40 pins, and its pins (e, n, is_src, is_dst) and weights as arrays."""
+    rng = np.random.default_rng(5)
+    sizes = [1, 2, 3, 40, 25, *rng.integers(2, 9, 30)]
+    rows = [(e, int(n), bool(rng.integers(2)), bool(rng.integers(2))) for e, s in enumerate(sizes) for n in rng.choice(60, s, replace=False)]
+    weights = [(e, int(rng.integers(1, 9))) for e in range(len(sizes))]
+    hg = Hypergraph.from_pins(spark.createDataFrame(rows, "e long, n long, is_src boolean, is_dst boolean"), spark.createDataFrame(weights, "e long, w long"), spark.range(60).select(F.col("id").alias("n")))
+    return hg, [np.array(x) for x in zip(*sorted(tuple(r) for r in hg.pins.select("e", "n", "is_src", "is_dst").collect()))], np.array([w for _, w in weights])
+
+
+@pytest.mark.parametrize("wide, at_once", [(4, 64), (1 << 20, 1)])
+def test_proposals_by_blocks(spark, monkeypatch, wide, at_once):
+    """Small and large hyperedges, tables and lists of pairs, blocks of one node and of all."""
+    monkeypatch.setattr(blocks, "WIDE", wide)
+    monkeypatch.setattr(blocks, "PAIRS_AT_ONCE", at_once)
+    hg, (e, n, src, dst), w = small_and_large_edges(spark)
+    for bound, most, work in (("in", 7, 1), ("incident", 9, 1 << 20)):
+        g = local.Graph(e, n, src, dst, w, np.ones_like(w), np.ones(60, np.int64), bound)
+        cand, score = local.proposals(g, 2, most)
+        got = candidates.propose_by_blocks(hg, Limits(2, most, bound), least=work, most=work)
+        assert {(r.n, r.cand, r.score) for r in got.collect()} == {(k, int(cand[k]), int(score[k])) for k in range(60) if cand[k] >= 0}
