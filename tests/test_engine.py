@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from hgpart import catalog, model
 from hgpart.model import Hypergraph, Limits
-from hgpart.operators import blocks, candidates, local, matching, metrics, multilevel
+from hgpart.operators import blocks, candidates, local, matching, metrics, moves, multilevel
 from hgpart.sources.builders import BUILDERS, limits_of
 
 SF = "/root/testdata/sf0.001"
@@ -393,3 +393,21 @@ def test_proposals_by_blocks(spark, monkeypatch, wide, at_once):
         cand, score = local.proposals(g, 2, most)
         got = candidates.propose_by_blocks(hg, Limits(2, most, bound), least=work, most=work)
         assert {(r.n, r.cand, r.score) for r in got.collect()} == {(k, int(cand[k]), int(score[k])) for k in range(60) if cand[k] >= 0}
+
+
+@pytest.mark.parametrize("admit", ["not_full", "fits"])
+def test_moves_by_blocks(spark, monkeypatch, admit, most=9):
+    """By brute force, with partitions that are full, so that some hyperedges have no partition to move to."""
+    monkeypatch.setattr(blocks, "WIDE", 4)
+    hg, (e, n, _, _), w = small_and_large_edges(spark)
+    size = lambda q: 8 + (q < 4)
+    want = {}
+    for v in range(60):
+        held = [(int(w[k]), {int(x) % 7 for x in n[e == k]}, {int(x) % 7 for x in n[e == k] if x != v}) for k in e[n == v]]
+        gain = {q: sum(x * ((v % 7 not in rest) - (q not in all_)) for x, all_, rest in held) for q in range(7) if q != v % 7}
+        found = [(x, q) for q, x in gain.items() if x > 0 and (size(q) < most if admit == "not_full" else size(q) + 1 <= most)]
+        if found:
+            want[v] = (v, v % 7, max(found)[1], max(found)[0])
+    assign = hg.nodes.select("n", F.pmod("n", F.lit(7)).alias("p"))
+    got = moves.propose_moves(hg, assign, moves.partition_pins(hg, assign), Limits(most), admit)
+    assert {r.n: tuple(r) for r in got.collect()} == want
