@@ -7,7 +7,7 @@ k-gram occurs elsewhere but whose content does not are sent, with one copy of ea
 to where the k-gram's blocks meet. There the windows at equal offsets are sorted as suffixes: mergesort,
 comparing two suffixes by binary search for their common extension over prefix polynomial hashes. Neighbours that
 agree over SPAN bytes are verified byte by byte. For a k-gram with more than CROWD different blocks the windows
-are dealt singly by their 128-bit digests and met by these instead, so that no task gathers a crowd.
+are dealt by their 128-bit digests, packed by bucket, and met by these instead, so that no task gathers a crowd.
 
 Repeats are handed on as byte ranges of their rows, so what is cut is what was compared.
 
@@ -27,7 +27,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from hgpart.llm.tables import written
+from hgpart.llm.tables import swept, written
 from hgpart.llm.words import mixed, powers
 
 SPAN = 200
@@ -38,6 +38,8 @@ SEGMENT = 1 << 19
 #: their batch.
 SORTED_WINDOWS = 200_000
 CROWD_BLOCKS = 2048
+#: Windows of crowds meet in so many buckets at least, and in more so that a bucket gets about SORTED_WINDOWS of them.
+LEAST_BUCKETS = 16
 SLICE_BYTES = 1 << 20
 _WIDTH = SPAN - GRAM + 1
 _LOW = np.uint64((1 << 24) - 1)
@@ -272,32 +274,36 @@ def _anchor_batch(g, b, c, n, place, rk, did):
 _EDGES = "g long, h long, raw binary, place long, weight long, rk long, did long"
 
 
-def _edge_blocks(batches):
-    """Bytes of the blocks asked for, and the bare digests (g, h) of the windows of crowded ones. Weight 1: met at
-    this row alone so far; 2: known to repeat; -1: a result."""
-    for batch in batches:
-        rk, did, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _bytes(batch.column(2))
-        asked = [list(zip(*x)) for x in zip(*(batch.column(k).to_pylist() for k in (3, 4, 5, 6)))]
-        plain, room, crowd = [], 0, []
-        for row, wanted in enumerate(asked):
-            for place, g, weight, crowded in wanted:
-                at, size, _ = _unpacked(place)
-                block = (g, texts[row][at : at + size], place, weight, row)
-                if crowded:
-                    crowd.append(block)
-                    if len(crowd) >= CROWD_BLOCKS:
-                        yield _crowd_windows(crowd, rk, did)
-                        crowd = []
-                    continue
-                plain.append(block)
-                room += size
-                if room > SLICE_BYTES:
-                    yield _edge_batch(plain, rk, did)
-                    plain, room = [], 0
-        if plain:
-            yield _edge_batch(plain, rk, did)
-        if crowd:
-            yield _crowd_windows(crowd, rk, did)
+def _edge_blocks(buckets: int):
+    """Bytes of the blocks asked for, and the windows of crowded ones by their digests, packed into a row for each of the buckets (h).
+    Weight 1: met at this row alone so far; 2: known to repeat; -1: a result."""
+
+    def run(batches):
+        for batch in batches:
+            rk, did, texts = batch.column(0).to_numpy(), batch.column(1).to_numpy(), _bytes(batch.column(2))
+            asked = [list(zip(*x)) for x in zip(*(batch.column(k).to_pylist() for k in (3, 4, 5, 6)))]
+            plain, room, crowd = [], 0, []
+            for row, wanted in enumerate(asked):
+                for place, g, weight, crowded in wanted:
+                    at, size, _ = _unpacked(place)
+                    block = (g, texts[row][at : at + size], place, weight, row)
+                    if crowded:
+                        crowd.append(block)
+                        if len(crowd) >= CROWD_BLOCKS:
+                            yield _crowd_windows(crowd, rk, did, buckets)
+                            crowd = []
+                        continue
+                    plain.append(block)
+                    room += size
+                    if room > SLICE_BYTES:
+                        yield _edge_batch(plain, rk, did)
+                        plain, room = [], 0
+            if plain:
+                yield _edge_batch(plain, rk, did)
+            if crowd:
+                yield _crowd_windows(crowd, rk, did, buckets)
+
+    return run
 
 
 def _edge_batch(plain, rk, did):
@@ -309,8 +315,9 @@ def _edge_batch(plain, rk, did):
     )
 
 
-def _crowd_windows(crowd, rk, did):
-    """A row for each different window of these blocks, and for the outermost of those of a block that others of them hold too."""
+def _crowd_windows(crowd, rk, did, buckets):
+    """The different windows of these blocks, packed by bucket of their digests, and rows for the outermost of those of a block that others of
+    them hold too."""
     _, parts, places, weights, rows = zip(*crowd)
     sizes = np.array([len(x) for x in parts])
     count = sizes - SPAN + 1
@@ -327,12 +334,44 @@ def _crowd_windows(crowd, rk, did):
     known = np.nonzero((times[group] > 1) & (weight == 1))[0]
     known = known[_outermost(block[known])]  # these cover the others of their block
     lead = order[new]
-    all_ = np.concatenate([known, lead])
-    mark = np.concatenate([np.full(len(known), -1), np.minimum(times[group[lead]], 2)])
+    bucket = both[lead, 0] % buckets
+    by = np.argsort(bucket, kind="stable")
+    lead, bucket = lead[by], bucket[by]
+    windows = np.column_stack([both[lead], at[lead], np.minimum(times[group[lead]], 2), rk[row[lead]], did[row[lead]]])
+    first = np.nonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]]))[0]
+    packed = [windows[a:b].tobytes() for a, b in zip(first, [*first[1:], len(lead)])]
+    none, zero = pa.nulls(len(known), pa.int64()), np.zeros(len(first), np.int64)
     return pa.RecordBatch.from_arrays(
-        [pa.array(both[all_, 0]), pa.array(both[all_, 1]), pa.nulls(len(all_), pa.binary()), pa.array(at[all_]), pa.array(mark, pa.int64()), pa.array(rk[row[all_]]), pa.array(did[row[all_]])],
+        [
+            pa.nulls(len(known) + len(first), pa.int64()), pa.concat_arrays([none, pa.array(bucket[first])]), pa.array([None] * len(known) + packed, pa.binary()), pa.array(np.concatenate([at[known], zero])),
+            pa.array(np.concatenate([np.full(len(known), -1), zero])), pa.array(np.concatenate([rk[row[known]], zero])), pa.array(np.concatenate([did[row[known]], zero])),
+        ],
         ["g", "h", "raw", "place", "weight", "rk", "did"],
-    )
+    )
+
+
+def _met_windows(batches):
+    """Of packed windows, sorted by bucket h, those that repeat and are not yet known to."""
+    at_bucket, held = None, []
+
+    def solve():
+        windows = np.frombuffer(b"".join(held), np.int64).reshape(-1, 6)
+        order = np.lexsort((windows[:, 1], windows[:, 0]))
+        key, weight = windows[order, :2], windows[order, 3]
+        start = np.nonzero(np.concatenate([[True], (key[1:] != key[:-1]).any(axis=1)]))[0]
+        times = np.repeat(np.add.reduceat(weight, start), np.diff([*start, len(order)]))
+        hit = windows[order[(times > 1) & (weight == 1)]]
+        return pa.RecordBatch.from_arrays([pa.array(hit[:, k]) for k in (2, 4, 5)], ["at", "rk", "did"])
+
+    for batch in batches:
+        for bucket, raw in zip(batch.column(0).to_pylist(), _bytes(batch.column(1))):
+            if held and bucket != at_bucket:
+                yield solve()
+                held = []
+            at_bucket = bucket
+            held.append(raw)
+    if held:
+        yield solve()
 
 
 def _outermost(sorted_keys: np.ndarray) -> np.ndarray:
@@ -427,11 +466,11 @@ def _without(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
 def remove_repeats(docs: DataFrame, with_kept: bool = True) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, kept (the bytes left) for every row of docs."""
     keyed = _keyed(docs)
-    anchors = written(keyed.select("rk", "did", "raw").mapInArrow(_anchors, _ANCHORS), "anchors")
+    anchors = swept(written(keyed.select("rk", "did", "raw").mapInArrow(_anchors, _ANCHORS), "anchors"))
     block = anchors.filter("g is not null")
     kinds = block.groupBy("g", "b", "c").agg(F.sum("n").alias("n"), F.min(F.struct("did", "rk")).alias("one"))
     grams = kinds.groupBy("g").agg(F.sum("n").alias("all_n"), F.count(F.lit(1)).alias("variants")).filter("all_n > 1")
-    shared = written(kinds.join(grams, "g").select("g", "b", "c", "n", "one", "variants"), "shared")
+    shared = swept(written(kinds.join(grams, "g").select("g", "b", "c", "n", "one", "variants"), "shared"))
     met = block.select("g", "b", "c", "place", "rk", "did").join(shared, ["g", "b", "c"])
     whole = F.col("n") > 1
     asked = (F.col("variants") > 1) & (~whole | (F.struct("did", "rk") == F.col("one")))
@@ -439,15 +478,17 @@ def remove_repeats(docs: DataFrame, with_kept: bool = True) -> DataFrame:
         F.collect_list(F.when(whole, F.col("place"))).alias("full"),
         F.collect_list(F.when(asked, F.struct("place", "g", F.least("n", F.lit(2)).alias("w"), (F.col("variants") > CROWD).alias("x")))).alias("asked"),
     )
-    flags = written(flags, "flags")
+    flags = swept(written(flags, "flags"))
     wanted = flags.filter(F.size("asked") > 0).select("rk", "did", *(F.col(f"asked.{x}").alias(f"a_{x}") for x in ("place", "g", "w", "x")))
-    edges = written(keyed.select("rk", "did", "raw").join(wanted, ["rk", "did"]).mapInArrow(_edge_blocks, _EDGES), "edges")
-    parts = edges.filter(F.col("raw").isNotNull()).drop("h")
+    # each block of a crowd is asked for once
+    crowds = shared.filter(F.col("variants") > CROWD).count()
+    buckets = max(LEAST_BUCKETS, -(-crowds * _WIDTH // SORTED_WINDOWS))
+    edges = swept(written(keyed.select("rk", "did", "raw").join(wanted, ["rk", "did"]).mapInArrow(_edge_blocks(buckets), _EDGES), "edges"))
+    parts = edges.filter(F.col("raw").isNotNull() & F.col("h").isNull()).drop("h")
     from_sort = parts.repartition("g").sortWithinPartitions("g").mapInArrow(_sorted_windows, "at long, rk long, did long")
-    bare = edges.filter(F.col("raw").isNull() & (F.col("weight") > 0)).select("g", "h", F.col("place").alias("at"), "weight", "rk", "did")
+    packed = edges.filter(F.col("h").isNotNull()).select("h", "raw")
+    from_count = packed.repartition(buckets, "h").sortWithinPartitions("h").mapInArrow(_met_windows, "at long, rk long, did long")
     known = edges.filter(F.col("raw").isNull() & (F.col("weight") < 0)).select(F.col("place").alias("at"), "rk", "did")
-    counted = bare.groupBy("g", "h").agg(F.sum("weight").alias("times")).filter("times > 1").select("g", "h")
-    from_count = bare.filter("weight = 1").join(counted, ["g", "h"]).select("at", "rk", "did")
     singles = from_sort.unionByName(from_count).unionByName(known).groupBy("rk", "did").agg(F.collect_list("at").alias("single"))
     inside = anchors.filter("g is null").groupBy("rk", "did").agg(F.collect_list(F.struct("b", "c")).alias("inside"))
     marks = flags.filter(F.size("full") > 0).select("rk", "did", "full").join(singles, ["rk", "did"], "full_outer").join(inside, ["rk", "did"], "full_outer")

@@ -254,6 +254,27 @@ def test_suffix_dedup(spark, monkeypatch, crowd, segment):
     assert suffix_dedup.repeat_report(frame(spark, [])).count() == 0
 
 
+def test_suffix_dedup_packs_the_windows_of_a_crowd():
+    """No row for each window: crowded blocks make a row for each bucket, with all of their windows."""
+    import numpy as np
+    import pyarrow as pa
+
+    rng, span, width = np.random.default_rng(3), suffix_dedup.SPAN, 350
+    texts = [bytes(rng.integers(97, 123, width, dtype=np.uint8)) for _ in range(40)]
+    texts[1] = texts[0][:250] + texts[1][250:]
+    place = int(suffix_dedup._packed(np.array([0]), np.array([width]), np.array([7]))[0])
+    names = ["rk", "did", "raw", "a_place", "a_g", "a_w", "a_x"]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(40)), pa.array(range(40)), pa.array(texts), *(pa.array([[x]] * 40) for x in (place, 5, 1, True))], names)
+    out = pa.Table.from_batches(suffix_dedup._edge_blocks(4)([batch]))
+    packed = out.filter(pa.compute.is_valid(out.column("h")))
+    assert len(packed) == 4 and len(out) == 8
+    assert sum(map(len, packed.column("raw").to_pylist())) == 48 * (40 * (width - span + 1) - 51)
+    twice = packed.select(["h", "raw"]).sort_by("h").to_batches()
+    assert sum(len(x) for x in suffix_dedup._met_windows(twice)) == 0  # what they share is known already
+    again = pa.concat_tables([packed, packed]).select(["h", "raw"]).sort_by("h").combine_chunks().to_batches()
+    assert sum(len(x) for x in suffix_dedup._met_windows(again)) == 2 * (40 * (width - span + 1) - 2 * 51)
+
+
 def test_suffix_dedup_of_a_crowd_at_the_real_limits(spark):
     """More than CROWD different blocks of one k-gram, some of whose windows agree; none of them repeats in whole."""
     core = prose(11, 40)[:120]
