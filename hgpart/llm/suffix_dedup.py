@@ -19,6 +19,7 @@ overlapping segments.
 
 from __future__ import annotations
 
+import functools
 import hashlib
 
 import numpy as np
@@ -41,6 +42,8 @@ CROWD_BLOCKS = 2048
 #: Windows of crowds meet in so many buckets at least, and in more so that a bucket gets about SORTED_WINDOWS of them.
 LEAST_BUCKETS = 16
 SLICE_BYTES = 1 << 20
+#: K-grams are met in so many shares, one after another, so that only one share's shuffles are on disk at a time.
+SHARES = 4
 _WIDTH = SPAN - GRAM + 1
 _LOW = np.uint64((1 << 24) - 1)
 
@@ -463,17 +466,24 @@ def _without(text: bytes, spans: list[tuple[int, int]]) -> tuple[bytes, int]:
     return b"".join([*kept, text[at:]]), len(merged)
 
 
+def _met_blocks(block: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """The different blocks whose k-gram stands in two or more blocks, and the places of these."""
+    kinds = block.groupBy("g", "b", "c").agg(F.sum("n").alias("n"), F.min(F.struct("did", "rk")).alias("one"))
+    grams = kinds.groupBy("g").agg(F.sum("n").alias("all_n"), F.count(F.lit(1)).alias("variants")).filter("all_n > 1")
+    shared = swept(written(kinds.join(grams, "g").select("g", "b", "c", "n", "one", "variants"), "shared"))
+    met = block.select("g", "b", "c", "place", "rk", "did").join(shared, ["g", "b", "c"])
+    return shared, swept(written(met.select("g", "place", "n", "variants", (F.struct("did", "rk") == F.col("one")).alias("leads"), "rk", "did"), "met"))
+
+
 def remove_repeats(docs: DataFrame, with_kept: bool = True) -> DataFrame:
     """doc_id, n_bytes, n_removed, n_spans, kept_sha256 and, if wanted, kept (the bytes left) for every row of docs."""
     keyed = _keyed(docs)
     anchors = swept(written(keyed.select("rk", "did", "raw").mapInArrow(_anchors, _ANCHORS), "anchors"))
     block = anchors.filter("g is not null")
-    kinds = block.groupBy("g", "b", "c").agg(F.sum("n").alias("n"), F.min(F.struct("did", "rk")).alias("one"))
-    grams = kinds.groupBy("g").agg(F.sum("n").alias("all_n"), F.count(F.lit(1)).alias("variants")).filter("all_n > 1")
-    shared = swept(written(kinds.join(grams, "g").select("g", "b", "c", "n", "one", "variants"), "shared"))
-    met = block.select("g", "b", "c", "place", "rk", "did").join(shared, ["g", "b", "c"])
+    shares = [_met_blocks(block.filter(F.pmod("g", F.lit(SHARES)) == k)) for k in range(SHARES)]
+    shared, met = (functools.reduce(DataFrame.unionByName, x) for x in zip(*shares))
     whole = F.col("n") > 1
-    asked = (F.col("variants") > 1) & (~whole | (F.struct("did", "rk") == F.col("one")))
+    asked = (F.col("variants") > 1) & (~whole | F.col("leads"))
     flags = met.groupBy("rk", "did").agg(
         F.collect_list(F.when(whole, F.col("place"))).alias("full"),
         F.collect_list(F.when(asked, F.struct("place", "g", F.least("n", F.lit(2)).alias("w"), (F.col("variants") > CROWD).alias("x")))).alias("asked"),
@@ -492,6 +502,7 @@ def remove_repeats(docs: DataFrame, with_kept: bool = True) -> DataFrame:
     singles = from_sort.unionByName(from_count).unionByName(known).groupBy("rk", "did").agg(F.collect_list("at").alias("single"))
     inside = anchors.filter("g is null").groupBy("rk", "did").agg(F.collect_list(F.struct("b", "c")).alias("inside"))
     marks = flags.filter(F.size("full") > 0).select("rk", "did", "full").join(singles, ["rk", "did"], "full_outer").join(inside, ["rk", "did"], "full_outer")
+    marks = swept(written(marks, "marks"))
     return (
         keyed.join(marks, ["rk", "did"], "left")
         .select("doc_id", "raw", "full", F.col("inside.b").alias("low"), F.col("inside.c").alias("high"), "single")

@@ -254,6 +254,19 @@ def test_suffix_dedup(spark, monkeypatch, crowd, segment):
     assert suffix_dedup.repeat_report(frame(spark, [])).count() == 0
 
 
+def test_suffix_dedup_meets_the_grams_share_by_share(spark, monkeypatch):
+    """No written table of shared blocks, so no shuffle behind one, holds grams of two shares; together they hold all."""
+    tables = []
+    written = lambda df, label: tables.append((label, out := suffix_dedup_written(df, label))) or out
+    suffix_dedup_written = suffix_dedup.written
+    monkeypatch.setattr(suffix_dedup, "written", written)
+    rows = [(k, f"{prose(20 + k % 5, 250)} {prose(800 + k, 30)}", "en", "s", 1) for k in range(15)]
+    got = Counter(tuple(r) for r in suffix_dedup.repeat_report(frame(spark, rows)).collect())
+    assert got == Counter((d, *e) for (d, *_), e in zip(rows, brute_repeats([t for _, t, *_ in rows])))
+    held = [{r.g % suffix_dedup.SHARES for r in df.select("g").collect()} for label, df in tables if label == "shared"]
+    assert held == [{k} for k in range(suffix_dedup.SHARES)] and suffix_dedup.SHARES > 1
+
+
 def test_suffix_dedup_packs_the_windows_of_a_crowd():
     """No row for each window: crowded blocks make a row for each bucket, with all of their windows."""
     import numpy as np
