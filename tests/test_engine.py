@@ -3,6 +3,7 @@
 import inspect
 import itertools
 import random
+import tracemalloc
 
 import numpy as np
 import pytest
@@ -411,3 +412,26 @@ def test_moves_by_blocks(spark, monkeypatch, admit, most=9):
     assign = hg.nodes.select("n", F.pmod("n", F.lit(7)).alias("p"))
     got = moves.propose_moves(hg, assign, moves.partition_pins(hg, assign), Limits(most), admit)
     assert {r.n: tuple(r) for r in got.collect()} == want
+
+
+def test_full_partitions_cost_a_local_round_nothing():
+    """Pins meet only partitions that take a node: 3,000 pins and 750 full partitions make no table of pairs."""
+    n = np.arange(3000)
+    yes = np.ones(3000, bool)
+    g = local.Graph(np.zeros(3000, np.int64), n, ~yes, yes, np.array([5]), np.array([1]), np.ones(3000, np.int64))
+    tracemalloc.start()
+    p, gained, made = local.refine_pass(g, n // 4 * 4, yes, 4, 100)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert (gained, made) == (0, 0) and (p == n // 4 * 4).all() and peak < 4_000_000
+
+
+def test_packed_keys_sort_as_separate_ones():
+    rng = np.random.default_rng(5)
+    for top in (6, 1 << 21, 1 << 40):  # the last do not fit one key
+        keys = [rng.integers(0, top, 500) // (top // 5) for _ in range(3)]
+        keys[2] = keys[2] * (top // 5)
+        order, starts = local._runs(*keys)
+        assert (order == np.lexsort(keys[::-1])).all()
+        rows = list(zip(*(k[order].tolist() for k in keys)))
+        assert starts.tolist() == [k for k in range(500) if not k or rows[k] != rows[k - 1]]
