@@ -435,3 +435,40 @@ def test_packed_keys_sort_as_separate_ones():
         assert (order == np.lexsort(keys[::-1])).all()
         rows = list(zip(*(k[order].tolist() for k in keys)))
         assert starts.tolist() == [k for k in range(500) if not k or rows[k] != rows[k - 1]]
+
+
+@pytest.mark.parametrize("seed", range(40))
+def test_levels_reuse_what_has_not_changed(seed, monkeypatch):
+    """Candidates and targets handed from level to level are those that each level would find anew."""
+    rng = np.random.default_rng(seed)
+    n_nodes, n_edges = 50, 60
+    keys = np.unique(rng.integers(0, n_nodes * n_edges, 160))
+    e, n, dst = keys // n_nodes, keys % n_nodes, rng.random(len(keys)) < 0.7
+    g = local.Graph(e, n, ~dst, dst, rng.integers(0, 5, n_edges), np.ones(n_edges, np.int64), rng.integers(1, 3, n_nodes))
+    most, inbound, min_gain = 6, 12, 1 + seed % 2
+    got = local.multilevel(g, most, inbound, min_gain=min_gain)[0]
+    monkeypatch.setattr(local, "AT_ONCE", 7)
+    monkeypatch.setattr(local, "KEPT_PINS", 0)
+    assert (local.multilevel(g, most, inbound, min_gain=min_gain)[0] == got).all()
+    levels = local.coarsen(g, np.ones(n_nodes, bool), most, inbound)
+    p = np.arange(n_nodes)
+    for k in range(len(levels) - 1, -1, -1):
+        h, (_, live, gamma) = local.level_graph(levels, k), levels[k]
+        if gamma is not None:
+            mate = local.matching(*local.proposals(h, most, inbound))
+            assert (gamma == np.minimum(mate, np.arange(n_nodes))).all()
+            p = p[gamma]
+        p = local.refine_pass(h, p, live, most, inbound, min_gain=min_gain)[0]
+    assert (p == got).all()
+
+
+def test_proposals_in_one_task_hold_few_pairs_at_once(monkeypatch):
+    """4.5 million pairs of one hyperedge are never a table."""
+    monkeypatch.setattr(local, "AT_ONCE", 100_000, raising=False)
+    n, yes = np.arange(3000), np.ones(3000, bool)
+    g = local.Graph(np.zeros(3000, np.int64), n, ~yes, yes, np.array([5]), np.array([1]), np.ones(3000, np.int64))
+    tracemalloc.start()
+    cand, score = local.proposals(g, 2, 100)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert cand.tolist() == [2999] * 2999 + [2998] and (score == 5).all() and peak < 30_000_000
