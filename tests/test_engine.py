@@ -472,3 +472,8 @@ def test_proposals_in_one_task_hold_few_pairs_at_once(monkeypatch):
     peak = tracemalloc.get_traced_memory()[1]
     tracemalloc.stop()
     assert cand.tolist() == [2999] * 2999 + [2998] and (score == 5).all() and peak < 30_000_000
+
+
+@pytest.mark.parametrize("name", ["terms", "dialog"])
+def test_texts_are_split_once(spark, name):
+    assert "split(" not in BUILDERS[name](spark, SF).pins._jdf.queryExecution().toString()
