@@ -477,3 +477,40 @@ def test_proposals_in_one_task_hold_few_pairs_at_once(monkeypatch):
 @pytest.mark.parametrize("name", ["terms", "dialog"])
 def test_texts_are_split_once(spark, name):
     assert "split(" not in BUILDERS[name](spark, SF).pins._jdf.queryExecution().toString()
+
+@pytest.mark.parametrize("at_once", [3, 10_000])
+def test_long_rows_of_joined_blocks(spark, monkeypatch, at_once):
+    """Rows added up one by one, and blocks that are joined to share their columns."""
+    monkeypatch.setattr(blocks, "LONG", 1)
+    monkeypatch.setattr(blocks, "PAIRS_AT_ONCE", at_once)
+    seen = []
+    monkeypatch.setattr(blocks, "joined_bits", lambda *args: seen.append(1) or 2)
+    hg = random_graph(spark, 5, 30, 40)
+    hg = Hypergraph(hg.pins, hg.edges.withColumn("w", F.col("w") + 1), hg.nodes)
+    for bound, most in (("in", 7), ("incident", 9)):
+        lim = Limits(2, most, bound)
+        valid = candidates.pair_valid(candidates.with_unions(candidates.connection_histogram(hg, lim), candidates.node_loads(hg, lim)), lim)
+        want = model.argmax_by(candidates.mirrored(valid), "n", "score", "cand").select("n", "cand", "score")
+        got = candidates.propose_by_blocks(hg, lim, least=9, most=9)
+        assert sorted(got.collect()) == sorted(want.collect())
+    assert len(seen) == 2
+
+
+def test_blocks_are_joined_while_columns_fit(spark, monkeypatch):
+    """Two large hyperedges that all nodes hold go to few tasks, and to one each if that is all that fits."""
+    right = spark.range(2).select(F.col("id").alias("e")).crossJoin(spark.range(100).select(F.col("id").alias("c")))
+    asked = spark.range(64).select(F.col("id").alias("at")).crossJoin(spark.range(2).select(F.col("id").alias("h")))
+    assert blocks.joined_bits(asked, right, 1 << 40, 1 << 20) == 10
+    monkeypatch.setattr(blocks, "JOINED_COLUMNS", 199)
+    assert blocks.joined_bits(asked, right, 1 << 40, 1 << 20) == 0
+    assert blocks.joined_bits(asked, right, 100, 50) == 0
+
+
+def test_written_tables_are_kept_once(spark):
+    hg = multilevel.kept(random_graph(spark, 1))
+    assert multilevel.kept(hg).pins is hg.pins
+    other = multilevel.kept(random_graph(spark, 1))
+    multilevel.forget(other.pins)
+    with pytest.raises(Exception):
+        other.pins.count()
+    assert hg.pins.count()
