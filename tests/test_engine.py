@@ -498,12 +498,12 @@ def test_long_rows_of_joined_blocks(spark, monkeypatch, at_once):
 
 def test_blocks_are_joined_while_columns_fit(spark, monkeypatch):
     """Two large hyperedges that all nodes hold go to few tasks, and to one each if that is all that fits."""
-    right = spark.range(2).select(F.col("id").alias("e")).crossJoin(spark.range(100).select(F.col("id").alias("c")))
+    sizes = spark.range(2).select(F.col("id").alias("e"), F.lit(100).alias("s"))
     asked = spark.range(64).select(F.col("id").alias("at")).crossJoin(spark.range(2).select(F.col("id").alias("h")))
-    assert blocks.joined_bits(asked, right, 1 << 40, 1 << 20) == 10
+    assert blocks.joined_bits(asked, sizes, 1 << 40, 1 << 20) == 10
     monkeypatch.setattr(blocks, "JOINED_COLUMNS", 199)
-    assert blocks.joined_bits(asked, right, 1 << 40, 1 << 20) == 0
-    assert blocks.joined_bits(asked, right, 100, 50) == 0
+    assert blocks.joined_bits(asked, sizes, 1 << 40, 1 << 20) == 0
+    assert blocks.joined_bits(asked, sizes, 100, 50) == 0
 
 
 def test_written_tables_are_kept_once(spark):
@@ -514,3 +514,18 @@ def test_written_tables_are_kept_once(spark):
     with pytest.raises(Exception):
         other.pins.count()
     assert hg.pins.count()
+
+
+def test_small_tables_are_broadcast(spark, monkeypatch):
+    """By rows once files are not tiny, and never if they are not written; sizes of a written hypergraph are counted once."""
+    from hgpart.plans import checkpoints
+
+    hinted = lambda df: "broadcast" in df._jdf.queryExecution().logical().toString().lower()
+    df = checkpoints.materialize(spark.range(100))
+    assert hinted(checkpoints.small(df)) and not hinted(checkpoints.small(spark.range(100)))
+    monkeypatch.setattr(checkpoints, "SMALL_BYTES", 0)
+    assert hinted(checkpoints.small(df))
+    monkeypatch.setattr(checkpoints, "SMALL_ROWS", 99)
+    assert not hinted(checkpoints.small(df))
+    hg = multilevel.kept(random_graph(spark, 1))
+    assert multilevel.volume(hg) is multilevel.volume(hg)
