@@ -529,3 +529,14 @@ def test_small_tables_are_broadcast(spark, monkeypatch):
     assert not hinted(checkpoints.small(df))
     hg = multilevel.kept(random_graph(spark, 1))
     assert multilevel.volume(hg) is multilevel.volume(hg)
+
+
+def test_basket_meets_its_lines_once(spark, tmp_path):
+    """One shuffle by order for all pins, whose first line is found there; lines of one part, or without an order or a part, are kept or left as before."""
+    rows = [(1, 7, 2, 3.0), (1, 7, 1, 2.0), (1, 5, 3, 1.0), (1, 7, 4, 9.0), (2, 5, 1, 4.0), (2, None, 2, 1.0), (3, None, 1, 1.0), (3, 7, 2, 1.0), (None, 5, 1, 6.0)]
+    spark.createDataFrame(rows, "l_orderkey long, l_partkey long, l_linenumber int, l_quantity double").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.createDataFrame([(5,), (7,)], "p_partkey long").write.parquet(f"{tmp_path}/part.parquet")
+    hg = BUILDERS["basket"](spark, str(tmp_path))
+    assert {tuple(r) for r in hg.pins.collect()} == {(1, 7, True, False), (1, 5, False, True), (2, 5, True, False), (2, None, False, True), (3, None, False, True), (3, 7, False, True)}
+    assert hg.pins.count() == 6 and {tuple(r) for r in hg.edges.collect()} == {(1, 15, 1), (2, 5, 1), (3, 2, 1), (None, 6, 1)}
+    assert hg.pins._jdf.queryExecution().executedPlan().toString().split("Initial Plan")[-1].count("Exchange") <= 1
