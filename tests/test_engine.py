@@ -531,6 +531,19 @@ def test_small_tables_are_broadcast(spark, monkeypatch):
     assert multilevel.volume(hg) is multilevel.volume(hg)
 
 
+@pytest.mark.parametrize("seed, limits, opts", [(1, Limits(4, 9), {}), (3, Limits(5, 7, "incident"), {"admit": "fits", "passes": 2}), (5, Limits(6, 9, "out"), {"prefix_tie": "shortest", "max_levels": 2})])
+def test_dealt_pins_end_alike(spark, monkeypatch, seed, limits, opts):
+    """Pins dealt to chunks, and nodes to blocks, take the decisions of one task; levels that no task takes are dealt, not joined as tables."""
+    hg = multilevel.kept(random_graph(spark, seed, 30, 50))
+    near = multilevel.HypergraphPartitioner(limits, **opts).fit(hg)
+    for name, small in (("CHUNK_PINS", 40), ("BLOCK_PINS", 20)):
+        monkeypatch.setattr(multilevel.dealt, name, small)
+    monkeypatch.setattr(multilevel, "coarsen", None)
+    monkeypatch.setattr(multilevel, "run_local", None)
+    far = multilevel.HypergraphPartitioner(limits, local_pins=-1, deal=True, **opts).fit(hg)
+    assert sorted(near.assign.collect()) == sorted(far.assign.collect()) and sorted(near.reports) == sorted(far.reports)
+
+
 def test_basket_meets_its_lines_once(spark, tmp_path):
     """One shuffle by order for all pins, whose first line is found there; lines of one part, or without an order or a part, are kept or left as before."""
     rows = [(1, 7, 2, 3.0), (1, 7, 1, 2.0), (1, 5, 3, 1.0), (1, 7, 4, 9.0), (2, 5, 1, 4.0), (2, None, 2, 1.0), (3, None, 1, 1.0), (3, 7, 2, 1.0), (None, 5, 1, 6.0)]
